@@ -4,11 +4,15 @@ from __future__ import annotations
 
 from functools import partial
 
+import public_tokenizers
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .dac import read_tokens, token_file_folder, write_tokens
 from .media import sound_features, store_sounds
+from .packing import pack
 from .secret_scan import scan_secrets, span_string
+from .token_counts import count_tokens
 from .url_filters import judge_urls
 
 #: The rules of the url query, as (verdict, host, path).
@@ -43,10 +47,33 @@ def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sounds.select(F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", feature.alias("feature"))
 
 
+#: The tokenizer of the packing, token file and counting queries.
+TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
+
+
+def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pieces = pack(spark.read.parquet(f"{sf_dir}/documents.parquet"), TOKENIZER, end_id=1)
+    return pieces.select("doc_id", "start", "length", F.crc32("ids").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset")
+
+
+def op5_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder = token_file_folder(spark)
+    manifest = write_tokens(spark.read.parquet(f"{sf_dir}/documents.parquet"), folder, TOKENIZER, end_id=2)
+    return read_tokens(manifest, folder).select(F.col("id").alias("doc_id"), "start", F.col("n").alias("n_tokens"), F.crc32("ids").alias("ids_crc32"))
+
+
+def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    counts = count_tokens(spark.read.parquet(f"{sf_dir}/documents.parquet"), TOKENIZER)
+    return counts.select(F.col("id").alias("doc_id"), "n_bytes", "n_tokens", (F.col("n_tokens") > 1024).alias("over_limit"))
+
+
 QUERIES = {
     "op1_url_filters": op1_url_filters,
     "op2_secret_scan": op2_secret_scan,
     "op3_media_columns": op3_media_columns,
+    "op4_packing": op4_packing,
+    "op5_token_files": op5_token_files,
+    "op9_token_counts": op9_token_counts,
 }
 
 _RULES = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in URL_RULES)
