@@ -10,10 +10,12 @@ from pyspark.sql import functions as F
 
 from .dac import read_tokens, token_file_folder, write_tokens
 from .media import sound_features, store_sounds
+from .mixing import mix
 from .packing import pack
 from .secret_scan import scan_secrets, span_string
 from .token_counts import count_tokens
 from .url_filters import judge_urls
+from .warc import archive_folder, read_captures, write_archives, write_index
 
 #: The rules of the url query, as (verdict, host, path).
 URL_RULES = [
@@ -67,13 +69,27 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.select(F.col("id").alias("doc_id"), "n_bytes", "n_tokens", (F.col("n_tokens") > 1024).alias("over_limit"))
 
 
+def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    taken = mix(spark.read.parquet(f"{sf_dir}/documents.parquet"), max_repetition=2.0)
+    return taken.select("doc_id", "source", "mix_tokens", "mix_weight", "mix_epoch", "mix_block", "mix_order")
+
+
+def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder = archive_folder(spark)
+    lines = write_archives(spark.read.parquet(f"{sf_dir}/pages.parquet"), folder)
+    read = read_captures(write_index(lines, folder), folder)
+    return read.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 QUERIES = {
     "op1_url_filters": op1_url_filters,
     "op2_secret_scan": op2_secret_scan,
     "op3_media_columns": op3_media_columns,
     "op4_packing": op4_packing,
     "op5_token_files": op5_token_files,
+    "op8_mixing": op8_mixing,
     "op9_token_counts": op9_token_counts,
+    "op10_warc": op10_warc,
 }
 
 _RULES = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in URL_RULES)
@@ -89,4 +105,11 @@ ORACLES = {
             coalesce(arg_max(verdict, length(rule_host || rule_path)), 'allow') AS verdict
         FROM parts p LEFT JOIN rules ON (host = rule_host OR ends_with(host, '.' || rule_host)) AND starts_with(path, rule_path)
         GROUP BY p.page_id""",
+    "op10_warc": """
+        WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
+        d AS (SELECT page_id, octet_length(encode(h)) AS payload_bytes, sha1(h) AS payload_digest FROM p),
+        f AS (SELECT *, max(page_id) OVER (PARTITION BY payload_digest) AS first_page FROM d)
+        SELECT page_id, payload_bytes, payload_digest,
+            CASE WHEN payload_bytes >= 1000 AND first_page <> page_id THEN 'revisit' ELSE 'response' END AS record_type,
+            CASE WHEN payload_bytes >= 1000 AND first_page <> page_id THEN first_page END AS refers_to FROM f""",
 }
