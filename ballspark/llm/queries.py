@@ -9,9 +9,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .dac import read_tokens, token_file_folder, write_tokens
+from .jaccard import link_components
 from .media import sound_features, store_sounds
 from .mixing import mix
 from .packing import pack
+from .quality import judge
 from .secret_scan import scan_secrets, span_string
 from .token_counts import count_tokens
 from .url_filters import judge_urls
@@ -69,6 +71,15 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts.select(F.col("id").alias("doc_id"), "n_bytes", "n_tokens", (F.col("n_tokens") > 1024).alias("over_limit"))
 
 
+def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    judged = judge(spark.read.parquet(f"{sf_dir}/documents.parquet"), keep=["doc_id"])
+    return judged.select("row.doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "log_perplexity")
+
+
+def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return link_components(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     taken = mix(spark.read.parquet(f"{sf_dir}/documents.parquet"), max_repetition=2.0)
     return taken.select("doc_id", "source", "mix_tokens", "mix_weight", "mix_epoch", "mix_block", "mix_order")
@@ -87,6 +98,8 @@ QUERIES = {
     "op3_media_columns": op3_media_columns,
     "op4_packing": op4_packing,
     "op5_token_files": op5_token_files,
+    "op6_quality_rules": op6_quality_rules,
+    "op7_jaccard_join": op7_jaccard_join,
     "op8_mixing": op8_mixing,
     "op9_token_counts": op9_token_counts,
     "op10_warc": op10_warc,
