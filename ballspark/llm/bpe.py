@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from .common import batch_of, text_or_empty
 
 #: Pre-tokens kept in a process, and texts whose unknown pre-tokens are encoded at once.
-CACHE, TOGETHER = 600_000, 128
+CACHE, TOGETHER = 1_000_000, 128
 
 SPLIT = re.compile(r"'(?:[stmd]|re|ve|ll)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]+|_+)+|\s+(?!\S)|\s+")
 
@@ -52,7 +52,11 @@ class Encoder:
         self.added = {k: self._bytes([v]) for k, v in added.items()}
         self.at_added = re.compile("(" + "|".join(re.escape(k) for k in sorted(added, key=len, reverse=True)) + ")") if added else None
         self.other = _other_class()
-        self.known: dict[str, bytes] = {}
+        self.known: dict[str, bytes] = dict(self.added)
+        #: Bytes that each id stands for, where the tokenizer is byte-level: its strings have a character for each byte.
+        vocabulary = self.library.get_vocab(with_added_tokens=True)
+        self.lengths = np.zeros(max(vocabulary.values(), default=0) + 1, np.int64)
+        self.lengths[list(vocabulary.values())] = [len(k) for k in vocabulary]
 
     def _bytes(self, ids: list[int]) -> bytes:
         return np.asarray(ids, self.dtype).tobytes()
@@ -69,23 +73,46 @@ class Encoder:
         return SPLIT.findall(text)
 
     def learn(self, pieces: set[str]) -> None:
-        """Encodes pieces that aren't known yet."""
-        new = list(pieces - self.known.keys())
-        if len(self.known) + len(new) > CACHE:
+        """Encodes pieces that aren't known yet, all in one call; their ids part where their bytes do."""
+        if len(self.known) + len(pieces) > CACHE:
             self.known.clear()
-            new = list(pieces)
-        for piece, found in zip(new, self.library.encode_batch_fast(new, add_special_tokens=False)):
-            self.known[piece] = self._bytes(found.ids)
-        self.known |= self.added
+            self.known |= self.added
+        new = list(pieces)
+        found = self.library.encode_batch_fast([new], is_pretokenized=True, add_special_tokens=False)[0].ids if new else []
+        data = self._bytes(found)
+        ends = np.cumsum(self.lengths[found]) if found else np.empty(0, np.int64)
+        stops = (np.searchsorted(ends, np.cumsum([len(p.encode()) for p in new])) + 1) * self.dtype.itemsize
+        begin = 0
+        for piece, stop in zip(new, stops.tolist()):
+            self.known[piece] = data[begin:stop]
+            begin = stop
+
+    def look_up(self, split: list[list[str] | None]) -> list[list[bytes] | None]:
+        """The ids of each piece of each text; new pieces of all texts are learned together."""
+        known = self.known.get
+        found = [list(map(known, p)) if p is not None else None for p in split]
+        holes = []
+        for p, f in zip(split, found):
+            if f is not None and None in f:
+                at = f.index(None)
+                while at >= 0:
+                    holes.append((f, at, p[at]))
+                    try:
+                        at = f.index(None, at + 1)
+                    except ValueError:
+                        at = -1
+        if holes:
+            self.learn({piece for _, _, piece in holes})
+            for f, at, piece in holes:
+                f[at] = self.known[piece]
+        return found
 
     def encode(self, texts: list[str]) -> list[bytes]:
         out: list[bytes] = []
         for i in range(0, len(texts), TOGETHER):
             some = texts[i : i + TOGETHER]
-            split = [self.pieces(t) for t in some]
-            self.learn(set().union(*(p for p in split if p)))
-            ids = self.known.__getitem__
-            out += [b"".join(map(ids, p)) if p is not None else self._bytes(self.library.encode(t, add_special_tokens=False).ids) for t, p in zip(some, split)]
+            found = self.look_up([self.pieces(t) for t in some])
+            out += [b"".join(f) if f is not None else self._bytes(self.library.encode(t, add_special_tokens=False).ids) for t, f in zip(some, found)]
         return out
 
 

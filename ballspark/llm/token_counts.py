@@ -43,15 +43,13 @@ def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
                 some = texts[i : i + TOGETHER]
                 split = [e.pieces(t) for t in some]
                 rest = [list(filterfalse(is_whole, p)) if p is not None else None for p in split]
-                e.learn(set().union(*(r for r in rest if r)))
-                ids = e.known.__getitem__
-                for text, p, r in zip(some, split, rest):
+                for text, p, r, ids in zip(some, split, rest, e.look_up(rest)):
                     if p is None:
                         n_whole.append(0)
                         n_tokens.append(len(e.library.encode(text, add_special_tokens=False).ids))
                     else:
                         n_whole.append(len(p) - len(r))
-                        n_tokens.append(len(p) - len(r) + sum(map(len, map(ids, r))) // width)
+                        n_tokens.append(len(p) - len(r) + sum(map(len, ids)) // width)
             yield batch_of(schema, {"id": batch.column(0), "n_bytes": list(map(len, data)), "n_tokens": n_tokens, "n_whole": n_whole})
 
     return docs.select(docs[id_col].cast("long").alias("id"), text_or_empty(text_col)).mapInArrow(count, "id long, n_bytes long, n_tokens long, n_whole long")
