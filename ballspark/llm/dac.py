@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bpe import encoder
-from .common import batch_of, text_or_empty, work_dir
+from .common import batch_of, small_batches, text_or_empty, work_dir
 
 #: Bits of each level's chunks.
 WIDTHS = (8, 4, 4, 8, 8)
@@ -190,6 +190,7 @@ def write_tokens(docs: DataFrame, folder: str, path: str, end_id: int, id_col: s
     and counts only once the manifest lists it, so lost and repeated attempts leave nothing in the way.
     ``folder`` is a URI that ``pyarrow.fs`` opens, and shared. An empty table gives an empty manifest.
     """
+    small_batches(docs.sparkSession)
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         schema = pa.schema([("shard", pa.int32()), ("file", pa.string()), ("n_docs", pa.int64()), ("n_tokens", pa.int64()), ("n_bytes", pa.int64())])
         task, e, out = TaskContext.get(), encoder(path), None

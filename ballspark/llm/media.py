@@ -19,7 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import as_bytes, batch_of, text_or_empty
+from .common import as_bytes, batch_of, small_batches, text_or_empty
 
 RATE, WINDOW, HOP = 8000, 512, 256
 #: Half the neighbourhood of a peak, in frames and bins; how many later peaks it is paired with, and how far.
@@ -94,6 +94,7 @@ def fingerprint(samples: bytes) -> tuple[np.ndarray, np.ndarray]:
 
 def store_sounds(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
     """(id, n_bytes, media): each whole text's padded bytes as a WAV image. A null text is an empty one: 64 zeros."""
+    small_batches(docs.sparkSession)
     schema = pa.schema([("id", pa.int64()), ("n_bytes", pa.int64()), ("media", pa.binary())])
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

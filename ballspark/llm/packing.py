@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import id_type, token_ids
-from .common import batch_of, work_dir
+from .common import batch_of, small_batches, work_dir
 
 WINDOW, UNIT, DEPTH = 2048, 8, 3
 CLASSES = WINDOW // UNIT
@@ -150,6 +150,7 @@ def pack(docs: DataFrame, path: str, end_id: int, id_col: str = "doc_id", text_c
     end id only; rows with one id are packed one by one; an empty table has no pieces. Ids are written
     once, as a table in the shared folder, so the plan and the packing see the same.
     """
+    small_batches(docs.sparkSession)
     spark = docs.sparkSession
     table = work_dir(spark, "ids")
     token_ids(docs, path, end_id, id_col, text_col).write.option("compression", "zstd").parquet(table)

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, batch_of, text_or_empty, written
+from .common import as_bytes, batch_of, small_batches, text_or_empty, written
 
 ORDER, BITS = 4, 5
 SYMBOLS = 1 << BITS
@@ -222,6 +222,7 @@ def score(docs: DataFrame, keep: list[str], lang_col: str = "lang", text_col: st
     Reads the documents twice, once to count and once to score. Models are broadcast as long as those
     of all languages have at most ENTRIES entries; otherwise languages are scored in groups that do.
     """
+    small_batches(docs.sparkSession)
     models = written(fit_models(count_grams(docs, lang_col, text_col)), "models")
     groups, size = [[]], 0
     for r in models.select("lang", "entries").collect():  # a row for each language

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, batch_of, text_or_empty, work_dir
+from .common import as_bytes, batch_of, small_batches, text_or_empty, work_dir
 
 SPAN = "array<struct<kind:string,begin:int,end:int>>"
 LEDGER = f"blob binary, rules string, spans {SPAN}"
@@ -94,6 +94,7 @@ def scan_new(docs: DataFrame, ledger: str, text_col: str = "text") -> int:
     copies is no hot key. Null texts are empty ones. Appending is the only write, and a blob that two
     runs add at once is there twice with equal spans, which ``findings`` takes as one.
     """
+    small_batches(docs.sparkSession)
     spark = docs.sparkSession
     texts = docs.select(F.unhex(F.sha2(text_or_empty(text_col), 256)).alias("blob"), text_or_empty(text_col).alias("text"))
     before = read_ledger(spark, ledger)

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .bpe import TOGETHER, encoder
-from .common import as_bytes, batch_of, text_or_empty
+from .common import as_bytes, batch_of, small_batches, text_or_empty
 
 
 def whole_tokens(path: str) -> frozenset[str]:
@@ -29,6 +29,7 @@ def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
 
     A null text is an empty one: no bytes, no tokens. What is broadcast is bounded by the vocabulary.
     """
+    small_batches(docs.sparkSession)
     whole_strings = docs.sparkSession.sparkContext.broadcast(whole_tokens(path))
     schema = pa.schema([("id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64()), ("n_whole", pa.int64())])
 

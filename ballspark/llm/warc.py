@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, batch_of, text_or_empty, work_dir, written
+from .common import as_bytes, batch_of, small_batches, text_or_empty, work_dir, written
 from .url_filters import url_host
 
 #: Lines of an index block; payloads of fewer bytes are never revisits.
@@ -94,6 +94,7 @@ def write_archives(pages: DataFrame, folder: str) -> DataFrame:
     line names don't count, so tasks can be lost and repeated. Null html is an empty payload, a null url
     leaves the record without a target; an empty table writes nothing.
     """
+    small_batches(pages.sparkSession)
     schema = pa.schema([("key", pa.string()), ("page_id", pa.int64()), ("archive", pa.string()), ("at", pa.int64()), ("length", pa.int64())])
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
