@@ -8,6 +8,7 @@ as in the tokenizer's pattern; all other texts, and tokenizers of another make,
 from __future__ import annotations
 
 import functools
+import gc
 import json
 import os
 import re
@@ -21,7 +22,7 @@ from pyspark.sql import DataFrame
 from .common import batch_of, text_or_empty
 
 #: Pre-tokens kept in a process, and texts whose unknown pre-tokens are encoded at once.
-CACHE, TOGETHER = 1_000_000, 128
+CACHE, TOGETHER = 1_000_000, 512
 
 SPLIT = re.compile(r"'(?:[stmd]|re|ve|ll)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]+|_+)+|\s+(?!\S)|\s+")
 
@@ -108,6 +109,15 @@ class Encoder:
         return found
 
     def encode(self, texts: list[str]) -> list[bytes]:
+        collecting = gc.isenabled()
+        gc.disable()  # nothing here is cyclic, and the many short lists would set it off again and again
+        try:
+            return self._encode(texts)
+        finally:
+            if collecting:
+                gc.enable()
+
+    def _encode(self, texts: list[str]) -> list[bytes]:
         out: list[bytes] = []
         for i in range(0, len(texts), TOGETHER):
             some = texts[i : i + TOGETHER]
