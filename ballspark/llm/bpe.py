@@ -19,10 +19,10 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .common import batch_of, text_or_empty
+from .common import batch_of, portions, text_or_empty
 
-#: Pre-tokens kept in a process, and texts whose unknown pre-tokens are encoded at once.
-CACHE, TOGETHER = 1_000_000, 512
+#: Pre-tokens kept in a process, and characters of texts whose unknown pre-tokens are encoded at once.
+CACHE, TOGETHER = 1_000_000, 1_500_000
 
 SPLIT = re.compile(r"'(?:[stmd]|re|ve|ll)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]+|_+)+|\s+(?!\S)|\s+")
 
@@ -119,8 +119,7 @@ class Encoder:
 
     def _encode(self, texts: list[str]) -> list[bytes]:
         out: list[bytes] = []
-        for i in range(0, len(texts), TOGETHER):
-            some = texts[i : i + TOGETHER]
+        for some in portions(texts, TOGETHER):
             found = self.look_up([self.pieces(t) for t in some])
             out += [b"".join(f) if f is not None else self._bytes(self.library.encode(t, add_special_tokens=False).ids) for t, f in zip(some, found)]
         return out

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -38,6 +40,16 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Lets Spark's cleaner remove the shuffle files of plans that nothing refers to any more.
+
+    It acts when the driver collects garbage, which a driver with little to do may not do for long;
+    after a large step whose result is written, its shuffle files only take room.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def small_batches(spark: SparkSession, rows: int = 1000) -> None:
     """Fewer rows in an Arrow batch than by default: texts are long, and a worker holds a batch and what it makes of it."""
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > rows:
@@ -55,3 +67,16 @@ def as_bytes(column: pa.Array) -> list[bytes]:
 
 def batch_of(schema: pa.Schema, columns: dict) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) for f in schema], schema=schema)
+
+
+def portions(texts: list, most: int, count: int = 1 << 30) -> Iterator[list]:
+    """The texts in runs that end once they have ``most`` characters (or bytes) or ``count`` texts."""
+    run, n = [], 0
+    for t in texts:
+        run.append(t)
+        n += len(t)
+        if n >= most or len(run) >= count:
+            yield run
+            run, n = [], 0
+    if run:
+        yield run

@@ -104,17 +104,19 @@ def mix(
     columns = docs.columns
     totals = written(source_totals(docs, source_col, token_estimate(text_col)), "sources")
     exponent = find_exponent(totals, target_entropy, max_repetition, budget)
-    shares = weights(totals, exponent, budget).select(F.col("source").alias("_source"), F.col("weight").alias("mix_weight"), F.col("repeats").alias("_repeats"), F.ceil(F.col("docs") / BLOCK_DOCS).alias("_blocks"))
+    shares = weights(totals, exponent, budget).select(F.col("source").alias("of"), F.col("weight").alias("mix_weight"), "repeats", F.ceil(F.col("docs") / BLOCK_DOCS).alias("blocks"))
     if totals.count() <= 100_000:
         shares = F.broadcast(shares)
-    rows = docs.withColumns({"mix_tokens": token_estimate(text_col), "_tie": F.xxhash64(text_col)}).join(shares, F.col(source_col).eqNullSafe(F.col("_source")))
-    rows = rows.withColumns({"mix_block": F.pmod(F.xxhash64(id_col, F.lit(seed)), "_blocks"), "_whole": F.floor("_repeats")})
-    rows = rows.withColumn("_hash", F.xxhash64(id_col, "_whole", F.lit(seed + 1)))
-    block = Window.partitionBy("_source", "mix_block")
+    # the documents' own columns travel in a struct, so that none can clash with those made here
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("row"), F.col(id_col).alias("id"), F.col(source_col).alias("source"), token_estimate(text_col).alias("mix_tokens"), F.xxhash64(text_col).alias("tie"))
+    rows = rows.join(shares, F.col("source").eqNullSafe(F.col("of")))
+    rows = rows.withColumns({"mix_block": F.pmod(F.xxhash64("id", F.lit(seed)), "blocks"), "whole": F.floor("repeats")})
+    rows = rows.withColumn("hash", F.xxhash64("id", "whole", F.lit(seed + 1)))
+    block = Window.partitionBy("of", "mix_block")
     # the last epoch takes a document if its middle comes before that part of the block's tokens
-    middle = F.sum("mix_tokens").over(block.orderBy("_hash", "_tie", "mix_tokens").rowsBetween(Window.unboundedPreceding, 0)) - F.col("mix_tokens") / 2
-    part = (F.col("_repeats") - F.col("_whole")) * F.sum("mix_tokens").over(block)
-    rows = rows.withColumn("_times", F.col("_whole") + (middle < part).cast("long")).where("_times > 0")
-    rows = rows.withColumn("mix_epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_times") - 1)))
-    order = F.xxhash64(id_col, "mix_epoch", F.lit(seed + 1))
-    return rows.withColumn("mix_order", order).select(*columns, "mix_tokens", "mix_weight", "mix_epoch", "mix_block", "mix_order")
+    middle = F.sum("mix_tokens").over(block.orderBy("hash", "tie", "mix_tokens").rowsBetween(Window.unboundedPreceding, 0)) - F.col("mix_tokens") / 2
+    part = (F.col("repeats") - F.col("whole")) * F.sum("mix_tokens").over(block)
+    rows = rows.withColumn("times", F.col("whole") + (middle < part).cast("long")).where("times > 0")
+    rows = rows.withColumn("mix_epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.col("times") - 1)))
+    rows = rows.withColumn("mix_order", F.xxhash64("id", "mix_epoch", F.lit(seed + 1)))
+    return rows.select("row.*", "mix_tokens", "mix_weight", "mix_epoch", "mix_block", "mix_order")

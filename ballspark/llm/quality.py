@@ -23,13 +23,15 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, batch_of, small_batches, text_or_empty, written
+from .common import as_bytes, batch_of, portions, small_batches, text_or_empty, written
 
 ORDER, BITS = 4, 5
 SYMBOLS = 1 << BITS
 GRAMS = SYMBOLS**ORDER
 #: Languages that a task counts at once before it sends what it has; entries of the models that are broadcast together.
 AT_ONCE, ENTRIES = 12, 8_000_000
+#: Characters that are coded at once.
+PORTION = 1_000_000
 #: How far bands reach below the first and above the third quartile, in interquartile ranges, and how much further for short texts.
 #: Texts labelled good reach 4.3 and 30 of the 5 and 40 on the tables of scale factor 0.1; texts of marks and symbols begin at 5.4 below.
 LOWER_REACH, UPPER_REACH, SHORT = 5.0, 40.0, 0.5
@@ -97,7 +99,7 @@ def count_grams(docs: DataFrame, lang_col: str = "lang", text_col: str = "text")
                 if lang not in counts and len(counts) >= AT_ONCE:
                     yield from sent()
                 n = counts.setdefault(lang, np.zeros(GRAMS, np.int64))
-                for some in _portions(texts):
+                for some in portions(texts, PORTION):
                     n += np.bincount(gram_codes(some)[0], minlength=GRAMS)
         yield from sent()
 
@@ -105,19 +107,6 @@ def count_grams(docs: DataFrame, lang_col: str = "lang", text_col: str = "text")
     return rows.mapInArrow(count, "lang string, code int, n long").groupBy("lang", "code").agg(F.sum("n").alias("n"))
 
 
-def _portions(texts: list[str], most: int = 2_000_000) -> Iterator[list[str]]:
-    """The texts in runs of about that many characters."""
-    run, n = [], 0
-    for t in texts:
-        run.append(t)
-        n += len(t)
-        if n >= most:
-            yield run
-            run, n = [], 0
-    if run:
-        yield run
-
-
 def gram_hash(order: int, codes: np.ndarray) -> np.ndarray:
     """64-bit hashes of the n-grams of one order."""
     x = codes.astype(np.uint64) + np.uint64(order << 32)
@@ -161,6 +150,10 @@ def fit(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     for order, c in enumerate(by_order, 1):
         at = np.nonzero(c)[0]
         backs.append(np.log(weights[order][at]) if order < ORDER else np.zeros(len(at)))
+    # the empty gram, whose back-off weight is that of symbols never seen
+    hashes.insert(0, gram_hash(0, np.zeros(1, np.int64)))
+    logs.insert(0, np.zeros(1))
+    backs.insert(0, np.log(weights[0]))
     h = np.concatenate(hashes)
     order = np.argsort(h)
     return h[order], np.concatenate(logs)[order].astype(np.float32), np.concatenate(backs)[order].astype(np.float32)
@@ -181,7 +174,7 @@ def log_probabilities(model: tuple[np.ndarray, np.ndarray, np.ndarray], codes: n
         there, at = find(order, grams)
         out[left[there]] = weight[left[there]] + logs[at[there]]
         left = left[~there]
-        if order > 1 and len(left):
+        if len(left):
             known, at = find(order - 1, grams[~there] >> np.uint32(BITS))
             weight[left[known]] += backs[at[known]]
     out[left] = weight[left] - np.log(SYMBOLS)
@@ -260,7 +253,7 @@ def _score(rows: DataFrame, models: list) -> DataFrame:
                         tables.clear()
                     tables[lang] = np.full(GRAMS, np.nan, np.float32)
                 begin = 0
-                for some in _portions([texts[i] for i in at]):
+                for some in portions([texts[i] for i in at], PORTION):
                     codes, which = gram_codes(some)
                     used = np.nonzero(np.bincount(codes, minlength=GRAMS))[0]
                     new = used[np.isnan(tables[lang][used])]

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .bpe import TOGETHER, encoder
-from .common import as_bytes, batch_of, small_batches, text_or_empty
+from .common import as_bytes, batch_of, portions, small_batches, text_or_empty
 
 
 def whole_tokens(path: str) -> frozenset[str]:
@@ -40,8 +40,7 @@ def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
             data = as_bytes(batch.column(1))
             texts = [x.decode("utf-8", "replace") for x in data]
             n_tokens, n_whole = [], []
-            for i in range(0, len(texts), TOGETHER):
-                some = texts[i : i + TOGETHER]
+            for some in portions(texts, TOGETHER):
                 split = [e.pieces(t) for t in some]
                 rest = [list(filterfalse(is_whole, p)) if p is not None else None for p in split]
                 for text, p, r, ids in zip(some, split, rest, e.look_up(rest)):
