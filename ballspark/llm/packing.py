@@ -26,8 +26,8 @@ from .common import batch_of, small_batches, work_dir
 
 WINDOW, UNIT, DEPTH = 2048, 8, 3
 CLASSES = WINDOW // UNIT
-#: Classes that a greedily filled window may leave empty before a document is cut to fill it.
-SLACK = 2
+#: Tokens that a greedily filled window may leave empty before a document is cut to fill it.
+SLACK = 16
 #: Tokens of remainders that a task packs together; bounds its memory.
 GROUP = 24_000_000
 
@@ -126,12 +126,12 @@ def fill(lengths: list[int], strategies: list[tuple[tuple[int, ...], float]]) ->
         return pools[c].pop()
 
     while top := largest(CLASSES):
-        window, space = [take(top)], CLASSES - top
-        while space > SLACK and (c := largest(space)):
+        window = [take(top)]
+        room = WINDOW - window[0][2]
+        while room > SLACK and (c := largest(room // UNIT)):
             window.append(take(c))
-            space -= c
-        room = WINDOW - sum(p[2] for p in window)
-        if space > SLACK and (c := largest(CLASSES)):
+            room -= window[-1][2]
+        if room > SLACK and (c := largest(CLASSES)):
             which, begin, n = take(c)
             window.append((which, begin, min(n, room)))
             if n > room:

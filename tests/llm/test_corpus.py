@@ -117,14 +117,19 @@ def test_judged(spark, odd_docs, no_docs):
 
 
 def test_bands_reject_what_is_unlike_its_language(spark, monkeypatch):
-    monkeypatch.setattr(quality, "UPPER_REACH", 8.0)  # few texts, so that the odd one is much of what the model has seen
+    monkeypatch.setattr(quality, "UPPER_REACH", 1.0)
+    monkeypatch.setattr(quality, "LOWER_REACH", 1.0)
+    monkeypatch.setattr(quality, "SHORT", 0.0)
     rng = np.random.default_rng(1)
     syllables = ["the", "an", "er", "on", "re", "st", "in", "th", "ed", "ou"]
-    good = [" ".join("".join(rng.choice(syllables, rng.integers(1, 4))) for _ in range(120)) for _ in range(60)]
-    bad = ["".join(rng.choice(list("0123456789zqxjk#%^&  "), 900))]
-    docs = spark.createDataFrame([doc(i, t) for i, t in enumerate(good + bad)], DOCS)
-    gone = [r.doc_id for r in quality.judge(docs, keep=["doc_id"]).where("not kept").select("row.doc_id").collect()]
-    assert gone == [60]
+    good = [" ".join("".join(rng.choice(syllables, rng.integers(1, 4))) for _ in range(120)) for _ in range(200)]
+    docs = [doc(i, t) for i, t in enumerate(good)] + [doc(200, " ".join(w + "&&&" for w in good[0].split())), doc(201, good[1][:300] + BASE)]
+    rows = quality.judge(spark.createDataFrame(docs, DOCS), keep=["doc_id"]).toPandas()
+    rows.index = [r["doc_id"] for r in rows["row"]]
+    low, high = rows.log_perplexity.quantile([0.25, 0.75])
+    assert np.allclose([rows.lower.iloc[0], rows.upper.iloc[0]], [2 * low - high, 2 * high - low], atol=0.01)
+    assert (rows.kept == (~rows.base_failed & rows.log_perplexity.between(rows.lower, rows.upper))).all()
+    assert not rows.kept[200] and not rows.kept[201] and rows.kept.mean() > 0.85
 
 
 # --- similarity join

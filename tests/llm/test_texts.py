@@ -96,9 +96,11 @@ def test_fingerprints_find_tones():
     t = np.arange(8192)
     tone = (128 + 60 * np.sin(2 * np.pi * t * 64 / media.WINDOW)).astype(np.uint8).tobytes()
     _, bins = media.peaks(media.spectrum(tone))
-    assert Counter(bins.tolist()).most_common(1)[0][0] == 64
-    shifted = tone[media.HOP * 4 :]
-    assert set(media.fingerprint(shifted)[1]) <= set(media.fingerprint(tone)[1]) | set(media.fingerprint(shifted)[1])
+    assert set(bins.tolist()) <= {0, 64} and 64 in bins  # 0: cutting to whole samples shifts the mean
+    noise = np.random.default_rng(0).integers(0, 256, 16384).astype(np.uint8).tobytes()
+    whole, part = media.fingerprint(noise), media.fingerprint(noise[media.HOP * 8 :])
+    shared = set(zip((whole[0] - 8).tolist(), whole[1].tolist())) & set(zip(part[0].tolist(), part[1].tolist()))
+    assert len(shared) > 0.5 * len(part[0])  # a cut sound keeps its codes, eight frames earlier
     assert len(media.fingerprint(b"\x80" * 640)[1]) == 0
 
 
