@@ -40,6 +40,15 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+#: Rows of a few numbers each up to which a side of a join is broadcast.
+BROADCAST_ROWS = 4_000_000
+
+
+def few(keys: DataFrame) -> DataFrame:
+    """For a join: broadcast where the rows, a few numbers each, are counted to be few enough; else shuffled."""
+    return F.broadcast(keys) if keys.count() <= BROADCAST_ROWS else keys
+
+
 def release(spark: SparkSession) -> None:
     """Lets Spark's cleaner remove the shuffle files of plans that nothing refers to any more.
 

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, batch_of, portions, small_batches, text_or_empty, written
+from .common import as_bytes, batch_of, few, portions, small_batches, text_or_empty, written
 
 ORDER, BITS = 4, 5
 SYMBOLS = 1 << BITS
@@ -289,3 +289,16 @@ def judge(docs: DataFrame, keep: list[str] | None = None, lang_col: str = "lang"
     inside = F.col("log_perplexity").between(F.col("lower") - varies, F.col("upper") + varies)
     few = bands.count() <= 100_000  # a row for each language
     return scored.join(F.broadcast(bands) if few else bands, "lang", "left").withColumn("kept", ~F.col("base_failed") & F.coalesce(inside, F.lit(True)))
+
+
+def keep_good(docs: DataFrame, lang_col: str = "lang", text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that ``judge`` keeps, unchanged.
+
+    A verdict follows from text and language, so what is written and joined are the rejected texts'
+    128-bit hashes and languages, not the texts.
+    """
+    key = {"_k1": F.xxhash64(text_or_empty(text_col)), "_k2": F.xxhash64(F.lit(1), text_or_empty(text_col)), "_lang": F.coalesce(lang_col, F.lit(""))}
+    columns = docs.columns
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("_row"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"), *[v.alias(k) for k, v in key.items()])
+    rejected = written(judge(keyed, keep=["_k1", "_k2"]).where(~F.col("kept")).select("row.*", F.col("lang").alias("_lang")).distinct(), "rejected")
+    return keyed.join(few(rejected), ["_k1", "_k2", "_lang"], "left_anti").select("_row.*")

@@ -15,7 +15,7 @@ from ballspark.llm.common import written
 from ballspark.llm.jaccard import link_components
 from ballspark.llm.mixing import mix
 from ballspark.llm.packing import pack
-from ballspark.llm.quality import judge
+from ballspark.llm.quality import keep_good
 from ballspark.llm.secret_scan import redact, scan_secrets
 
 TOKENIZER, END_ID = public_tokenizers.path("byte_bpe_50k.json"), 1
@@ -25,7 +25,7 @@ MAX_REPETITION = 1.25
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the base rules and the perplexity bands keep, unchanged. A null text fails the base rules."""
-    return judge(docs).where("kept").select("row.*")
+    return keep_good(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

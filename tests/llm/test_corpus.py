@@ -113,7 +113,8 @@ def test_judged(spark, odd_docs, no_docs):
         assert r.base_failed == (m[0] < 50 or 100 * m[4] > 50 * m[0]) and not (r.base_failed and r.kept)
     kept = quality.judge(odd_docs).where("kept").select("row.*")
     assert kept.columns == odd_docs.columns and kept.where("doc_id = 1").count() == 1
-    assert quality.judge(no_docs).count() == 0
+    assert Counter(quality.keep_good(odd_docs).collect()) == Counter(kept.collect())
+    assert quality.judge(no_docs).count() == 0 and quality.keep_good(no_docs).count() == 0
 
 
 def test_bands_reject_what_is_unlike_its_language(spark, monkeypatch):
@@ -198,13 +199,20 @@ def test_similarity_of_odd_rows(spark, odd_docs, no_docs):
 
 
 def test_prefixes_share_enough():
-    for a in range(1, 60):
-        for b in range(a, min(60, a * 100 // 75 + 1)):
-            inside = next(i for i in range(a + 1) if i == a or jaccard.linked(i, a, b))
-            if jaccard.linked(inside, a, b):
-                # the worst case: all that is not shared stands first in both
-                first_a, first_b = jaccard.prefix_length(a) - (a - inside), jaccard.prefix_length(b) - (b - inside)
-                assert min(first_a, first_b, inside) >= jaccard.must_share(a, b)
+    """The prefixes of linked sets meet in ``must_share`` elements under any order; extra elements add to both."""
+    rng = np.random.default_rng(0)
+    for a in range(1, 70):
+        for b in range(a, min(69, a * 100 // 75) + 1):
+            inside = next((i for i in range(a + 1) if jaccard.linked(i, a, b)), None)
+            if inside is None:
+                continue
+            for _ in range(5):
+                order = rng.permutation(a + b - inside)
+                x, y = np.sort(order[:a]), np.sort(order[a - inside : a - inside + b])
+                for extra in (0, jaccard.EXTRA):
+                    met = np.intersect1d(x[: jaccard.prefix_length(a, extra)], y[: jaccard.prefix_length(b, extra)])
+                    left_out = max(min(extra, jaccard.least_partner(v) - 1) for v in (a, b))
+                    assert len(met) - left_out >= jaccard.must_share(a, b) if extra else len(met) >= jaccard.must_share(a, b)
 
 
 # --- mixing
