@@ -117,10 +117,6 @@ class SpatialIndex:
         return replace(self, parts=parts, n_parts=parts.count())
 
 
-def _padded(a: np.ndarray, rows: int) -> list:
-    return list(a) if len(a) else [None] * rows
-
-
 def _node_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for batch in batches:
         for part, data in zip(batch["part_id"], batch["tree"]):
