@@ -17,7 +17,7 @@ from ballspark.plans import oracle, workloads
 from ballspark.sources import queries as query_sets
 from ballspark.sources.points import Points, load
 from ballspark.sources.views import VIEWS, hash_cut, points
-from ballspark.streaming.search import event_stream, run_to_end, stream_constrained, window_counts
+from ballspark.streaming.search import deduplicated, event_stream, nearby_events, run_to_end, standing_nearest, stream_constrained, window_counts
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -232,6 +232,19 @@ def self_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(joins.self_neighbours(index, hash_cut(p.df, 2000), 0.01))
 
 
+@query("knn_self_join", f"WITH {oracle.points('cust2')}, pairs AS (SELECT a.pid AS qid, b.pid AS pid, (b.x0 - a.x0) * (b.x0 - a.x0) + (b.x1 - a.x1) * (b.x1 - a.x1) AS d2 FROM pts a JOIN pts b ON a.pid <> b.pid), {oracle.RANKED} SELECT qid, CAST(rank AS INTEGER) AS rank, pid, round(sqrt(d2), 6) AS dist FROM ranked WHERE rank <= 3")
+def knn_self_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    index, p = indexed(spark, sf_dir, "cust2")
+    return _rounded(joins.knn_self_join(index, p.df, 3)).select("qid", F.col("rank").cast("int").alias("rank"), "pid", "dist")
+
+
+@query("rotated_knn", _nearest_sql("line4", 10))
+def rotated_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A tree over points turned to their principal components; queries are turned alike."""
+    p = points(spark, sf_dir, "line4")
+    return _rounded(search.knn_search(build_tree(p, BuildConfig(), transform="pca"), _uniform(spark, 4), 10))
+
+
 @query("grid_range_join", oracle.in_range("ship2", oracle.uniform(2, 200), 0.01))
 def grid_range_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = points(spark, sf_dir, "ship2")
@@ -677,6 +690,29 @@ def stream_cnn(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(stream_constrained(asks, index, 3, 0.01))
 
 
+@query("stream_dedup", "SELECT event_id FROM events")
+def stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every event delivered twice, kept once."""
+    twice = _stream(spark, sf_dir, None).unionByName(_stream(spark, sf_dir, None))
+    return run_to_end(deduplicated(twice)).select("event_id")
+
+
+@query("stream_nearby", ORACLES["interval_join"])
+def stream_nearby(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Errors and purchases as two streams, joined within a minute of the same user."""
+    e, p = _stream(spark, sf_dir).where("event_type = 'error'"), _stream(spark, sf_dir).where("event_type = 'purchase'")
+    return run_to_end(nearby_events(e, p))
+
+
+@query("stream_standing_knn", oracle.k_nearest("events_uv2", oracle.uniform(2, 5), 10))
+def stream_standing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ten best of standing queries after all events have arrived."""
+    place = points(spark, sf_dir, "events_uv2").scale.apply(F.array(F.col("user_id").cast("double"), F.col("value")))
+    arriving = _stream(spark, sf_dir, None).select(F.col("event_id").alias("pid"), place.alias("x"))
+    last = run_to_end(standing_nearest(arriving, _uniform(spark, 2, 5), 10, 2), mode="update")
+    return last.select("qid", "rank", "pid", F.round(F.sqrt("d2"), 6).alias("dist"))
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ballspark.config import BuildConfig
+from ballspark.functions.geometry import project
 from ballspark.schema import LEAF_POINTS, NODES, PARTS
 from ballspark.sources.points import Points, Scale
 
@@ -53,6 +54,16 @@ class SpatialIndex:
     scale: Scale | None = None
     n: int = 0
     n_parts: int = 0
+    #: Rows of a rotation that the points went through, and that queries go through.
+    rotation: tuple[tuple[float, ...], ...] | None = None
+
+    def scaled(self, queries: DataFrame) -> DataFrame:
+        """Queries in the units of the source, brought to the index's scale."""
+        return queries.withColumn("q", self.scale.apply(F.col("q"))) if self.scale else queries
+
+    def turned(self, queries: DataFrame) -> DataFrame:
+        """Queries in the index's scale, turned as its points were."""
+        return queries.withColumn("q", F.array(*[project(F.col("q"), list(w)) for w in self.rotation])) if self.rotation else queries
 
     @property
     def spark(self) -> SparkSession:
@@ -83,14 +94,14 @@ class SpatialIndex:
     def save(self, path: str) -> None:
         """Parts by part_id under ``path``/parts, the rest as one JSON row under ``path``/meta."""
         self.parts.write.mode("overwrite").parquet(f"{path}/parts")
-        facts = {"dim": self.dim, "n": self.n, "n_parts": self.n_parts, "config": self.config.__dict__, "shift": self.scale and list(self.scale.shift), "factor": self.scale and list(self.scale.factor)}
+        facts = {"dim": self.dim, "n": self.n, "n_parts": self.n_parts, "config": self.config.__dict__, "shift": self.scale and list(self.scale.shift), "factor": self.scale and list(self.scale.factor), "rotation": self.rotation}
         self.spark.createDataFrame([(json.dumps(facts),)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/meta")
 
     @classmethod
     def load(cls, spark: SparkSession, path: str) -> SpatialIndex:
         facts = json.loads(spark.read.text(f"{path}/meta").first().value)
         scale = Scale(tuple(facts["shift"]), tuple(facts["factor"])) if facts["shift"] else None
-        return cls(spark.read.schema(PARTS).parquet(f"{path}/parts"), facts["dim"], BuildConfig(**facts["config"]), scale, facts["n"], facts["n_parts"])
+        return cls(spark.read.schema(PARTS).parquet(f"{path}/parts"), facts["dim"], BuildConfig(**facts["config"]), scale, facts["n"], facts["n_parts"], facts["rotation"] and tuple(map(tuple, facts["rotation"])))
 
     def append(self, points: DataFrame) -> SpatialIndex:
         """With further points, each added to the part whose centre is nearest; only those parts' trees are made again.
@@ -99,6 +110,7 @@ class SpatialIndex:
         """
         if not self.n_parts:
             return build_tree(Points(points, self.dim, self.scale), self.config)
+        points = self.turned(points.withColumnRenamed("x", "q")).withColumnRenamed("q", "x")
         added = home_parts(points, "x", self.summaries(), self.dim)
         touched = added.select("part_id").distinct()
         old = self.parts.join(touched, "part_id", "left_semi").select("part_id", "tree").mapInPandas(_point_rows, LEAF_POINTS)
@@ -197,7 +209,7 @@ def _top_tree_router(sample: pd.DataFrame, parts: int, cfg: BuildConfig):
     return route
 
 
-def build_tree(points: Points, cfg: BuildConfig | None = None, n: int | None = None, transform: str | None = None, components: int | None = None) -> SpatialIndex:
+def build_tree(points: Points, cfg: BuildConfig | None = None, n: int | None = None, transform: str | None = None) -> SpatialIndex:
     """An index over all points.
 
     Up to ``local_rows`` points are one part. More are dealt to parts first: by a tree over a bounded
@@ -205,17 +217,19 @@ def build_tree(points: Points, cfg: BuildConfig | None = None, n: int | None = N
     splits over all points level by level. A part that got more than four times ``local_rows``
     (many equal points, an unlucky sample) is cut by pid, which is always correct for searches.
 
-    With transform='pca' points are rotated to all their components; distances stay the same.
+    With transform='pca' points and later queries are rotated to all components; distances stay the
+    same up to rounding. (Fewer components are a filter, ``pca_filter_knn``.)
     """
     cfg = cfg or BuildConfig()
-    df, spark = points.df, points.df.sparkSession
-    if transform == "pca":
-        from .pca import fit_pca, pca_transform
-
-        df = pca_transform(df, fit_pca(df, points.dim), components or points.dim)
+    df, spark, rotation = points.df, points.df.sparkSession, None
     n = df.count() if n is None else n
     if not n:
         return SpatialIndex(spark.createDataFrame([], PARTS), points.dim, cfg, points.scale)
+    if transform == "pca":
+        from .pca import fit_pca, pca_transform
+
+        components = fit_pca(df, points.dim)
+        df, rotation = pca_transform(df, components), tuple(map(tuple, components.tolist()))
     parts = cfg.parts or -(-n // cfg.local_rows)
     if parts <= 1:
         assigned = df.withColumn("part_id", F.lit(0))
@@ -238,4 +252,4 @@ def build_tree(points: Points, cfg: BuildConfig | None = None, n: int | None = N
             piece = F.pmod(F.xxhash64("pid"), F.coalesce(cuts, F.lit(1))).cast("int")
             assigned = assigned.withColumn("part_id", (F.col("part_id") + top * piece).cast("int"))
     trees = saved(_local_trees(assigned.select("part_id", "pid", "x"), cfg))
-    return SpatialIndex(trees, points.dim, cfg, points.scale, n, trees.count())
+    return SpatialIndex(trees, points.dim, cfg, points.scale, n, trees.count(), rotation)

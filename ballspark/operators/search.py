@@ -147,7 +147,7 @@ def _counters(t: Trace) -> tuple:
 
 def range_search(index: SpatialIndex, queries: DataFrame, r: float | None = None, engine: str = "routed", trace: bool = False) -> DataFrame:
     """(qid, pid, dist) of all points within r of each query, the border included; with ``trace`` the counters by query."""
-    queries = _prepared(queries, None, r)
+    queries = index.turned(_prepared(queries, None, r))
     if not index.n_parts:
         return index.spark.createDataFrame([], "qid long, pid long, dist double")
     if engine == "frontier":
@@ -177,7 +177,7 @@ def range_count(index: SpatialIndex, queries: DataFrame, r: float | None = None)
     def work(tree: Tree, row) -> Iterator[tuple]:
         yield row["qid"], count_kernel(tree, list(row["q"]), _limit(row), Trace())
 
-    queries = _prepared(queries, None, r)
+    queries = index.turned(_prepared(queries, None, r))
     counted = _run(index, queries, "r", work, "qid long, c long") if index.n_parts else index.spark.createDataFrame([], "qid long, c long")
     return queries.join(counted.groupBy("qid").agg(F.sum("c").alias("n")), "qid", "left").select("qid", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
 
@@ -188,7 +188,7 @@ def range_exists(index: SpatialIndex, queries: DataFrame, r: float | None = None
     def work(tree: Tree, row) -> Iterator[tuple]:
         yield row["qid"], count_kernel(tree, list(row["q"]), _limit(row), Trace(), first_only=True) > 0
 
-    queries = _prepared(queries, None, r)
+    queries = index.turned(_prepared(queries, None, r))
     seen = _run(index, queries, "r", work, "qid long, f boolean") if index.n_parts else index.spark.createDataFrame([], "qid long, f boolean")
     return queries.join(seen.groupBy("qid").agg(F.bool_or("f").alias("f")), "qid", "left").select("qid", F.coalesce("f", F.lit(False)).alias("found"))
 
@@ -220,7 +220,7 @@ def nearest(index: SpatialIndex, queries: DataFrame, k: int | None = None, r: fl
     round visits. With ``trace`` the counters by query, over a single tree only, where they mean what
     the measures mean.
     """
-    queries = _prepared(queries, k, r)
+    queries = index.turned(_prepared(queries, k, r))
     if not index.n_parts:
         return index.spark.createDataFrame([], "qid long, rank int, pid long, dist double")
     if trace:
@@ -272,7 +272,7 @@ def knn_then_range(index: SpatialIndex, queries: DataFrame, k: int, r: float) ->
 
 def range_then_topk(index: SpatialIndex, queries: DataFrame, k: int, r: float) -> DataFrame:
     """Baseline: all within r, of which the k nearest."""
-    queries = _prepared(queries, k, r)
+    queries = index.turned(_prepared(queries, k, r))
     found = _run(index, queries, "r", _range_work, FOUND) if index.n_parts else index.spark.createDataFrame([], FOUND)
     return ranked(found.withColumn("k", F.lit(k)))
 
