@@ -181,6 +181,19 @@ def test_components_equal_brute_force(spark):
     assert got == plain_components(rows)
 
 
+def test_crowds_in_blocks_equal_brute_force(spark, monkeypatch):
+    """Near copies of which many are not linked with each other, compared in blocks."""
+    monkeypatch.setattr(jaccard, "CROWD", 3)
+    monkeypatch.setattr(jaccard, "BLOCK", 600)
+    rng = np.random.default_rng(2)
+    rows = []
+    for _ in range(4):
+        base = [f"b{rng.integers(300)}" for _ in range(rng.integers(30, 160))]
+        rows += [(len(rows) + i, " ".join(edited(rng, base, rng.choice([0.0, 0.01, 0.03, 0.05, 0.07])))) for i in range(rng.integers(5, 25))]
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard.link_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == plain_components(rows)
+
+
 def test_chain_and_border(spark):
     """A chain whose ends are not linked is one component; a pair at exactly 75 of 100 is linked."""
     w = [f"v{i}" for i in range(400)]
