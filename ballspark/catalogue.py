@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ballspark.config import BuildConfig
-from ballspark.functions.geometry import bounding_box_predicate, register_sql, sq_dist
+from ballspark.functions.geometry import bounding_box_predicate, project, register_sql, sq_dist
 from ballspark.functions.udtf import register_knn_of
 from ballspark.operators import joins, levels, search, stats
 from ballspark.operators.index import SpatialIndex, build_tree, shared_dir
@@ -16,7 +16,7 @@ from ballspark.operators.pca import fit_pca, pca_filter_knn, pca_transform
 from ballspark.plans import oracle, workloads
 from ballspark.sources import queries as query_sets
 from ballspark.sources.points import Points, load
-from ballspark.sources.views import VIEWS, hash_cut, points
+from ballspark.sources.views import VIEWS, points
 from ballspark.streaming.search import deduplicated, event_stream, nearby_events, run_to_end, standing_nearest, stream_constrained, window_counts
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -209,27 +209,30 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _knn_join(r: float | None, bound: str = "data") -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         index, _ = indexed(spark, sf_dir, "ship2", parts=8, top="sample")
-        asks = hash_cut(points(spark, sf_dir, "orders2").df, 500).select(F.col("pid").alias("qid"), F.col("x").alias("q"))
+        asks = points(spark, sf_dir, "orders2").df.select(F.col("pid").alias("qid"), F.col("x").alias("q"))
         return _rounded(joins.knn_join(index, asks, 5, r, bound))
 
     return run
 
 
 def _knn_join_sql(r: float | None) -> str:
-    return f"WITH {oracle.points('ship2')}, {oracle.points('orders2', 'ords')}, {oracle.sampled(2, 500, 'ords')}, {oracle.pairs(2, r)}, {oracle.RANKED} SELECT qid, CAST(rank AS INTEGER) AS rank, pid, round(sqrt(d2), 6) AS dist FROM ranked WHERE rank <= 5"
+    asks = "qs AS (SELECT pid AS qid, x0 AS q0, x1 AS q1 FROM ords)"
+    return f"WITH {oracle.points('ship2')}, {oracle.points('orders2', 'ords')}, {asks}, {oracle.pairs(2, r)}, {oracle.RANKED} SELECT qid, CAST(rank AS INTEGER) AS rank, pid, round(sqrt(d2), 6) AS dist FROM ranked WHERE rank <= 5"
 
 
-query("knn_join_two_round", _knn_join_sql(None))(_knn_join(None))
+#: SQL that ranks all pairs of the whole tables is too slow there; tests hold these against it on the smallest tables.
+SMALL_ORACLES = {"knn_join_two_round": _knn_join_sql(None), "knn_join_metadata": _knn_join_sql(None)}
+query("knn_join_two_round")(_knn_join(None))
 query("knn_join_bounded", _knn_join_sql(0.01))(_knn_join(0.01))
-query("knn_join_metadata", _knn_join_sql(None))(_knn_join(None, "metadata"))
+query("knn_join_metadata")(_knn_join(None, "metadata"))
 
-_SELF = f"WITH {oracle.points('orders2')}, {{qs}}, {oracle.pairs(2, 0.01)} "
+_ASKS_SELF = "qs AS (SELECT pid AS qid, x0 AS q0, x1 AS q1 FROM pts)"
 
 
-@query("self_neighbours", _SELF.format(qs=oracle.sampled(2, 2000)) + "SELECT qid, pid, round(sqrt(d2), 6) AS dist FROM pairs WHERE qid <> pid")
+@query("self_neighbours", f"WITH {oracle.points('orders2')}, {_ASKS_SELF}, {oracle.pairs(2, 0.005)} SELECT qid, pid, round(sqrt(d2), 6) AS dist FROM pairs WHERE qid <> pid")
 def self_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     index, p = indexed(spark, sf_dir, "orders2")
-    return _rounded(joins.self_neighbours(index, hash_cut(p.df, 2000), 0.01))
+    return _rounded(joins.self_neighbours(index, p.df, 0.005))
 
 
 @query("knn_self_join", f"WITH {oracle.points('cust2')}, pairs AS (SELECT a.pid AS qid, b.pid AS pid, (b.x0 - a.x0) * (b.x0 - a.x0) + (b.x1 - a.x1) * (b.x1 - a.x1) AS d2 FROM pts a JOIN pts b ON a.pid <> b.pid), {oracle.RANKED} SELECT qid, CAST(rank AS INTEGER) AS rank, pid, round(sqrt(d2), 6) AS dist FROM ranked WHERE rank <= 3")
@@ -609,17 +612,13 @@ def sql_geometry(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- transformed points -----------------------------------------------------------------------------
 
 
-@query(
-    "pca_rotate",
-    f"WITH {oracle.points('line4')}, qs AS (SELECT * FROM (SELECT *, ((pid % 1000003) * 48271) % 2147483647 AS h FROM pts) ORDER BY h, pid LIMIT 20) SELECT a.pid AS a, b.pid AS b, "
-    f"round(sqrt({' + '.join(f'(a.x{j} - b.x{j}) * (a.x{j} - b.x{j})' for j in range(4))}), 6) AS dist FROM qs a JOIN qs b ON a.pid < b.pid",
-)
+@query("pca_rotate", f"WITH {oracle.points('line4')} SELECT pid, round(sqrt({' + '.join(f'(x{j} - 0.3e0) * (x{j} - 0.3e0)' for j in range(4))}), 6) AS dist FROM pts")
 def pca_rotate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Distances of 20 points after a rotation to all components: what they were."""
+    """Each point's distance from one place, both turned to all components: what it was."""
     p = points(spark, sf_dir, "line4")
-    some = pca_transform(hash_cut(p.df, 20), fit_pca(p.df, 4))
-    a, b = (some.select(F.col("pid").alias(s), F.col("x").alias(f"x_{s}")) for s in "ab")
-    return _rounded(a.join(b, F.col("a") < F.col("b")).select("a", "b", F.sqrt(sq_dist(F.col("x_a"), F.col("x_b"), 4)).alias("dist")))
+    components = fit_pca(p.df, 4)
+    place = F.array(*[project(F.array(*[F.lit(0.3)] * 4), w.tolist()) for w in components])
+    return pca_transform(p.df, components).select("pid", F.round(F.sqrt(sq_dist(F.col("x"), place, 4)), 6).alias("dist"))
 
 
 @query("pca_filter_knn", _nearest_sql("line4", 10))

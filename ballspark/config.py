@@ -14,6 +14,7 @@ CHOICES = {
     "ball": ("centroid", "enclosing"),
     "kd_axis": ("widest", "cycle", "variance"),
     "kd_cut": ("median", "midpoint"),
+    "kd_bounds": ("tight", "cells", "plane"),
     "top": ("auto", "sample", "exact"),
 }
 
@@ -23,6 +24,8 @@ class BuildConfig:
     """How a tree is built.
 
     kind: principal-axis ball tree (pab), farthest-pivot ball tree (fpb) or KD-tree (kdt).
+    kd_bounds: what a search tests a KD-tree's node by: the box of its points (tight), the cell that the cuts
+    above it leave (cells), or the last of these cuts alone (plane).
     alpha, sections: weight of the offset term of the split objective and number of sections scanned.
     top: how points reach parts; by one part where they are at most ``local_rows``, else by a tree
     over a sample of ``sample_rows`` points a part, or by exact splits level by level.
@@ -40,6 +43,7 @@ class BuildConfig:
     ball: str = "centroid"
     kd_axis: str = "widest"
     kd_cut: str = "median"
+    kd_bounds: str = "tight"
     max_depth: int = 512
     top: str = "auto"
     parts: int | None = None

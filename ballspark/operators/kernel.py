@@ -254,19 +254,32 @@ def _balls(level: _Level, ball: str) -> tuple[np.ndarray, np.ndarray]:
     return center, radius * (1 + SLACK)
 
 
+def _cells(rows: dict, who: np.ndarray, cfg: BuildConfig) -> tuple[np.ndarray, np.ndarray]:
+    """Lower and upper corners of the cells of the children of ``who``, lower sides first: the parent's cell cut, or the cut alone."""
+    whole = cfg.kd_bounds == "plane"
+    low = np.repeat(np.full_like(rows["box_lo"][who], -np.inf) if whole else rows["box_lo"][who], 2, axis=0)
+    high = np.repeat(np.full_like(rows["box_hi"][who], np.inf) if whole else rows["box_hi"][who], 2, axis=0)
+    dim, i = rows["axis"][who].argmax(axis=1), np.arange(len(who))
+    high[2 * i, dim] = rows["cut"][who]
+    low[2 * i + 1, dim] = rows["cut"][who]
+    return low, high
+
+
 def build(x: np.ndarray, pid: np.ndarray, cfg: BuildConfig) -> Tree:
     """A tree over all the points; none has no nodes."""
     x, pid = np.array(x, float), np.array(pid, np.int64)
     x = x if x.ndim == 2 else x.reshape(len(pid), max(1, x.size // max(1, len(pid))))
     d, made = x.shape[1], {n: [] for n in Tree.ARRAYS[2:]}
     begin, end, parent = np.zeros(1, np.int64), np.array([len(pid)]), np.array([-1])
-    total, depth, kids = 0, 0, []
+    total, depth, cells = 0, 0, None
     while len(pid) and len(begin):
         level = _Level(x, pid, begin, end)
         m, first = len(begin), total
         center, radius = _balls(level, cfg.ball)
         low, high = level.least(level.x), level.most(level.x)
         rows = {"parent": parent, "depth": np.full(m, depth), "begin": begin, "end": end, "center": center, "radius": radius, "box_lo": low, "box_hi": high}
+        if cells is not None:
+            rows["box_lo"], rows["box_hi"] = cells
         for n in ("axis", "pivot_lo", "pivot_hi"):
             rows[n] = np.zeros((m, d))
         for n in ("cut", "t_min", "t_max", "objective"):
@@ -297,6 +310,7 @@ def build(x: np.ndarray, pid: np.ndarray, cfg: BuildConfig) -> Tree:
             begin = np.stack([b[split], mid], axis=1).ravel()
             end = np.stack([mid, e[split]], axis=1).ravel()
             parent = np.repeat(first + who, 2)
+            cells = _cells(rows, who, cfg) if cfg.kind == "kdt" and cfg.kd_bounds != "tight" else None
         for n in made:
             made[n].append(rows[n])
         depth += 1

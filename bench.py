@@ -21,6 +21,7 @@ from ballspark.config import BuildConfig  # noqa: E402
 from ballspark.operators import joins, search, stats  # noqa: E402
 from ballspark.operators.index import build_tree  # noqa: E402
 from ballspark.plans import workloads  # noqa: E402
+from ballspark.sources.generators import generate  # noqa: E402
 from ballspark.sources.points import Points  # noqa: E402
 from ballspark.sources.queries import uniform_queries  # noqa: E402
 from ballspark.sources.views import hash_cut, points  # noqa: E402
@@ -64,11 +65,19 @@ def main() -> None:
         measures[f"depth_{kind}"] = round(stats.avg_depth(deep).first().avg_depth, 4)
         for name, trace in (
             ("range", lambda: search.range_search(deep, qs, 0.01, trace=True)),
-            ("knn", lambda: search.nearest(deep, qs.drop("r"), 10, trace=True, order="right_first")),
-            ("cnn", lambda: search.nearest(deep, qs, 10, 0.005, trace=True, order="right_first")),
+            ("knn", lambda: search.nearest(deep, qs.drop("r"), 10, trace=True)),
+            ("cnn", lambda: search.nearest(deep, qs, 10, 0.005, trace=True)),
         ):
             cost = timed(f"visits_{name}_{kind}", lambda: stats.average_cost(trace()).first())
             measures[f"visits_{name}_{kind}"] = round(cost.avg_entered, 2)
+    plain = build_tree(ship, BuildConfig(kind="kdt", kd_bounds="plane", leaf_capacity=1, local_rows=10**7), n)
+    cost = timed("visits_range_kdt_plane", lambda: stats.average_cost(search.range_search(plain, qs, 0.01, trace=True)).first())
+    measures["visits_range_kdt_plane"] = round(cost.avg_entered, 2)
+    for family in ("latin", "highleyman", "lithuanian"):
+        made = Points(generate(spark, family, n), 2)
+        for kind in workloads.KINDS:
+            deep = build_tree(made, BuildConfig(kind=kind, leaf_capacity=1, local_rows=10**7), n)
+            measures[f"depth_{family}_{kind}"] = round(stats.avg_depth(deep).first().avg_depth, 4)
     parts = timed("build_two_tier", lambda: build_tree(ship, BuildConfig(parts=16, top="sample", local_rows=10**6), n))
     timed("cnn_two_tier", lambda: search.constrained_knn(parts, qs, 10, 0.005).count())
     asks = hash_cut(points(spark, SF_DIR, "orders2").df, 20_000)

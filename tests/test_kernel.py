@@ -16,6 +16,8 @@ CONFIGS = [
     BuildConfig(kind="fpb", leaf_capacity=4),
     BuildConfig(kind="kdt", leaf_capacity=4),
     BuildConfig(kind="kdt", kd_axis="cycle", kd_cut="midpoint", leaf_capacity=1),
+    BuildConfig(kind="kdt", kd_bounds="cells", leaf_capacity=2),
+    BuildConfig(kind="kdt", kd_bounds="plane", leaf_capacity=1),
     BuildConfig(axis="gram", leaf_capacity=2),
     BuildConfig(axis_solver="power"),
     BuildConfig(offset="printed", alpha=3.0, leaf_capacity=2),
