@@ -6,7 +6,7 @@ language has at most 32 ** 4 n-grams, which bounds each model whatever the corpu
 arrays: 64-bit hashes of the n-grams of all orders, with their log probabilities and the log back-off
 weights of those that are contexts. A document whose log perplexity is outside its language's band is
 rejected. The band reaches LOWER_REACH and UPPER_REACH interquartile ranges beyond the quartiles of the
-language's documents, and SHORT over the root of a document's length further, as the mean over few
+language's distinct texts, and SHORT over the root of a document's length further, as the mean over few
 characters varies more. The upper side is wide, since texts in two languages are good ones.
 """
 
@@ -35,6 +35,8 @@ PORTION = 1_000_000
 #: How far bands reach below the first and above the third quartile, in interquartile ranges, and how much further for short texts.
 #: Texts labelled good reach 4.3 and 30 of the 5 and 40 on the tables of scale factor 0.1; texts of marks and symbols begin at 5.4 below.
 LOWER_REACH, UPPER_REACH, SHORT = 5.0, 40.0, 0.5
+#: The least interquartile range that a band is made of, where near copies make up most texts of a language.
+LEAST_SPREAD = 0.02
 
 # The white space and the symbols of the base rules.
 SPACE, MARKS = b" \t\n\x0b\x0c\r", b"#*$%&|<>"
@@ -78,9 +80,17 @@ def gram_codes(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return code[np.arange(len(which)) + which * (ORDER - 1)], which
 
 
+def text_key(text_col: str = "text") -> list[Column]:
+    """A text's 128-bit hash, as (k1, k2)."""
+    return [F.xxhash64(text_or_empty(text_col)).alias("k1"), F.xxhash64(F.lit(1), text_or_empty(text_col)).alias("k2")]
+
+
 def count_grams(docs: DataFrame, lang_col: str = "lang", text_col: str = "text") -> DataFrame:
-    """(lang, code, n) over all texts; a null language is the empty one."""
-    schema = pa.schema([("lang", pa.string()), ("code", pa.int32()), ("n", pa.int64())])
+    """(lang, code, n) over all distinct texts of each language; a null language is the empty one.
+
+    The rows of a text that occurs n times count 1 / n each, so that texts needn't meet.
+    """
+    schema = pa.schema([("lang", pa.string()), ("code", pa.int32()), ("n", pa.float64())])
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts: dict[str, np.ndarray] = {}
@@ -92,19 +102,21 @@ def count_grams(docs: DataFrame, lang_col: str = "lang", text_col: str = "text")
             counts.clear()
 
         for batch in batches:
-            by_lang: dict[str, list[str]] = {}
-            for lang, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                by_lang.setdefault(lang, []).append(text)
-            for lang, texts in by_lang.items():
+            by_lang: dict[tuple[str, int], list[str]] = {}
+            for lang, text, times in zip(*(batch.column(i).to_pylist() for i in range(3))):
+                by_lang.setdefault((lang, times), []).append(text)
+            for (lang, times), texts in by_lang.items():
                 if lang not in counts and len(counts) >= AT_ONCE:
                     yield from sent()
-                n = counts.setdefault(lang, np.zeros(GRAMS, np.int64))
+                n = counts.setdefault(lang, np.zeros(GRAMS))
                 for some in portions(texts, PORTION):
-                    n += np.bincount(gram_codes(some)[0], minlength=GRAMS)
+                    n += np.bincount(gram_codes(some)[0], minlength=GRAMS) / times
         yield from sent()
 
-    rows = docs.select(F.coalesce(lang_col, F.lit("")).alias("lang"), text_or_empty(text_col))
-    return rows.mapInArrow(count, "lang string, code int, n long").groupBy("lang", "code").agg(F.sum("n").alias("n"))
+    keys = docs.select(F.coalesce(lang_col, F.lit("")).alias("lang"), *text_key(text_col), text_or_empty(text_col).alias("text"))
+    copies = written(keys.groupBy("lang", "k1", "k2").agg(F.count("*").alias("times")).where("times > 1"), "copies")
+    rows = keys.join(few(copies), ["lang", "k1", "k2"], "left").select("lang", "text", F.coalesce("times", F.lit(1)).alias("times"))
+    return rows.mapInArrow(count, "lang string, code int, n double").groupBy("lang", "code").agg(F.round(F.sum("n")).cast("long").alias("n"))
 
 
 def gram_hash(order: int, codes: np.ndarray) -> np.ndarray:
@@ -213,9 +225,9 @@ MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words
 
 
 def score(docs: DataFrame, keep: list[str], lang_col: str = "lang", text_col: str = "text") -> DataFrame:
-    """(row, lang, measures, log_perplexity) of each document, ``row`` being a struct of the columns ``keep``.
+    """(row, lang, k1, k2, measures, log_perplexity) of each document, ``row`` being a struct of the columns ``keep`` and k1, k2 the text's hash.
 
-    Reads the documents twice, once to count and once to score. Models are broadcast as long as those
+    Reads the documents three times, to find copies, to count and to score. Models are broadcast as long as those
     of all languages have at most ENTRIES entries; otherwise languages are scored in groups that do.
     """
     small_batches(docs.sparkSession)
@@ -227,7 +239,7 @@ def score(docs: DataFrame, keep: list[str], lang_col: str = "lang", text_col: st
             size = 0
         groups[-1].append(r.lang)
         size += r.entries
-    rows = docs.select(F.coalesce(lang_col, F.lit("")).alias("lang"), text_or_empty(text_col).alias("text"), F.struct(*[F.col(c) for c in keep]).alias("row"))
+    rows = docs.select(F.coalesce(lang_col, F.lit("")).alias("lang"), text_or_empty(text_col).alias("text"), *text_key(text_col), F.struct(*[F.col(c) for c in keep]).alias("row"))
     out = None
     for group in groups:
         some = _score(rows if len(groups) == 1 else rows.where(F.col("lang").isin(group)), models.where(F.col("lang").isin(group)).collect())
@@ -237,7 +249,7 @@ def score(docs: DataFrame, keep: list[str], lang_col: str = "lang", text_col: st
 
 def _score(rows: DataFrame, models: list) -> DataFrame:
     held = rows.sparkSession.sparkContext.broadcast({m.lang: (np.frombuffer(m.hashes, np.uint64), np.frombuffer(m.logs, np.float32), np.frombuffer(m.backs, np.float32)) for m in models})
-    fields = [("lang", pa.string()), *((m, pa.int64()) for m in MEASURES), ("log_perplexity", pa.float64())]
+    fields = [("lang", pa.string()), ("k1", pa.int64()), ("k2", pa.int64()), *((m, pa.int64()) for m in MEASURES), ("log_perplexity", pa.float64())]
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables: dict[str, np.ndarray] = {}
@@ -262,10 +274,10 @@ def _score(rows: DataFrame, models: list) -> DataFrame:
                     loss[at[begin : begin + len(some)]] = -sums / np.maximum(1, [len(t) for t in some])
                     begin += len(some)
             found = list(zip(*map(base_measures, as_bytes(batch.column("text"))))) or [[]] * len(MEASURES)
-            columns = [batch.column("row"), pa.array(langs, pa.string()), *(pa.array(x, pa.int64()) for x in found), pa.array(loss)]
+            columns = [batch.column("row"), pa.array(langs, pa.string()), batch.column("k1"), batch.column("k2"), *(pa.array(x, pa.int64()) for x in found), pa.array(loss)]
             yield pa.RecordBatch.from_arrays(columns, names=["row", *(n for n, _ in fields)])
 
-    schema = T.StructType([T.StructField("row", rows.schema["row"].dataType), T.StructField("lang", T.StringType()), *(T.StructField(m, T.LongType()) for m in MEASURES), T.StructField("log_perplexity", T.DoubleType())])
+    schema = T.StructType([T.StructField("row", rows.schema["row"].dataType), T.StructField("lang", T.StringType()), T.StructField("k1", T.LongType()), T.StructField("k2", T.LongType()), *(T.StructField(m, T.LongType()) for m in MEASURES), T.StructField("log_perplexity", T.DoubleType())])
     return rows.mapInArrow(measure, schema)
 
 
@@ -277,18 +289,19 @@ def judge(docs: DataFrame, keep: list[str] | None = None, lang_col: str = "lang"
     """(row, lang, measures, log_perplexity, lower, upper, base_failed, kept) of each document.
 
     ``row`` is a struct of the columns ``keep`` (all of ``docs`` unless given). Bands come from the
-    documents of each language that pass the base rules. A null text is an empty one and a null
+    distinct texts of each language that pass the base rules, with a spread of LEAST_SPREAD at least. A null text is an empty one and a null
     language the empty one, with a band of its own; empty texts fail the base rules, repeated rows
     are judged alike, and an empty table stays empty.
     """
     scored = written(score(docs, docs.columns if keep is None else keep, lang_col, text_col), "scored").withColumn("base_failed", base_failed())
-    quartiles = scored.where(~F.col("base_failed")).groupBy("lang").agg(F.percentile_approx("log_perplexity", [0.25, 0.75], 10_000).alias("q"))
-    spread = F.col("q")[1] - F.col("q")[0]
+    texts = scored.where(~F.col("base_failed")).groupBy("lang", "k1", "k2").agg(F.min("log_perplexity").alias("log_perplexity"))
+    quartiles = texts.groupBy("lang").agg(F.percentile_approx("log_perplexity", [0.25, 0.75], 10_000).alias("q"))
+    spread = F.greatest(F.col("q")[1] - F.col("q")[0], F.lit(LEAST_SPREAD))
     bands = quartiles.select("lang", (F.col("q")[0] - F.lit(LOWER_REACH) * spread).alias("lower"), (F.col("q")[1] + F.lit(UPPER_REACH) * spread).alias("upper"))
     varies = F.lit(SHORT) / F.sqrt(F.greatest(F.lit(1), "word_chars"))
     inside = F.col("log_perplexity").between(F.col("lower") - varies, F.col("upper") + varies)
-    few = bands.count() <= 100_000  # a row for each language
-    return scored.join(F.broadcast(bands) if few else bands, "lang", "left").withColumn("kept", ~F.col("base_failed") & F.coalesce(inside, F.lit(True)))
+    small = bands.count() <= 100_000  # a row for each language
+    return scored.drop("k1", "k2").join(F.broadcast(bands) if small else bands, "lang", "left").withColumn("kept", ~F.col("base_failed") & F.coalesce(inside, F.lit(True)))
 
 
 def keep_good(docs: DataFrame, lang_col: str = "lang", text_col: str = "text") -> DataFrame:

@@ -133,6 +133,24 @@ def test_bands_reject_what_is_unlike_its_language(spark, monkeypatch):
     assert not rows.kept[200] and not rows.kept[201] and rows.kept.mean() > 0.85
 
 
+def sound_texts(n, seed=1):
+    rng = np.random.default_rng(seed)
+    syllables = ["the", "an", "er", "on", "re", "st", "in", "th", "ed", "ou"]
+    return [" ".join("".join(rng.choice(syllables, rng.integers(1, 4))) for _ in range(120)) for _ in range(n)]
+
+
+def test_copies_do_not_move_models_or_bands(spark):
+    """One text's copies dominate a language, with the production reaches; then one text and its copies are all of it."""
+    rows = [doc(i, t, "de") for i, t in enumerate(sound_texts(60))]
+    more = rows + [doc(100 + i, rows[0][1], "de") for i in range(400)]
+    one, many = spark.createDataFrame(rows, DOCS), spark.createDataFrame(more, DOCS).repartition(7)
+    assert Counter(quality.count_grams(one).collect()) == Counter(quality.count_grams(many).collect())
+    a, b = (quality.judge(d, keep=["doc_id"]).toPandas() for d in (one, many))
+    assert np.allclose([a.lower[0], a.upper[0]], [b.lower[0], b.upper[0]]) and b.kept.all() and len(b) == len(more)
+    alone = quality.judge(spark.createDataFrame(more[60:], DOCS), keep=["doc_id"]).toPandas()
+    assert alone.kept.all() and alone.upper[0] - alone.lower[0] >= (quality.LOWER_REACH + quality.UPPER_REACH) * quality.LEAST_SPREAD * 0.999
+
+
 # --- similarity join
 
 
