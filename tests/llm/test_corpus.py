@@ -151,6 +151,18 @@ def test_copies_do_not_move_models_or_bands(spark):
     assert alone.kept.all() and alone.upper[0] - alone.lower[0] >= (quality.LOWER_REACH + quality.UPPER_REACH) * quality.LEAST_SPREAD * 0.999
 
 
+def test_production_reaches_reject_junk_and_keep_good(spark):
+    """With the reaches as they are: a few texts with bars between all words, then the labelled texts of the given tables."""
+    good = sound_texts(200, seed=5)
+    junk = [" | ".join(t.split()) for t in sound_texts(4, seed=7)]
+    rows = quality.judge(spark.createDataFrame([doc(i, t) for i, t in enumerate(good + junk)], DOCS), keep=["doc_id"]).toPandas()
+    bad = np.array([r["doc_id"] >= len(good) for r in rows["row"]])
+    assert not rows.kept[bad].any() and rows.kept[~bad].mean() >= 0.99
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    seen = quality.judge(docs, keep=["doc_id"]).where("not base_failed").select("row.doc_id", "kept").join(labels, "doc_id").toPandas()
+    assert seen.kept[seen.quality == 1].mean() >= 0.985 and seen.kept[seen.quality == 0].mean() <= 0.3
+
+
 # --- similarity join
 
 
