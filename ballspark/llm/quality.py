@@ -1,7 +1,7 @@
 """Quality rules with n-gram perplexity.
 
 A modified Kneser-Ney model for each language, of ORDER-grams over 32 character classes (letters
-without accents, digits, space, marks), counted by Spark over every whole text. With that alphabet a
+without accents, digits, space, marks; letters of other scripts in turn as 26 classes), counted by Spark over every whole text. With that alphabet a
 language has at most 32 ** 4 n-grams, which bounds each model whatever the corpus. A model is sorted
 arrays: 64-bit hashes of the n-grams of all orders, with their log probabilities and the log back-off
 weights of those that are contexts. A document whose log perplexity is outside its language's band is
@@ -43,8 +43,11 @@ SPACE, MARKS = b" \t\n\x0b\x0c\r", b"#*$%&|<>"
 
 
 def _classes() -> np.ndarray:
-    """Class of each code point below 0x300: 0 space, 1-26 letters, 27 digits, 28 and 30 marks, 29 other letters."""
-    out = np.empty(0x300, np.uint8)
+    """Class of each code point below 0x10000: 0 space, 1-26 letters, 27 digits, 28, 30 and 31 marks, 29 other letters below 0x300.
+
+    Letters of other scripts, and the signs that belong to them, take the classes of letters in turn, without case and accent.
+    """
+    out = np.empty(0x10000, np.uint8)
     for i in range(len(out)):
         c = chr(i)
         base = unicodedata.normalize("NFKD", c)[:1].lower()
@@ -54,13 +57,30 @@ def _classes() -> np.ndarray:
             out[i] = ord(base) - 96
         elif c.isdigit():
             out[i] = 27
-        elif c.isalpha():
-            out[i] = 29
+        elif i < 0x300:
+            out[i] = 29 if c.isalpha() else 28 if i < 128 else 30
+        elif unicodedata.category(c)[0] in "LM":
+            out[i] = 1 + (ord(base) if i < 0x2000 else i) % 26
         else:
-            out[i] = 28 if i < 128 else 30
+            out[i] = 31
     return out
 
 
+def classes_of(points: np.ndarray) -> np.ndarray:
+    """Class of each code point; beyond CLASS, letters in turn but for the planes' signs and pictures."""
+    c = CLASS[np.minimum(points, len(CLASS) - 1)].astype(np.uint32)
+    high = points >= len(CLASS)
+    if high.any():
+        p = points[high]
+        c[high] = np.where((p >= 0x1D000) & (p < 0x20000), 31, 1 + p % 26)
+    return c
+
+
+def composed(texts: list[str]) -> list[str]:
+    """With accents in their letters' code points, as far as there are such."""
+    return [unicodedata.normalize("NFC", t) for t in texts]
+
+
 CLASS = _classes()
 
 
@@ -69,9 +89,7 @@ def gram_codes(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     lengths = np.array([len(t) for t in texts], np.int64)
     lead = "\0" * (ORDER - 1)
     points = np.frombuffer((lead + lead.join(texts)).encode("utf-32-le", "surrogatepass"), np.uint32)
-    c = np.full(len(points), 31, np.uint32)
-    low = points < len(CLASS)
-    c[low] = CLASS[points[low]]
+    c = classes_of(points)
     code = c[ORDER - 1 :].copy()
     for k in range(1, ORDER):
         code |= c[ORDER - 1 - k : len(c) - k] << np.uint32(BITS * k)
@@ -109,7 +127,7 @@ def count_grams(docs: DataFrame, lang_col: str = "lang", text_col: str = "text")
                 if lang not in counts and len(counts) >= AT_ONCE:
                     yield from sent()
                 n = counts.setdefault(lang, np.zeros(GRAMS))
-                for some in portions(texts, PORTION):
+                for some in portions(composed(texts), PORTION):
                     n += np.bincount(gram_codes(some)[0], minlength=GRAMS) / times
         yield from sent()
 
@@ -265,7 +283,7 @@ def _score(rows: DataFrame, models: list) -> DataFrame:
                         tables.clear()
                     tables[lang] = np.full(GRAMS, np.nan, np.float32)
                 begin = 0
-                for some in portions([texts[i] for i in at], PORTION):
+                for some in portions(composed([texts[i] for i in at]), PORTION):
                     codes, which = gram_codes(some)
                     used = np.nonzero(np.bincount(codes, minlength=GRAMS))[0]
                     new = used[np.isnan(tables[lang][used])]

@@ -151,6 +151,19 @@ def test_copies_do_not_move_models_or_bands(spark):
     assert alone.kept.all() and alone.upper[0] - alone.lower[0] >= (quality.LOWER_REACH + quality.UPPER_REACH) * quality.LEAST_SPREAD * 0.999
 
 
+def test_scripts_beyond_latin_are_told_apart(spark):
+    rng = np.random.default_rng(3)
+    syllables = ["ко", "то", "ра", "не", "ст", "при", "во", "ла", "ни", "по"]
+    good = [" ".join("".join(rng.choice(syllables, rng.integers(1, 4))) for _ in range(120)) for _ in range(100)]
+    junk = [" ".join("".join(chr(c) for c in rng.choice([*range(0x460, 0x4FF), *range(0x4E00, 0x5E00, 8)], 5)) for _ in range(120)) for _ in range(5)]
+    rows = quality.judge(spark.createDataFrame([doc(i, t, "ru") for i, t in enumerate(good + junk)], DOCS), keep=["doc_id"]).toPandas()
+    bad = np.array([r["doc_id"] >= len(good) for r in rows["row"]])
+    assert rows.kept[~bad].all() and not rows.kept[bad].any()
+    assert rows.log_perplexity[bad].min() > rows.log_perplexity[~bad].max() + 0.5
+    plain, apart = (quality.gram_codes(quality.composed([t]))[0] for t in ("été", "e\u0301te\u0301"))
+    assert (plain == apart).all()
+
+
 def test_production_reaches_reject_junk_and_keep_good(spark):
     """With the reaches as they are: a few texts with bars between all words, then the labelled texts of the given tables."""
     good = sound_texts(200, seed=5)
