@@ -17,7 +17,7 @@ from ballspark.operators.stats import average_cost, avg_depth, tree_quality
 from ballspark.sources.generators import generate, with_outliers
 from ballspark.sources.points import Points
 from ballspark.sources.queries import data_queries, uniform_queries
-from ballspark.sources.views import hash_cut, points
+from ballspark.sources.views import points
 
 KINDS = ("pab", "fpb", "kdt")
 #: Trees whose visits are compared; a KD-tree that tests the last cut alone prunes least.
@@ -34,10 +34,6 @@ def _index(p: Points, **options) -> SpatialIndex:
     return build_tree(p, BuildConfig(local_rows=ONE_TREE * 20, **options))
 
 
-def _cut(p: Points, most: int | None) -> Points:
-    return p if most is None else Points(hash_cut(p.df, most), p.dim, p.scale)
-
-
 def _bounds(p: Points) -> list[tuple[float, float]]:
     r = p.df.agg(*[f(F.col("x")[j]).alias(f"{n}{j}") for j in range(p.dim) for n, f in (("lo", F.min), ("hi", F.max))]).first()
     return [(r[f"lo{j}"], r[f"hi{j}"]) for j in range(p.dim)]
@@ -59,10 +55,10 @@ def depth_rows(name: str, p: Points, capacity: int = 1) -> list[tuple]:
 
 
 def depth_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = (*STANDINS, *REAL4), generated: int = 20_000) -> DataFrame:
-    """Average leaf depth of each tree with one point a leaf, on the stand-ins and on generated sets."""
+    """Average leaf depth of each tree with one point a leaf, on all rows of the stand-ins and on generated sets."""
     rows = []
     for v in views:
-        rows += depth_rows(v, _cut(points(spark, sf_dir, v), 500_000 if v not in REAL4 else 10_000))
+        rows += depth_rows(v, points(spark, sf_dir, v))
     for kind in SYNTHETIC if generated else ():
         rows += depth_rows(f"generated {kind}", Points(generate(spark, kind, generated), 2))
     return _rows(spark, rows, DEPTHS)
