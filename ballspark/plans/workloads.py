@@ -15,7 +15,7 @@ from ballspark.operators.pca import balanced_bound
 from ballspark.operators.search import nearest, range_search
 from ballspark.operators.stats import average_cost, avg_depth, tree_quality
 from ballspark.sources.generators import generate, with_outliers
-from ballspark.sources.points import Points
+from ballspark.sources.points import Points, to_points
 from ballspark.sources.queries import data_queries, uniform_queries
 from ballspark.sources.views import points
 
@@ -26,6 +26,8 @@ SYNTHETIC = ("latin", "highleyman", "niederreiter", "lithuanian", "sobol")
 STANDINS = ("latin2", "events_uv2", "ship2", "events_tv2", "lattice2")
 REAL4 = ("dup4", "events4")
 QUERIES = 5300
+#: Points of a generated set.
+GENERATED = 500_000
 #: A tree over at most so many points is one part, so that counters and depths are those of a single tree.
 ONE_TREE = 1_000_000
 
@@ -54,7 +56,7 @@ def depth_rows(name: str, p: Points, capacity: int = 1) -> list[tuple]:
     return out
 
 
-def depth_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = (*STANDINS, *REAL4), generated: int = 20_000) -> DataFrame:
+def depth_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = (*STANDINS, *REAL4), generated: int = GENERATED) -> DataFrame:
     """Average leaf depth of each tree with one point a leaf, on all rows of the stand-ins and on generated sets."""
     rows = []
     for v in views:
@@ -72,6 +74,15 @@ def quality_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("
     return _rows(spark, rows, "view string, kind string, inner long, imbalance double, weighted_imbalance double, child_radius double, overlap double, objective double")
 
 
+def _sets(spark: SparkSession, sf_dir: str, views: tuple[str, ...], generated: int) -> list[tuple[str, Points]]:
+    """The views, and the generated sets scaled to the unit square as they are."""
+    sets = [(v, points(spark, sf_dir, v)) for v in views]
+    for kind in SYNTHETIC if generated else ():
+        rows = generate(spark, kind, generated).select("pid", *[F.col("x")[j].alias(f"x{j}") for j in (0, 1)])
+        sets.append((f"generated {kind}", to_points(rows, "pid", ["x0", "x1"], scale="minmax")))
+    return sets
+
+
 VISITS = "view string, kind string, search string, k int, r double, queries long, avg_entered double, avg_expanded double, avg_leaves double, avg_points double, avg_answers double, seconds double"
 
 
@@ -81,11 +92,10 @@ def _cost(view: str, kind: str, search: str, k: int | None, r: float | None, tra
     return (view, kind, search, k, r, c.queries, c.avg_entered, c.avg_expanded, c.avg_leaves, c.avg_points, c.avg_answers, time.monotonic() - began)
 
 
-def visit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "ship2"), queries: int = 200, capacity: int = 8, rs: tuple = (0.02, 0.05, 0.1), ks: tuple = (1, 10, 50)) -> DataFrame:
-    """Nodes visited by one and the same search on the trees, uniform queries."""
+def visit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "ship2"), queries: int = QUERIES, capacity: int = 8, rs: tuple = (0.02, 0.05, 0.1), ks: tuple = (1, 10, 50), generated: int = GENERATED) -> DataFrame:
+    """Nodes visited by one and the same search on the trees, uniform queries, on views and generated sets."""
     rows = []
-    for v in views:
-        p = points(spark, sf_dir, v)
+    for v, p in _sets(spark, sf_dir, views, generated):
         qs = uniform_queries(spark, [(0.0, 1.0)] * p.dim, queries)
         for kind, options in COMPARED.items():
             index = _index(p, leaf_capacity=capacity, **options)
@@ -94,11 +104,10 @@ def visit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("or
     return _rows(spark, rows, VISITS)
 
 
-def cvisit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "ship2"), queries: int = 200, capacity: int = 8, rs: tuple = (0.01, 0.02, 0.05), ks: tuple = (10, 50), orders: tuple = ("right_first", "near_first")) -> DataFrame:
-    """Nodes visited and time of nearest neighbours with and without the range constraint, on the principal-axis tree, in equal visiting orders."""
+def cvisit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "ship2"), queries: int = QUERIES, capacity: int = 8, rs: tuple = (0.01, 0.02, 0.05), ks: tuple = (10, 50), orders: tuple = ("right_first", "near_first"), generated: int = GENERATED) -> DataFrame:
+    """Nodes visited and time of nearest neighbours with and without the range constraint, on the principal-axis tree, in equal visiting orders, on views and generated sets."""
     rows = []
-    for v in views:
-        p = points(spark, sf_dir, v)
+    for v, p in _sets(spark, sf_dir, views, generated):
         index, qs = _index(p, leaf_capacity=capacity), uniform_queries(spark, [(0.0, 1.0)] * p.dim, queries)
         for order, k in product(orders, ks):
             rows.append(_cost(v, "pab", f"knn {order}", k, None, nearest(index, qs.drop("r"), k, trace=True, order=order)))
@@ -115,7 +124,7 @@ def dominance(spark: SparkSession, sf_dir: str, view: str, k: int, r: float, que
     return c.join(n, "qid").join(g, "qid").agg(F.count("*").alias("queries"), F.count_if(F.col("c") > F.col("n")).alias("above_knn"), F.count_if(F.col("c") > F.col("g")).alias("above_range"))
 
 
-def alpha_sweep(spark: SparkSession, sf_dir: str, view: str = "events_uv2", queries: int = 100, alphas: tuple = (0.0, 0.25, 0.5, 1.0, 2.0, 4.0), sections: tuple = (8, 64), offsets: tuple = ("centred", "printed"), r: float = 0.05, k: int = 10) -> DataFrame:
+def alpha_sweep(spark: SparkSession, sf_dir: str, view: str = "events_uv2", queries: int = QUERIES, alphas: tuple = (0.0, 0.25, 0.5, 1.0, 2.0, 4.0), sections: tuple = (8, 16, 64, 256), offsets: tuple = ("centred", "printed"), r: float = 0.05, k: int = 10) -> DataFrame:
     """Depth and nodes visited by the weight and the number of sections, for uniform queries and for queries from the data."""
     p = points(spark, sf_dir, view)
     sets = {"uniform": uniform_queries(spark, _bounds(p), queries), "data": data_queries(p.df, queries)}
@@ -140,7 +149,7 @@ def outlier_study(spark: SparkSession, sf_dir: str, view: str = "orders2") -> Da
     return _rows(spark, rows, "view string, kind string, outliers boolean, avg_depth double, max_depth int, imbalance double, weighted_imbalance double")
 
 
-def scale_report(spark: SparkSession, sf_dir: str, sizes: tuple = (1_000, 10_000, 100_000), queries: int = 200, k: int = 10, r: float = 0.05, generated: str = "uniform", view: str | None = "ship2") -> DataFrame:
+def scale_report(spark: SparkSession, sf_dir: str, sizes: tuple = (1_000, 10_000, 100_000, 1_000_000, 10_000_000), queries: int = QUERIES, k: int = 10, r: float = 0.05, generated: str = "uniform", view: str | None = "ship2") -> DataFrame:
     """Build and search seconds by the number of points, with the growth to the next size."""
     rows = []
     sets = [(f"generated {generated}", Points(generate(spark, generated, n), 2)) for n in sizes]
@@ -156,7 +165,7 @@ def scale_report(spark: SparkSession, sf_dir: str, sizes: tuple = (1_000, 10_000
     return _rows(spark, rows, "view string, n long, parts int, build_seconds double, search_seconds double, answers long")
 
 
-def high_dimension(spark: SparkSession, sf_dir: str, queries: int = 20, k: int = 10) -> DataFrame:
+def high_dimension(spark: SparkSession, sf_dir: str, queries: int = QUERIES, k: int = 10) -> DataFrame:
     """Unit vectors in 64 dimensions, nearly isotropic: pruning is expected to fail, answers to stay exact."""
     p = points(spark, sf_dir, "emb64")
     rows = []

@@ -1,6 +1,12 @@
 """The registered experiments take whole tables; small arguments against brute force."""
 
+import inspect
+
+import pytest
+
+from ballspark.operators.search import brute
 from ballspark.plans import workloads
+from ballspark.sources.queries import uniform_queries
 
 SF001 = "/root/testdata/sf0.01"
 
@@ -10,3 +16,27 @@ def test_depth_report_takes_all_rows(spark):
     lines, events = (spark.read.parquet(f"{SF001}/{t}.parquet").count() for t in ("lineitem", "events"))
     assert {(r.view, r.n) for r in rows} == {("dup4", lines), ("events4", events)} and lines > 10_000
     assert len(rows) == 2 * len(workloads.KINDS)
+
+
+def test_defaults_are_whole():
+    """inv_dominance is not among these: its SQL says 200 queries."""
+    default = lambda f, name: inspect.signature(f).parameters[name].default
+    for f in (workloads.visit_report, workloads.cvisit_report, workloads.alpha_sweep, workloads.scale_report, workloads.high_dimension):
+        assert default(f, "queries") == 5300
+    for f in (workloads.depth_report, workloads.visit_report, workloads.cvisit_report):
+        assert default(f, "generated") == 500_000
+    assert default(workloads.alpha_sweep, "sections") == (8, 16, 64, 256)
+    assert default(workloads.scale_report, "sizes")[-2:] == (10**6, 10**7)
+
+
+def test_visits_answer_as_brute_force(spark, sf_dir, monkeypatch):
+    monkeypatch.setattr(workloads, "COMPARED", {"pab": {}})
+    monkeypatch.setattr(workloads, "SYNTHETIC", ("lithuanian",))
+    got = {(r.view, r.search, r.r): r for r in workloads.visit_report(spark, sf_dir, ("orders2",), queries=12, rs=(0.1,), ks=(5,), generated=300).collect()}
+    near = {(r.view, r.search): r for r in workloads.cvisit_report(spark, sf_dir, ("orders2",), queries=12, rs=(0.05,), ks=(5,), orders=("near_first",), generated=300).collect()}
+    for v, p in workloads._sets(spark, sf_dir, ("orders2",), 300):
+        qs = uniform_queries(spark, [(0.0, 1.0)] * 2, 12)
+        assert got[v, "range", 0.1].queries == 12 == near[v, "knn near_first"].queries
+        assert got[v, "range", 0.1].avg_answers == pytest.approx(brute(p.df, qs, 2, None, 0.1).count() / 12)
+        assert near[v, "constrained near_first"].avg_answers == pytest.approx(brute(p.df, qs, 2, 5, 0.05).count() / 12)
+    assert len(got) == 4 and len(near) == 4
