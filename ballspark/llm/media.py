@@ -51,10 +51,9 @@ def from_wav(image: bytes) -> bytes:
 
 
 def spectrum(samples: bytes) -> np.ndarray:
-    """Magnitudes, a row for each frame; sounds shorter than a window are padded with silence."""
+    """Magnitudes, a row for each frame; sounds are padded with silence to a window and whole hops, so that every sample is in a frame."""
     x = np.frombuffer(samples, np.uint8).astype(np.float32) - 128
-    if len(x) < WINDOW:
-        x = np.pad(x, (0, WINDOW - len(x)))
+    x = np.pad(x, (0, WINDOW - len(x) if len(x) < WINDOW else -(len(x) - WINDOW) % HOP))
     frames = np.lib.stride_tricks.sliding_window_view(x, WINDOW)[::HOP]
     return np.concatenate([np.abs(np.fft.rfft(frames[i : i + FRAMES] * HANN, axis=1)).astype(np.float32) for i in range(0, len(frames), FRAMES)])
 

@@ -104,6 +104,15 @@ def test_fingerprints_find_tones():
     assert len(media.fingerprint(b"\x80" * 640)[1]) == 0
 
 
+def test_every_sample_is_in_a_frame():
+    """Sounds of 704 samples that differ in the last 192 only, and lengths around whole hops."""
+    rng = np.random.default_rng(4)
+    a, b, c = (rng.integers(0, 256, n).astype(np.uint8).tobytes() for n in (512, 192, 192))
+    assert not np.array_equal(media.spectrum(a + b)[-1], media.spectrum(a + c)[-1])
+    assert [len(media.spectrum(bytes(n))) for n in (64, 512, 513, 704, 768, 769, 1024)] == [1, 1, 2, 2, 2, 3, 3]
+    assert any(not np.array_equal(x, y) for x, y in zip(media.fingerprint(a + b), media.fingerprint(a + c)))
+
+
 # --- tokens
 
 
