@@ -1,14 +1,16 @@
-"""Token ids by the tokenizers library, each distinct pre-token encoded once a process.
+"""Token ids by the tokenizers library, each distinct pre-token merged once a process.
 
-Byte-level BPE never merges across pre-tokens, so a text's ids are its pre-tokens' ids in a row. The
-split runs on the standard ``re`` module where every character of a text has the same class there
-as in the tokenizer's pattern; all other texts, and tokenizers of another make, go to the library whole.
+Byte-level BPE never merges across pre-tokens, so a text's ids are its pre-tokens' ids in a row. Whole
+arrays of texts are split at once: a byte's class and its neighbours' say whether a pre-token begins
+there, as long as all characters are ASCII or Latin letters. Other texts are split by the standard
+``re`` module where every character has the same class there as in the tokenizer's pattern; all
+other texts, and tokenizers of another make, go to the library whole. Pre-tokens are looked up by 128-bit
+hashes of their bytes; the library's model merges those that aren't known, many in one call.
 """
 
 from __future__ import annotations
 
 import functools
-import gc
 import json
 import os
 import re
@@ -21,17 +23,157 @@ from pyspark.sql import DataFrame
 
 from .common import batch_of, portions, text_or_empty
 
-#: Pre-tokens kept in a process, and characters of texts whose unknown pre-tokens are encoded at once.
-CACHE, TOGETHER = 1_000_000, 1_500_000
+#: Pre-tokens kept in a process; the share of them that stays when there are as many; characters that are split at once.
+CACHE, KEPT, TOGETHER = 1_500_000, 0.25, 1_000_000
 
 SPLIT = re.compile(r"'(?:[stmd]|re|ve|ll)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]+|_+)+|\s+(?!\S)|\s+")
+#: Classes of bytes; END stands between texts.
+END, BLANK, GAP, LETTER, DIGIT, MARK = range(6)
+END_BYTE = 0xFF
 
 
-def _other_class() -> re.Pattern:
-    """Finds a character that is not proved to be of one class in both pattern languages."""
+def _known_characters() -> list[str]:
+    """Those that are proved to be of one class in both pattern languages."""
     pairs = [(re.compile(r"[^\W\d_]"), regex.compile(r"\p{L}")), (re.compile(r"\d"), regex.compile(r"\p{N}")), (re.compile(r"\s"), regex.compile(r"\s"))]
-    known = [c for c in map(chr, [*range(0x250), *range(0x2010, 0x2028), 0x20AC]) if not "\x1c" <= c <= "\x1f" and all(bool(a.match(c)) == bool(b.match(c)) for a, b in pairs)]
-    return re.compile(f"[^{re.escape(''.join(known))}]")
+    return [c for c in map(chr, [*range(0x250), *range(0x2010, 0x2028), 0x20AC]) if not "\x1c" <= c <= "\x1f" and all(bool(a.match(c)) == bool(b.match(c)) for a, b in pairs)]
+
+
+def _byte_classes() -> np.ndarray:
+    """Of ASCII by the patterns; bytes above are those of Latin letters."""
+    out = np.full(256, LETTER, np.uint8)
+    for b in range(128):
+        c = chr(b)
+        out[b] = BLANK if c == " " else GAP if c.isspace() else DIGIT if c.isdigit() else LETTER if c.isalpha() else MARK
+    out[END_BYTE] = END
+    return out
+
+
+def _byte_alphabet() -> np.ndarray:
+    """The character that byte-level vocabularies write for each byte: itself where it prints, else the next from U+0100 on."""
+    prints = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    others = iter(range(0x100, 0x200))
+    return np.array([b if b in prints else next(others) for b in range(256)], np.uint32)
+
+
+CLASSES, ALPHABET = _byte_classes(), _byte_alphabet()
+
+
+def starts(data: np.ndarray) -> np.ndarray:
+    """Whether a pre-token starts at each byte of texts with END_BYTE between them and at least three of it behind."""
+    c = CLASSES[data]
+    before, after = np.zeros_like(c), np.zeros_like(c)
+    before[1:], after[:-1] = c[:-1], c[1:]
+    # of several white characters before a text goes on the last one is for itself, and a blank goes with what follows
+    gap = (c == BLANK) | (c == GAP)
+    out = np.where(gap, (before != BLANK) & (before != GAP) | (after > GAP), (c != before) & (before != BLANK) | (c == END))
+    at = np.nonzero((data == ord("'")) & out)[0]
+    one, two = data[at + 1], data[at + 2]
+    short = np.isin(one, np.frombuffer(b"stmd", np.uint8))
+    long = (two == ord("e")) & ((one == ord("r")) | (one == ord("v"))) | (one == ord("l")) & (two == ord("l"))
+    out[at[short | long] + 1] = False
+    out[at[short] + 2] = True
+    out[at[long] + 3] = True
+    return out
+
+
+class Hashes:
+    """Two 64-bit hashes of stretches of bytes: sums of a number for each byte times a power for its place."""
+
+    def __init__(self):
+        random = np.random.default_rng(20)
+        self.numbers = random.integers(0, 1 << 64, (2, 256), np.uint64, endpoint=False)
+        self.bases = [0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93]
+        self.inverses = [pow(b, -1, 1 << 64) for b in self.bases]
+        self.powers = [np.ones(1, np.uint64)] * 4
+
+    def of(self, data: np.ndarray, begin: np.ndarray, end: np.ndarray) -> list[np.ndarray]:
+        if len(self.powers[0]) < len(data):
+            self.powers = [np.append(np.uint64(1), np.cumprod(np.full(len(data), b, np.uint64))) for b in (*self.bases, *self.inverses)]
+        out = []
+        for k in range(2):
+            sums = np.zeros(len(data) + 1, np.uint64)
+            np.cumsum(self.numbers[k][data] * self.powers[k][: len(data)], out=sums[1:])
+            out.append((sums[end] - sums[begin]) * self.powers[2 + k][begin])
+        return out
+
+
+class Table:
+    """Ids by hash: open addressing over arrays, and a pool of ids. Bounded; what is asked for least goes."""
+
+    def __init__(self, dtype: np.dtype, most: int):
+        self.most, self.dtype = most, dtype
+        self.clear()
+
+    def clear(self) -> None:
+        self.n = 0
+        self.hash, self.check = np.zeros(1024, np.uint64), np.zeros(1024, np.uint64)
+        self.begin, self.size, self.uses = np.zeros(1024, np.int64), np.zeros(1024, np.int64), np.zeros(1024, np.int64)
+        self.pool, self.pooled = np.zeros(4096, self.dtype), 0
+        self._slots(1 << 12)
+
+    def _slots(self, n: int) -> None:
+        self.shift = np.uint64(65 - n.bit_length())
+        self.slot = np.full(n, -1, np.int32)
+        self._place(np.arange(self.n))
+
+    def _at(self, h: np.ndarray) -> np.ndarray:
+        return (h * np.uint64(0xA0761D6478BD642F) >> self.shift).astype(np.int64)
+
+    def _place(self, entries: np.ndarray) -> None:
+        at = self._at(self.hash[entries])
+        while len(entries):
+            free = self.slot[at] < 0
+            self.slot[at[free]] = entries[free]  # of several for one slot the last stays
+            left = self.slot[at] != entries
+            entries, at = entries[left], (at[left] + 1) & (len(self.slot) - 1)
+
+    def find(self, h: np.ndarray, check: np.ndarray) -> np.ndarray:
+        """The entry of each hash, -1 where there is none."""
+        at = self._at(h)
+        out = self.slot[at]
+        open = np.nonzero((out >= 0) & ((self.hash[out] != h) | (self.check[out] != check)))[0]
+        at = at[open]
+        while len(open):
+            at = (at + 1) & (len(self.slot) - 1)
+            entry = self.slot[at]
+            out[open] = entry
+            on = (entry >= 0) & ((self.hash[entry] != h[open]) | (self.check[entry] != check[open]))
+            open, at = open[on], at[on]
+        return out
+
+    def add(self, h: np.ndarray, check: np.ndarray, ids: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        """New entries, of hashes that are not there; returns their numbers."""
+        n = self.n + len(h)
+        for name in ("hash", "check", "begin", "size", "uses"):
+            if len(a := getattr(self, name)) < n:
+                setattr(self, name, np.concatenate([a, np.zeros(max(n - len(a), len(a)), a.dtype)]))
+        if len(self.pool) < self.pooled + len(ids):
+            self.pool = np.concatenate([self.pool, np.zeros(max(len(ids), len(self.pool)), self.dtype)])
+        new = np.arange(self.n, n)
+        self.hash[new], self.check[new], self.size[new], self.uses[new] = h, check, sizes, 0
+        self.begin[new] = self.pooled + np.cumsum(sizes) - sizes
+        self.pool[self.pooled : self.pooled + len(ids)] = ids
+        self.n, self.pooled = n, self.pooled + len(ids)
+        if 2 * n > len(self.slot):
+            self._slots(1 << (4 * n).bit_length() - 1)
+        else:
+            self._place(new)
+        return new
+
+    def ids(self, entries: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The entries' ids in a row, and where each one's end."""
+        sizes = self.size[entries]
+        ends = np.cumsum(sizes)
+        return self.pool[np.repeat(self.begin[entries] - ends + sizes, sizes) + np.arange(ends[-1] if len(ends) else 0)], ends
+
+    def age(self) -> None:
+        """Once there are too many entries, those that were asked for least go."""
+        if self.n <= self.most:
+            return
+        stay = np.sort(np.argpartition(-self.uses[: self.n], int(KEPT * self.most))[: int(KEPT * self.most)])
+        (ids, _), kept = self.ids(stay), [a[stay] for a in (self.hash, self.check, self.size, self.uses)]
+        self.clear()
+        self.uses[self.add(kept[0], kept[1], ids, kept[2])] = kept[3] // 2
 
 
 class Encoder:
@@ -39,7 +181,7 @@ class Encoder:
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.library = Tokenizer.from_file(path)
         with open(path, encoding="utf-8") as file:
@@ -47,83 +189,146 @@ class Encoder:
         pre = made.get("pre_tokenizer") or {}
         self.by_pieces = pre.get("type") == "ByteLevel" and pre.get("use_regex", True) and not pre.get("add_prefix_space") and not made.get("normalizer") and not made["model"].get("ignore_merges") and not made["model"].get("dropout")
         self.dtype = np.dtype("<u2" if self.library.get_vocab_size() <= 1 << 16 else "<u4")
-        added = {t["content"]: t["id"] for t in made.get("added_tokens", [])}
+        self.added = {t["content"]: t["id"] for t in made.get("added_tokens", [])}
         if any(t.get("lstrip") or t.get("rstrip") or t.get("single_word") or t.get("normalized") and not t.get("special") for t in made.get("added_tokens", [])):
             self.by_pieces = False
-        self.added = {k: self._bytes([v]) for k, v in added.items()}
-        self.at_added = re.compile("(" + "|".join(re.escape(k) for k in sorted(added, key=len, reverse=True)) + ")") if added else None
-        self.other = _other_class()
-        self.known: dict[str, bytes] = dict(self.added)
+        self.at_added = re.compile("(" + "|".join(re.escape(k) for k in sorted(self.added, key=len, reverse=True)) + ")") if self.added else None
+        known = _known_characters()
+        self.other = re.compile(f"[^{re.escape(''.join(known))}]")
+        self.not_plain = re.compile(f"[^{re.escape(''.join(c for c in known if c < '\x80' or c >= '\xc0' and c.isalpha()))}]")
+        self.table, self.hashes = Table(self.dtype, CACHE), Hashes()
+        #: The library's own model alone, for pre-tokens that are already in the alphabet of bytes, with blanks between them.
+        self.merger = Tokenizer(self.library.model)
+        self.merger.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
         #: Bytes that each id stands for, where the tokenizer is byte-level: its strings have a character for each byte.
         vocabulary = self.library.get_vocab(with_added_tokens=True)
         self.lengths = np.zeros(max(vocabulary.values(), default=0) + 1, np.int64)
         self.lengths[list(vocabulary.values())] = [len(k) for k in vocabulary]
 
+    def merge(self, data: np.ndarray, begin: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, how many of each) of pre-tokens, all in one call; their ids part where their bytes do."""
+        lengths = end - begin
+        ends = np.cumsum(lengths)
+        place = np.arange(ends[-1]) + np.repeat(np.arange(len(lengths)), lengths)
+        written = np.full(ends[-1] + len(lengths), ord(" "), np.uint32)
+        written[place] = ALPHABET[data[np.repeat(begin - ends + lengths, lengths) + np.arange(ends[-1])]]
+        found = np.array(self.merger.encode_batch_fast([written.tobytes().decode("utf-32-le")], add_special_tokens=False)[0].ids, np.int64)
+        stops = np.searchsorted(np.cumsum(self.lengths[found]), ends) + 1
+        return found, np.diff(stops, prepend=0)
+
+    def entries(self, data: np.ndarray, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
+        """The table's entry of each pre-token; unknown ones are learned. Valid until the table ages."""
+        h, check = self.hashes.of(data, begin, end)
+        out = self.table.find(h, check)
+        new = np.nonzero(out < 0)[0]
+        if len(new):
+            order = new[np.lexsort((check[new], h[new]))]
+            first = np.ones(len(order), bool)
+            first[1:] = (h[order][1:] != h[order][:-1]) | (check[order][1:] != check[order][:-1])
+            one = order[first]
+            entry = self.table.add(h[one], check[one], *self.merge(data, begin[one], end[one]))
+            out[order] = entry[np.cumsum(first) - 1]
+        self.table.uses[: self.table.n] += np.bincount(out, minlength=self.table.n)
+        return out
+
+    def know(self, strings: list[bytes], ids: np.ndarray) -> None:
+        """Enters strings that are known to be one token each, and no merging."""
+        data = np.frombuffer(b"".join(strings), np.uint8)
+        end = np.cumsum([len(s) for s in strings], dtype=np.int64)
+        h, check = self.hashes.of(data, np.append(0, end)[:-1], end)
+        new = np.nonzero(self.table.find(h, check) < 0)[0]
+        self.table.add(h[new], check[new], ids[new], np.ones(len(new), np.int64))
+
+    def split(self, texts: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """(bytes, begins, ends, which text) of the pre-tokens of texts, as many at once as TOGETHER allows; each text's in order.
+
+        Of texts without added tokens and without characters that only the library splits.
+        """
+        plain = ([], [])
+        odd = []
+        size = 0
+
+        def together() -> tuple[np.ndarray, ...]:
+            stretches, of = plain
+            data = np.frombuffer(b"\xff".join(stretches) + b"\xff" * 3, np.uint8)
+            at = np.nonzero(starts(data))[0]
+            end = np.append(at[1:], len(data))
+            real = data[at] != END_BYTE
+            which = np.cumsum(~real) - (~real)
+            return data, at[real], end[real], np.array(of)[which[real]]
+
+        for i, text in enumerate(texts):
+            if self.not_plain.search(text):
+                odd.append((i, text))
+                continue
+            for part in stretches_of(text, TOGETHER):
+                plain[0].append(part.encode())
+                plain[1].append(i)
+                size += len(part)
+                if size >= TOGETHER:
+                    yield together()
+                    plain[0].clear()
+                    plain[1].clear()
+                    size = 0
+        if plain[0]:
+            yield together()
+        for i, text in odd:
+            for part in stretches_of(text, TOGETHER):
+                data = np.frombuffer(part.encode(), np.uint8)
+                end = np.cumsum([len(p.encode()) for p in SPLIT.findall(part)], dtype=np.int64)
+                yield data, np.append(0, end)[:-1], end, np.full(len(end), i)
+
+    def whole(self, text: str) -> bool:
+        """Whether the library has to take the text whole."""
+        return not self.by_pieces or self.other.search(text) is not None
+
     def _bytes(self, ids: list[int]) -> bytes:
         return np.asarray(ids, self.dtype).tobytes()
 
-    def pieces(self, text: str) -> list[str] | None:
-        """The pre-tokens, added tokens among them; None if the library has to take the text whole."""
-        if not self.by_pieces or self.other.search(text):
-            return None
-        if self.at_added and any(k in text for k in self.added):
-            out: list[str] = []
-            for part in self.at_added.split(text):
-                out += [part] if part in self.added else SPLIT.findall(part)
-            return out
-        return SPLIT.findall(text)
-
-    def learn(self, pieces: set[str]) -> None:
-        """Encodes pieces that aren't known yet, all in one call; their ids part where their bytes do."""
-        if len(self.known) + len(pieces) > CACHE:
-            self.known.clear()
-            self.known |= self.added
-        new = list(pieces)
-        found = self.library.encode_batch_fast([new], is_pretokenized=True, add_special_tokens=False)[0].ids if new else []
-        data = self._bytes(found)
-        ends = np.cumsum(self.lengths[found]) if found else np.empty(0, np.int64)
-        stops = (np.searchsorted(ends, np.cumsum([len(p.encode()) for p in new])) + 1) * self.dtype.itemsize
-        begin = 0
-        for piece, stop in zip(new, stops.tolist()):
-            self.known[piece] = data[begin:stop]
-            begin = stop
-
-    def look_up(self, split: list[list[str] | None]) -> list[list[bytes] | None]:
-        """The ids of each piece of each text; new pieces of all texts are learned together."""
-        known = self.known.get
-        found = [list(map(known, p)) if p is not None else None for p in split]
-        holes = []
-        for p, f in zip(split, found):
-            if f is not None and None in f:
-                at = f.index(None)
-                while at >= 0:
-                    holes.append((f, at, p[at]))
-                    try:
-                        at = f.index(None, at + 1)
-                    except ValueError:
-                        at = -1
-        if holes:
-            self.learn({piece for _, _, piece in holes})
-            for f, at, piece in holes:
-                f[at] = self.known[piece]
-        return found
-
     def encode(self, texts: list[str]) -> list[bytes]:
-        collecting = gc.isenabled()
-        gc.disable()  # nothing here is cyclic, and the many short lists would set it off again and again
-        try:
-            return self._encode(texts)
-        finally:
-            if collecting:
-                gc.enable()
-
-    def _encode(self, texts: list[str]) -> list[bytes]:
         out: list[bytes] = []
         for some in portions(texts, TOGETHER):
-            found = self.look_up([self.pieces(t) for t in some])
-            out += [b"".join(f) if f is not None else self._bytes(self.library.encode(t, add_special_tokens=False).ids) for t, f in zip(some, found)]
+            out += self._encode(some)
         return out
 
+    def _encode(self, texts: list[str]) -> list[bytes]:
+        out, split = [b""] * len(texts), []
+        for i, t in enumerate(texts):
+            if self.whole(t):
+                out[i] = self._bytes(self.library.encode(t, add_special_tokens=False).ids)
+            elif self.at_added and any(k in t for k in self.added):
+                parts = self.at_added.split(t)
+                between = iter(self.encode(parts[::2]))
+                out[i] = b"".join(self._bytes([self.added[p]]) if k % 2 else next(between) for k, p in enumerate(parts))
+            elif t:
+                split.append(i)
+        for data, begin, end, which in self.split([texts[i] for i in split]):
+            ids, ends = self.table.ids(self.entries(data, begin, end))
+            cuts = np.nonzero(np.diff(which))[0]
+            stops = [*ends[cuts].tolist(), len(ids)]
+            raw, at, size = ids.tobytes(), 0, self.dtype.itemsize
+            for i, stop in zip([*which[cuts].tolist(), int(which[-1])], stops):
+                out[split[i]] += raw[at * size : stop * size]
+                at = stop
+            self.table.age()
+        return out
+
+
+def stretches_of(text: str, most: int) -> Iterator[str]:
+    """The text in stretches of about ``most`` characters, each but the first with a pre-token's blank in front."""
+    begin = 0
+    while len(text) - begin > 2 * most:
+        cut = AT_BLANK.search(text, begin + most)
+        if cut is None:
+            break
+        yield text[begin : cut.start()]
+        begin = cut.start()
+    yield text[begin:] if begin else text
+
+
+#: A blank before something else than white space always begins a pre-token.
+AT_BLANK = re.compile(r" (?=\S)")
+
 
 @functools.lru_cache(2)
 def encoder(path: str) -> Encoder:

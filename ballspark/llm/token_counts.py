@@ -1,15 +1,16 @@
 """Token counts with a whole-token shortcut.
 
-Offline, each vocabulary string is encoded alone; those that come back as one token are *whole*.
-A pre-token that is whole counts one without any merging. Only the rest is merged, by the library,
-and its counts are kept for as long as the process lives.
+Offline, each vocabulary string is encoded alone; those that come back as one token are *whole*, and
+every task's table of pre-tokens begins with them. A pre-token that is whole counts one without any
+merging. Only the rest is merged, by the library, and its counts are kept for as long as the process
+lives and has room for them.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import filterfalse
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
@@ -17,39 +18,47 @@ from .bpe import TOGETHER, encoder
 from .common import as_bytes, batch_of, portions, small_batches, text_or_empty
 
 
-def whole_tokens(path: str) -> frozenset[str]:
-    """The strings of the vocabulary that the library encodes, alone, as one token. As many as the vocabulary at most."""
+def whole_tokens(path: str) -> dict[str, int]:
+    """The strings of the vocabulary that the library encodes, alone, as one token, and that. As many as the vocabulary at most."""
     library = encoder(path).library
     strings = [library.decode([i], skip_special_tokens=False) for i in range(library.get_vocab_size())]
-    return frozenset(s for s, found in zip(strings, library.encode_batch_fast(strings, add_special_tokens=False)) if s and len(found.ids) == 1)
+    added = library.get_added_tokens_decoder()
+    found = library.encode_batch_fast(strings, add_special_tokens=False)
+    return {s: f.ids[0] for s, f in zip(strings, found) if s and len(f.ids) == 1 and f.ids[0] not in added}
 
 
 def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, n_bytes, n_tokens, n_whole) of each row: UTF-8 bytes, tokens, and tokens by the shortcut.
 
-    A null text is an empty one: no bytes, no tokens. What is broadcast is bounded by the vocabulary.
+    A null text is an empty one: no bytes, no tokens. Very long texts are counted in stretches; repeated
+    rows are rows of their own, and columns beside the two that are read play no part. What is broadcast is bounded by the vocabulary.
     """
     small_batches(docs.sparkSession)
-    whole_strings = docs.sparkSession.sparkContext.broadcast(whole_tokens(path))
+    proved = docs.sparkSession.sparkContext.broadcast(whole_tokens(path))
     schema = pa.schema([("id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64()), ("n_whole", pa.int64())])
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        e, whole = encoder(path), whole_strings.value
-        is_whole, width = whole.__contains__, e.dtype.itemsize
+        e, strings = encoder(path), [s.encode() for s in proved.value]
+        ids, least = np.array(list(proved.value.values()), np.int64), 0
         for batch in batches:
             data = as_bytes(batch.column(1))
-            texts = [x.decode("utf-8", "replace") for x in data]
             n_tokens, n_whole = [], []
-            for some in portions(texts, TOGETHER):
-                split = [e.pieces(t) for t in some]
-                rest = [list(filterfalse(is_whole, p)) if p is not None else None for p in split]
-                for text, p, r, ids in zip(some, split, rest, e.look_up(rest)):
-                    if p is None:
-                        n_whole.append(0)
-                        n_tokens.append(len(e.library.encode(text, add_special_tokens=False).ids))
-                    else:
-                        n_whole.append(len(p) - len(r))
-                        n_tokens.append(len(p) - len(r) + sum(map(len, ids)) // width)
+            for some in portions([x.decode("utf-8", "replace") for x in data], TOGETHER):
+                n, whole = np.zeros(len(some), np.int64), np.zeros(len(some), np.int64)
+                split = [i for i, t in enumerate(some) if not e.whole(t) and not any(k in t for k in e.added)]
+                for i in set(range(len(some))).difference(split):
+                    n[i] = len(e.encode([some[i]])[0]) // e.dtype.itemsize
+                if e.table.n < least or not least:  # a new table, or one that has been aged
+                    e.know(strings, ids)
+                for pieces, begin, end, which in e.split([some[i] for i in split]):
+                    entries = e.entries(pieces, begin, end)  # may make the table's arrays anew
+                    sizes = e.table.size[entries]
+                    n[split] += np.bincount(which, sizes, len(split)).astype(np.int64)
+                    whole[split] += np.bincount(which, sizes == 1, len(split)).astype(np.int64)
+                least = e.table.n
+                e.table.age()
+                n_tokens += n.tolist()
+                n_whole += whole.tolist()
             yield batch_of(schema, {"id": batch.column(0), "n_bytes": list(map(len, data)), "n_tokens": n_tokens, "n_whole": n_whole})
 
     return docs.select(docs[id_col].cast("long").alias("id"), text_or_empty(text_col)).mapInArrow(count, "id long, n_bytes long, n_tokens long, n_whole long")

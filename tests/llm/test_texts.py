@@ -125,6 +125,18 @@ def test_encoder_equals_the_library():
         assert got == np.array(LIBRARY.encode(text, add_special_tokens=False).ids, e.dtype).tobytes(), repr(text)
 
 
+def test_encoder_forgets_and_cuts_long_texts(monkeypatch):
+    monkeypatch.setattr(bpe, "CACHE", 300)
+    monkeypatch.setattr(bpe, "TOGETHER", 500)
+    e = bpe.Encoder(PATH)
+    rng = random.Random(3)
+    texts = [" ".join("".join(rng.choice("abcé'1 \n") for _ in range(rng.randrange(1, 9))) for _ in range(n)) for n in (3, 2000, 0, 900, 1, 40)] + ["a" * 3000, "  \n " * 700]
+    for text, got in zip(texts, e.encode(texts)):
+        assert got == np.array(LIBRARY.encode(text, add_special_tokens=False).ids, e.dtype).tobytes()
+    assert e.table.n <= 700
+    assert list(bpe.stretches_of("ab cd", 1)) == ["ab", " cd"] and "".join(bpe.stretches_of(texts[1], 100)) == texts[1]
+
+
 def test_counts(spark, odd_docs, no_docs):
     whole = whole_tokens(PATH)
     assert " the" in whole and len(whole) > 40_000
