@@ -1,101 +1,76 @@
 """Quality rules with n-gram perplexity.
 
-A modified Kneser-Ney model for each language, of ORDER-grams over 32 character classes (letters
-without accents, digits, space, marks; letters of other scripts in turn as 26 classes), counted by Spark over every whole text. With that alphabet a
-language has at most 32 ** 4 n-grams, which bounds each model whatever the corpus. A model is sorted
-arrays: 64-bit hashes of the n-grams of all orders, with their log probabilities and the log back-off
-weights of those that are contexts. A document whose log perplexity is outside its language's band is
-rejected. The band reaches LOWER_REACH and UPPER_REACH interquartile ranges beyond the quartiles of the
-language's distinct texts, and SHORT over the root of a document's length further, as the mean over few
+A modified Kneser-Ney model of ORDER-grams over the bytes of UTF-8, so of any script and with as many
+n-grams as the corpus has. Each language has two, one from each half of its distinct texts (a hash
+deals them), and a text is scored by the one that it had no part in. Texts that fail the base rules or
+have more than a symbol for every ten words teach no model, else junk of one kind makes itself likely.
+Spark counts n-grams over whole texts, sums lower orders and contexts by joins of its own, and
+stores sorted arrays: 64-bit hashes, one to one, of n-grams with their discounted counts and of contexts
+with their totals and back-off weights, in blocks of a hash range. Tasks read the blocks from the
+shared folder; a model with more than ENTRIES entries is read block by block each time.
+A document whose log perplexity (by byte) is outside its language's band is rejected. The band
+reaches LOWER_REACH and UPPER_REACH interquartile ranges beyond the quartiles of the language's
+distinct texts, and SHORT over the root of a document's length further, as the mean over few
 characters varies more. The upper side is wider, since texts in two languages are good ones.
 """
 
 from __future__ import annotations
 
 import unicodedata
-from collections import Counter
+from collections import Counter, OrderedDict
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
+import pyarrow.dataset as ds
+from pyarrow import fs
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, batch_of, few, portions, small_batches, text_or_empty, written
+from .common import as_bytes, batch_of, few, portions, small_batches, text_or_empty, work_dir, written
 
-ORDER, BITS = 4, 5
-SYMBOLS = 1 << BITS
-GRAMS = SYMBOLS**ORDER
-#: Languages that a task counts at once before it sends what it has; entries of the models that are broadcast together.
-AT_ONCE, ENTRIES = 12, 8_000_000
-#: Characters that are coded at once.
-PORTION = 1_000_000
+ORDER = 5
+#: Bytes that are coded at once, n-grams that a task counts before it sends them, entries of a model's block.
+PORTION, COUNTED, BLOCK = 1_000_000, 4_000_000, 1 << 16
+#: Entries of models and scored n-grams that a process holds, and n-grams that are looked up in a model at once.
+ENTRIES, SCORED, ASKED = 6_000_000, 6_000_000, 250_000
+#: Words for each symbol that a text must have to teach a model.
+WORDS_PER_SYMBOL = 10
 #: How far bands reach below the first and above the third quartile, in interquartile ranges, and how much further for short texts.
-#: The pair that rejects most texts labelled bad in one half of those of scale factor 0.1 while 99 of 100 labelled good stay; README.md has the other half's figures.
-LOWER_REACH, UPPER_REACH, SHORT = 2.0, 3.0, 0.5
+#: Chosen on the labelled texts of scale factor 0.1 with an even id; README.md has the figures on those with an odd one.
+LOWER_REACH, UPPER_REACH, SHORT = 5.0, 15.0, 0.5
 #: The least interquartile range that a band is made of, where near copies make up most texts of a language.
 LEAST_SPREAD = 0.02
 
 # The white space and the symbols of the base rules.
 SPACE, MARKS = b" \t\n\x0b\x0c\r", b"#*$%&|<>"
 
+LEAD = b"\0" * (ORDER - 1)
 
-def _classes() -> np.ndarray:
-    """Class of each code point below 0x10000: 0 space, 1-26 letters, 27 digits, 28, 30 and 31 marks, 29 other letters below 0x300.
 
-    Letters of other scripts, and the signs that belong to them, take the classes of letters in turn, without case and accent.
-    """
-    out = np.empty(0x10000, np.uint8)
-    for i in range(len(out)):
-        c = chr(i)
-        base = unicodedata.normalize("NFKD", c)[:1].lower()
-        if c.isspace() or i == 0:
-            out[i] = 0
-        elif "a" <= base <= "z":
-            out[i] = ord(base) - 96
-        elif c.isdigit():
-            out[i] = 27
-        elif i < 0x300:
-            out[i] = 29 if c.isalpha() else 28 if i < 128 else 30
-        elif unicodedata.category(c)[0] in "LM":
-            out[i] = 1 + (ord(base) if i < 0x2000 else i) % 26
-        else:
-            out[i] = 31
-    return out
-
-
-def classes_of(points: np.ndarray) -> np.ndarray:
-    """Class of each code point; beyond CLASS, letters in turn but for the planes' signs and pictures."""
-    c = CLASS[np.minimum(points, len(CLASS) - 1)].astype(np.uint32)
-    high = points >= len(CLASS)
-    if high.any():
-        p = points[high]
-        c[high] = np.where((p >= 0x1D000) & (p < 0x20000), 31, 1 + p % 26)
-    return c
-
-
-def composed(texts: list[str]) -> list[str]:
-    """With accents in their letters' code points, as far as there are such."""
-    return [unicodedata.normalize("NFC", t) for t in texts]
-
-
-CLASS = _classes()
-
-
-def gram_codes(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """(code, which text) of the ORDER-gram that ends at each character; texts begin after spaces."""
-    lengths = np.array([len(t) for t in texts], np.int64)
-    lead = "\0" * (ORDER - 1)
-    points = np.frombuffer((lead + lead.join(texts)).encode("utf-32-le", "surrogatepass"), np.uint32)
-    c = classes_of(points)
-    code = c[ORDER - 1 :].copy()
+def composed(text: str) -> bytes:
+    """UTF-8 with accents in their letters' code points, as far as there are such."""
+    return unicodedata.normalize("NFC", text).encode("utf-8", "replace")
+
+
+def led(data: bytes) -> Iterator[bytes]:
+    """The bytes in stretches of PORTION, each behind the ORDER - 1 bytes that it follows; a text follows zeros."""
+    data = LEAD + data
+    for begin in range(0, max(1, len(data) - len(LEAD)), PORTION):
+        yield data[begin : begin + PORTION + len(LEAD)]
+
+
+def gram_codes(stretches: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(code, which stretch) of the ORDER-gram that ends at each byte."""
+    lengths = np.array([len(x) for x in stretches], np.int64) - len(LEAD)
+    a = np.frombuffer(b"".join(stretches), np.uint8).astype(np.uint64)
+    code = a[ORDER - 1 :].copy()
     for k in range(1, ORDER):
-        code |= c[ORDER - 1 - k : len(c) - k] << np.uint32(BITS * k)
-    which = np.repeat(np.arange(len(texts)), lengths)
-    # characters of text i begin after i more leads than those of text 0
-    return code[np.arange(len(which)) + which * (ORDER - 1)], which
+        code |= a[ORDER - 1 - k : len(a) - k] << np.uint64(8 * k)
+    which = np.repeat(np.arange(len(stretches)), lengths)
+    # bytes of stretch i end after i more leads than those of stretch 0
+    return code[np.arange(len(which)) + which * len(LEAD)], which
 
 
 def text_key(text_col: str = "text") -> list[Column]:
@@ -103,124 +78,196 @@ def text_key(text_col: str = "text") -> list[Column]:
     return [F.xxhash64(text_or_empty(text_col)).alias("k1"), F.xxhash64(F.lit(1), text_or_empty(text_col)).alias("k2")]
 
 
+def half_of(k1: Column) -> Column:
+    """Which half of a language's texts one belongs to, by its hash."""
+    return F.pmod(k1, F.lit(2)).cast("int")
+
+
+def teaches(data: bytes) -> bool:
+    """Whether a text takes part in a model."""
+    n_words, _, n_symbols, _, n_repeat_words = base_measures(data)
+    return n_words >= 50 and 100 * n_repeat_words <= 50 * n_words and n_words >= WORDS_PER_SYMBOL * n_symbols
+
+
 def count_grams(docs: DataFrame, lang_col: str = "lang", text_col: str = "text") -> DataFrame:
-    """(lang, code, n) over all distinct texts of each language; a null language is the empty one.
+    """(lang, half, code, n) over the distinct texts of each language that teach; a null language is the empty one.
 
     The rows of a text that occurs n times count 1 / n each, so that texts needn't meet.
     """
-    schema = pa.schema([("lang", pa.string()), ("code", pa.int32()), ("n", pa.float64())])
+    schema = pa.schema([("lang", pa.string()), ("half", pa.int32()), ("code", pa.int64()), ("n", pa.float64())])
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: dict[str, np.ndarray] = {}
+        held: dict[tuple[str, int, int], list[np.ndarray]] = {}
+        size = 0
 
         def sent() -> Iterator[pa.RecordBatch]:
-            for lang, n in counts.items():
-                at = np.nonzero(n)[0]
-                yield batch_of(schema, {"lang": [lang] * len(at), "code": at.astype(np.int32), "n": n[at]})
-            counts.clear()
+            for (lang, half, times), codes in held.items():
+                code, n = np.unique(np.concatenate(codes), return_counts=True)
+                yield batch_of(schema, {"lang": [lang] * len(code), "half": np.full(len(code), half, np.int32), "code": code.astype(np.int64), "n": n / times})
+            held.clear()
 
         for batch in batches:
-            by_lang: dict[tuple[str, int], list[str]] = {}
-            for lang, text, times in zip(*(batch.column(i).to_pylist() for i in range(3))):
-                by_lang.setdefault((lang, times), []).append(text)
-            for (lang, times), texts in by_lang.items():
-                if lang not in counts and len(counts) >= AT_ONCE:
-                    yield from sent()
-                n = counts.setdefault(lang, np.zeros(GRAMS))
-                for some in portions(composed(texts), PORTION):
-                    n += np.bincount(gram_codes(some)[0], minlength=GRAMS) / times
+            groups: dict[tuple[str, int, int], list[bytes]] = {}
+            for lang, half, times, text in zip(*(batch.column(i).to_pylist() for i in range(4))):
+                data = text.encode("utf-8", "replace")
+                if teaches(data):
+                    groups.setdefault((lang, half, times), []).extend(led(composed(text)))
+            for key, texts in groups.items():
+                for some in portions(texts, PORTION):
+                    codes = gram_codes(some)[0]
+                    held.setdefault(key, []).append(codes)
+                    size += len(codes)
+                    if size >= COUNTED:
+                        yield from sent()
+                        size = 0
         yield from sent()
 
     keys = docs.select(F.coalesce(lang_col, F.lit("")).alias("lang"), *text_key(text_col), text_or_empty(text_col).alias("text"))
     copies = written(keys.groupBy("lang", "k1", "k2").agg(F.count("*").alias("times")).where("times > 1"), "copies")
-    rows = keys.join(few(copies), ["lang", "k1", "k2"], "left").select("lang", "text", F.coalesce("times", F.lit(1)).alias("times"))
-    return rows.mapInArrow(count, "lang string, code int, n double").groupBy("lang", "code").agg(F.round(F.sum("n")).cast("long").alias("n"))
+    rows = keys.join(few(copies), ["lang", "k1", "k2"], "left").select("lang", half_of(F.col("k1")).alias("half"), F.coalesce("times", F.lit(1)).alias("times"), "text")
+    return rows.mapInArrow(count, "lang string, half int, code long, n double").groupBy("lang", "half", "code").agg(F.round(F.sum("n")).cast("long").alias("n"))
 
 
-def gram_hash(order: int, codes: np.ndarray) -> np.ndarray:
-    """64-bit hashes of the n-grams of one order."""
-    x = codes.astype(np.uint64) + np.uint64(order << 32)
+def entry_hash(place: int, codes: np.ndarray) -> np.ndarray:
+    """Signed 64-bit hashes, one to one, of n-grams and contexts; ``place`` is twice the order, and one more for contexts."""
+    x = codes.astype(np.uint64) | np.uint64(place << 56)
     for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
         x = (x ^ x >> np.uint64(shift)) * np.uint64(factor)
-    return x ^ x >> np.uint64(31)
-
-
-def discounts(counts: np.ndarray) -> np.ndarray:
-    """What is taken from counts of 0, 1, 2 and 3 or more, from the counts of counts; 0, .5, 1, 1.5 where these are too few."""
-    n = [0, *(int((counts == k).sum()) for k in range(1, 5))]
-    if min(n[1:]) == 0:
-        return np.array([0, 0.5, 1.0, 1.5])
-    y = n[1] / (n[1] + 2 * n[2])
-    return np.array([0, *(min(max(k - (k + 1) * y * n[k + 1] / n[k], 0.05), k - 0.05) for k in (1, 2, 3))])
-
-
-def fit(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sorted (hashes, log probabilities, log back-off weights) from the counts of all ORDER-grams."""
-    by_order = [counts]  # lower orders count the different symbols that a gram follows
-    for k in range(ORDER - 1, 0, -1):
-        by_order.insert(0, (by_order[0].reshape(SYMBOLS, SYMBOLS**k) > 0).sum(axis=0))
-    lower = np.full(1, 1 / SYMBOLS)
-    hashes, logs, backs = [], [], []
-    weights = []
-    for order, c in enumerate(by_order, 1):
-        d = discounts(c[c > 0])
-        table = c.reshape(-1, SYMBOLS).astype(float)
-        total = table.sum(axis=1, keepdims=True)
-        taken = d[np.minimum(table, 3).astype(int)]
-        seen = total[:, 0] > 0
-        back = np.where(seen, taken.sum(axis=1) / np.maximum(total[:, 0], 1), 1.0)
-        # the lower order's probabilities, by the last symbols of each context
-        below = np.tile(lower.reshape(-1, SYMBOLS), (max(1, len(table) * SYMBOLS // max(lower.size, SYMBOLS)), 1)) if lower.size > 1 else np.full_like(table, lower[0])
-        p = (table - taken) / np.maximum(total, 1) + back[:, None] * below
-        weights.append(back)
-        at = np.nonzero(c)[0]
-        hashes.append(gram_hash(order, at))
-        logs.append(np.log(p.ravel()[at]))
-        lower = p.ravel()
-    for order, c in enumerate(by_order, 1):
-        at = np.nonzero(c)[0]
-        backs.append(np.log(weights[order][at]) if order < ORDER else np.zeros(len(at)))
-    # the empty gram, whose back-off weight is that of symbols never seen
-    hashes.insert(0, gram_hash(0, np.zeros(1, np.int64)))
-    logs.insert(0, np.zeros(1))
-    backs.insert(0, np.log(weights[0]))
-    h = np.concatenate(hashes)
-    order = np.argsort(h)
-    return h[order], np.concatenate(logs)[order].astype(np.float32), np.concatenate(backs)[order].astype(np.float32)
-
-
-def log_probabilities(model: tuple[np.ndarray, np.ndarray, np.ndarray], codes: np.ndarray) -> np.ndarray:
-    """Of each gram's last symbol after the others, by binary search from the highest order down."""
-    hashes, logs, backs = model
-    out, left, weight = np.zeros(len(codes)), np.arange(len(codes)), np.zeros(len(codes))
-
-    def find(order: int, grams: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        h = gram_hash(order, grams)
-        at = np.minimum(np.searchsorted(hashes, h), max(0, len(hashes) - 1))
-        return (hashes[at] == h, at) if len(hashes) else (np.zeros(len(grams), bool), at)
-
-    for order in range(ORDER, 0, -1):
-        grams = codes[left] & np.uint32(SYMBOLS**order - 1)
-        there, at = find(order, grams)
-        out[left[there]] = weight[left[there]] + logs[at[there]]
-        left = left[~there]
-        if len(left):
-            known, at = find(order - 1, grams[~there] >> np.uint32(BITS))
-            weight[left[known]] += backs[at[known]]
-    out[left] = weight[left] - np.log(SYMBOLS)
-    return out
-
-
-def fit_models(grams: DataFrame) -> DataFrame:
-    """(lang, entries, hashes, logs, backs): a row for each language, fitted in one task each from GRAMS counts at most."""
-
-    def one(rows: pd.DataFrame) -> pd.DataFrame:
-        counts = np.zeros(GRAMS, np.int64)
-        counts[rows["code"].to_numpy()] = rows["n"].to_numpy()
-        h, logs, backs = fit(counts)
-        return pd.DataFrame({"lang": [rows["lang"].iloc[0]], "entries": [len(h)], "hashes": [h.tobytes()], "logs": [logs.tobytes()], "backs": [backs.tobytes()]})
-
-    return grams.groupBy("lang").applyInPandas(one, "lang string, entries long, hashes binary, logs binary, backs binary")
+    return (x ^ x >> np.uint64(31)).view(np.int64)
+
+
+def discounts(orders: list[DataFrame]) -> DataFrame:
+    """(order, lang, half, entries, d1, d2, d3): what is taken from counts of 1, 2 and 3 or more; .5, 1, 1.5 where counts of counts are too few."""
+    rows = None
+    for order, grams in enumerate(orders, 1):
+        n = [F.count_if(F.col("n") == k).alias(f"n{k}") for k in range(1, 5)]
+        some = grams.groupBy("lang", "half").agg(F.count("*").alias("entries"), *n).select(F.lit(order).alias("order"), "*")
+        rows = some if rows is None else rows.unionAll(some)
+    few_counts = F.least("n1", "n2", "n3", "n4") == 0
+    y = F.try_divide(F.col("n1"), F.col("n1") + 2 * F.col("n2"))
+    d = [F.when(few_counts, k / 2).otherwise(F.least(F.greatest(k - (k + 1) * y * F.try_divide(F.col(f"n{k + 1}"), F.col(f"n{k}")), F.lit(0.05)), F.lit(k - 0.05))).alias(f"d{k}") for k in (1, 2, 3)]
+    return rows.select("order", "lang", "half", "entries", *d)
+
+
+def fit_models(grams: DataFrame) -> str:
+    """The folder of the models of all languages and halves, a table (lang, half, bucket, n, hashes, x, y) of sorted blocks.
+
+    x and y of an n-gram are its count less its discount and 0, those of a context the total of the
+    counts behind it and the share of it that goes to the lower order.
+    """
+    orders = [written(grams, "grams")]
+    for k in range(ORDER - 1, 0, -1):  # lower orders count the different bytes that a gram follows
+        shorter = F.col("code").bitwiseAND((1 << 8 * k) - 1).alias("code")
+        orders.insert(0, written(orders[0].groupBy("lang", "half", shorter).agg(F.count("*").alias("n")), "grams"))
+    taken_of = written(discounts(orders), "discounts")
+    most = taken_of.groupBy("lang", "half").agg((2 * F.sum("entries")).alias("e")).agg(F.max("e")).first()[0]
+    buckets = max(1, -(-(most or 0) // BLOCK))
+    entries = None
+    for k, rows in enumerate(orders, 1):
+        d = few(taken_of.where(F.col("order") == k).select("lang", "half", "d1", "d2", "d3"))
+        rows = rows.join(d, ["lang", "half"]).withColumn("taken", F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3")))
+        own = rows.select("lang", "half", F.lit(2 * k).alias("place"), "code", (F.col("n") - F.col("taken")).alias("x"), F.lit(0.0).alias("y"))
+        contexts = rows.groupBy("lang", "half", F.shiftright("code", 8).alias("code")).agg(F.sum("n").cast("double").alias("x"), (F.sum("taken") / F.sum("n")).alias("y"))
+        both = own.unionAll(contexts.select("lang", "half", F.lit(2 * k - 1).alias("place"), "code", "x", "y"))
+        entries = both if entries is None else entries.unionAll(both)
+
+    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            place, code = b.column("place").to_numpy(), b.column("code").to_numpy()
+            h = np.empty(len(code), np.int64)
+            for p in np.unique(place):
+                h[place == p] = entry_hash(int(p), code[place == p])
+            bucket = (h.astype(np.float64) / 2.0**64 + 0.5) * buckets
+            yield pa.RecordBatch.from_arrays([b.column("lang"), b.column("half"), pa.array(np.minimum(bucket.astype(np.int64), buckets - 1)), pa.array(h), b.column("x"), b.column("y")], names=["lang", "half", "bucket", "hash", "x", "y"])
+
+    def block(rows: pa.Table) -> pa.Table:
+        h = rows.column("hash").to_numpy()
+        order = np.argsort(h)
+        x, y = (rows.column(c).to_numpy()[order].astype(np.float32).tobytes() for c in "xy")
+        one = {c: rows.column(c).slice(0, 1).combine_chunks() for c in ("lang", "half", "bucket")}
+        return pa.table(one | {"n": pa.array([len(h)], pa.int64()), "hashes": [h[order].tobytes()], "x": [x], "y": [y]})
+
+    folder = work_dir(grams.sparkSession, "models")
+    cells = entries.mapInArrow(hashed, "lang string, half int, bucket long, hash long, x double, y double")
+    cells.groupBy("lang", "half", "bucket").applyInArrow(block, "lang string, half int, bucket long, n long, hashes binary, x binary, y binary").write.parquet(folder)
+    return folder
+
+
+class Models:
+    """The models in a folder; those that were asked for last are held, as many entries as ENTRIES allows."""
+
+    def __init__(self, folder: str):
+        self.store, base = fs.FileSystem.from_uri(folder)
+        self.table = ds.dataset(base, filesystem=self.store, format="parquet")
+        self.held: OrderedDict[tuple[str, int], list[tuple[np.ndarray, ...]]] = OrderedDict()
+        #: Of each model the n-grams that were scored, sorted, and their log probabilities.
+        self.scored: OrderedDict[tuple[str, int], tuple[np.ndarray, np.ndarray]] = OrderedDict()
+
+    def blocks(self, lang: str, half: int) -> Iterator[tuple[np.ndarray, ...]]:
+        """(hashes, x, y) of each block of a model."""
+        if (lang, half) in self.held:
+            self.held.move_to_end((lang, half))
+            yield from self.held[lang, half]
+            return
+        keep: list | None = []
+        for b in self.table.to_batches(columns=["hashes", "x", "y"], filter=(ds.field("lang") == lang) & (ds.field("half") == half), batch_size=16):
+            for h, x, y in zip(*(b.column(i).to_pylist() for i in range(3))):
+                one = np.frombuffer(h, np.int64), np.frombuffer(x, np.float32), np.frombuffer(y, np.float32)
+                yield one
+                if keep is not None:
+                    keep.append(one)
+                    if sum(len(k[0]) for k in keep[-1:]) + BLOCK * len(keep) > ENTRIES:
+                        keep = None
+        if keep is not None:
+            self.held[lang, half] = keep
+            while sum(len(k[0]) for blocks in self.held.values() for k in blocks) > ENTRIES:
+                self.held.popitem(last=False)
+
+    def find(self, lang: str, half: int, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """x and y of each of the sorted hashes; zeros where there is none."""
+        x, y = np.zeros(len(h)), np.zeros(len(h))
+        for hashes, bx, by in self.blocks(lang, half):
+            some = slice(*np.searchsorted(h, [hashes[0], hashes[-1]], side="left") + [0, 1])
+            at = np.minimum(np.searchsorted(hashes, h[some]), len(hashes) - 1)
+            there = hashes[at] == h[some]
+            x[some][there], y[some][there] = bx[at[there]], by[at[there]]
+        return x, y
+
+    def log_probabilities(self, lang: str, half: int, codes: np.ndarray) -> np.ndarray:
+        """Of the last byte of each n-gram after the others, from the lowest order up; 1 in 256 where nothing is known."""
+        asked = []
+        for k in range(1, ORDER + 1):
+            grams = codes & np.uint64((1 << 8 * k) - 1)
+            asked += [entry_hash(2 * k, grams), entry_hash(2 * k - 1, grams >> np.uint64(8))]
+        h, place = np.unique(np.concatenate(asked), return_inverse=True)
+        x, y = (v[place].reshape(ORDER, 2, -1) for v in self.find(lang, half, h))
+        p = np.full(len(codes), 1 / 256)
+        for own, total, share in zip(x[:, 0], x[:, 1], y[:, 1]):
+            p = np.where(total > 0, own / np.maximum(total, 1) + share * p, p)
+        return np.log(p)
+
+    def scores(self, lang: str, half: int, codes: np.ndarray) -> np.ndarray:
+        """Log probabilities of n-grams, each distinct one looked up once as long as it is held."""
+        distinct, place = np.unique(codes, return_inverse=True)
+        known, logs = self.scored.pop((lang, half), (np.empty(0, np.uint64), np.empty(0)))
+        at = np.searchsorted(known, distinct)
+        new = np.ones(len(distinct), bool)
+        if len(known):
+            new = known[np.minimum(at, len(known) - 1)] != distinct
+        if new.any():
+            fresh = distinct[new]
+            found = np.concatenate([self.log_probabilities(lang, half, fresh[i : i + ASKED]) for i in range(0, len(fresh), ASKED)])
+            if len(known) + len(fresh) > SCORED // 2:
+                known, logs, at = known[:0], logs[:0], at * 0
+                fresh, found = distinct, (found if new.all() else np.concatenate([self.log_probabilities(lang, half, distinct[i : i + ASKED]) for i in range(0, len(distinct), ASKED)]))
+            merged = np.concatenate([known, fresh])
+            order = np.argsort(merged, kind="stable")
+            known, logs = merged[order], np.concatenate([logs, found])[order]
+            at = np.searchsorted(known, distinct)
+        self.scored[lang, half] = known, logs
+        while sum(len(k) for k, _ in self.scored.values()) > SCORED and len(self.scored) > 1:
+            self.scored.popitem(last=False)
+        return logs[at][place]
 
 
 def base_measures(data: bytes) -> tuple[int, int, int, int, int]:
@@ -245,52 +292,34 @@ MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words
 def score(docs: DataFrame, keep: list[str], lang_col: str = "lang", text_col: str = "text") -> DataFrame:
     """(row, lang, k1, k2, measures, log_perplexity) of each document, ``row`` being a struct of the columns ``keep`` and k1, k2 the text's hash.
 
-    Reads the documents three times, to find copies, to count and to score. Models are broadcast as long as those
-    of all languages have at most ENTRIES entries; otherwise languages are scored in groups that do.
+    Reads the documents three times, to find copies, to count and to score. Models stay in the shared folder, where tasks read them.
     """
     small_batches(docs.sparkSession)
-    models = written(fit_models(count_grams(docs, lang_col, text_col)), "models")
-    groups, size = [[]], 0
-    for r in models.select("lang", "entries").collect():  # a row for each language
-        if groups[-1] and size + r.entries > ENTRIES:
-            groups.append([])
-            size = 0
-        groups[-1].append(r.lang)
-        size += r.entries
-    rows = docs.select(F.coalesce(lang_col, F.lit("")).alias("lang"), text_or_empty(text_col).alias("text"), *text_key(text_col), F.struct(*[F.col(c) for c in keep]).alias("row"))
-    out = None
-    for group in groups:
-        some = _score(rows if len(groups) == 1 else rows.where(F.col("lang").isin(group)), models.where(F.col("lang").isin(group)).collect())
-        out = some if out is None else out.unionAll(some)
-    return out
-
-
-def _score(rows: DataFrame, models: list) -> DataFrame:
-    held = rows.sparkSession.sparkContext.broadcast({m.lang: (np.frombuffer(m.hashes, np.uint64), np.frombuffer(m.logs, np.float32), np.frombuffer(m.backs, np.float32)) for m in models})
+    folder = fit_models(count_grams(docs, lang_col, text_col))
+    rows = docs.select(F.coalesce(lang_col, F.lit("")).alias("lang"), text_or_empty(text_col).alias("text"), *text_key(text_col), F.struct(*[F.col(f"`{c}`") for c in keep]).alias("row"))
+    rows = rows.withColumn("other", 1 - half_of(F.col("k1")))
     fields = [("lang", pa.string()), ("k1", pa.int64()), ("k2", pa.int64()), *((m, pa.int64()) for m in MEASURES), ("log_perplexity", pa.float64())]
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tables: dict[str, np.ndarray] = {}
+        models = Models(folder)
         for batch in batches:
             langs, texts = batch.column("lang").to_pylist(), batch.column("text").to_pylist()
-            loss = np.zeros(len(texts))
-            by_lang: dict[str, list[int]] = {}
-            for i, lang in enumerate(langs):
-                by_lang.setdefault(lang, []).append(i)
-            for lang, at in by_lang.items():
-                if lang not in tables:
-                    if len(tables) >= AT_ONCE:
-                        tables.clear()
-                    tables[lang] = np.full(GRAMS, np.nan, np.float32)
+            loss, length = np.zeros(len(texts)), np.ones(len(texts))
+            groups: dict[tuple[str, int], tuple[list[bytes], list[int]]] = {}
+            for i, key in enumerate(zip(langs, batch.column("other").to_pylist())):
+                stretches, of = groups.setdefault(key, ([], []))
+                for x in led(composed(texts[i])):
+                    stretches.append(x)
+                    of.append(i)
+            for (lang, half), (stretches, of) in groups.items():
                 begin = 0
-                for some in portions(composed([texts[i] for i in at]), PORTION):
+                for some in portions(stretches, PORTION):
                     codes, which = gram_codes(some)
-                    used = np.nonzero(np.bincount(codes, minlength=GRAMS))[0]
-                    new = used[np.isnan(tables[lang][used])]
-                    tables[lang][new] = log_probabilities(held.value[lang], new.astype(np.uint32))
-                    sums = np.bincount(which, weights=tables[lang][codes], minlength=len(some))
-                    loss[at[begin : begin + len(some)]] = -sums / np.maximum(1, [len(t) for t in some])
+                    sums = np.bincount(which, weights=models.scores(lang, half, codes), minlength=len(some))
+                    np.add.at(loss, of[begin : begin + len(some)], -sums)
+                    np.add.at(length, of[begin : begin + len(some)], [len(x) - len(LEAD) for x in some])
                     begin += len(some)
+            loss /= np.maximum(1, length - 1)
             found = list(zip(*map(base_measures, as_bytes(batch.column("text"))))) or [[]] * len(MEASURES)
             columns = [batch.column("row"), pa.array(langs, pa.string()), batch.column("k1"), batch.column("k2"), *(pa.array(x, pa.int64()) for x in found), pa.array(loss)]
             yield pa.RecordBatch.from_arrays(columns, names=["row", *(n for n, _ in fields)])

@@ -64,20 +64,22 @@ def test_measures():
 
 
 def plain_kneser_ney(texts):
-    """Interpolated modified Kneser-Ney over the same classes, by dictionaries."""
-    c = [Counter() for _ in range(quality.ORDER + 1)]
+    """Interpolated modified Kneser-Ney over bytes, by dictionaries."""
+    n, c = quality.ORDER, [Counter() for _ in range(quality.ORDER + 1)]
     for t in texts:
-        s = [0] * (quality.ORDER - 1) + [int(quality.CLASS[ord(ch)]) if ord(ch) < len(quality.CLASS) else 31 for ch in t]
-        for i in range(len(s) - quality.ORDER + 1):
-            c[quality.ORDER][tuple(s[i : i + quality.ORDER])] += 1
-    for k in range(quality.ORDER - 1, 0, -1):
-        for g in c[k + 1]:
-            c[k][g[1:]] += 1
-    d = [None, *(quality.discounts(np.array(list(c[k].values()))) for k in range(1, quality.ORDER + 1))]
+        s = bytes(n - 1) + t.encode()
+        c[n].update(s[i : i + n] for i in range(len(s) - n + 1))
+    for k in range(n - 1, 0, -1):
+        c[k] = Counter(g[1:] for g in c[k + 1])
+    d = [None]
+    for k in range(1, n + 1):
+        m = [0, *(sum(x == j for x in c[k].values()) for j in range(1, 5))]
+        y = m[1] / (m[1] + 2 * m[2]) if all(m[1:]) else None
+        d.append([0, 0.5, 1, 1.5] if y is None else [0, *(min(max(j - (j + 1) * y * m[j + 1] / m[j], 0.05), j - 0.05) for j in (1, 2, 3))])
 
     def p(g):
         k = len(g)
-        below = p(g[1:]) if k > 1 else 1 / quality.SYMBOLS
+        below = p(g[1:]) if k > 1 else 1 / 256
         same = {h: n for h, n in c[k].items() if h[:-1] == g[:-1]}
         total = sum(same.values())
         if not total:
@@ -88,20 +90,37 @@ def plain_kneser_ney(texts):
     return p
 
 
-def test_model_is_modified_kneser_ney(spark):
-    texts = ["abc abd abe", "the bad cab", "a b a b a c", "été 12"]
-    docs = spark.createDataFrame([doc(i, t) for i, t in enumerate(texts)], DOCS)
-    counts = np.zeros(quality.GRAMS, np.int64)
-    for r in quality.count_grams(docs).collect():
-        counts[r.code] = r.n
-    assert counts.sum() == sum(map(len, texts))
-    model, p = quality.fit(counts), plain_kneser_ney(texts)
-    assert (np.diff(model[0].astype(object)) > 0).all()
-    grams = [(0, 0, 0, 1), (1, 2, 3, 0), (1, 2, 9, 9), (20, 8, 5, 0), (9, 9, 9, 9), (2, 1, 4, 0), (0, 1, 2, 4)]
-    codes = np.array([sum(v << quality.BITS * (3 - i) for i, v in enumerate(g)) for g in grams], np.uint32)
-    assert np.allclose(np.exp(quality.log_probabilities(model, codes)), [p(g) for g in grams], rtol=1e-5)
-    whole = np.exp(quality.log_probabilities(model, np.arange(32, dtype=np.uint32) + (1 << 10) + (2 << 5)))
-    assert abs(whole.sum() - 1) < 1e-5
+def test_model_is_modified_kneser_ney(spark, monkeypatch):
+    """Both halves' models against dictionaries; the second time with models that are too large to be held."""
+    rng = np.random.default_rng(8)
+    texts = [" ".join(w + str(rng.integers(30)) for w in rng.choice(["abc", "abd", "été", "cab", "да", "a", "bad"], 60)) for _ in range(8)]
+    assert all(quality.teaches(t.encode()) for t in texts)
+    docs = spark.createDataFrame([doc(i, t) for i, t in enumerate(texts)] + [doc(90, "too short to teach"), doc(91, " & ".join(texts[0].split()))], DOCS)
+    half = {r.text: r.half for r in docs.select("text", quality.half_of(quality.text_key()[0]).alias("half")).collect()}
+    counted = quality.count_grams(docs)
+    assert sum(r.n for r in counted.collect()) == sum(len(t.encode()) for t in texts)
+    folder = quality.fit_models(counted)
+    for most in (quality.ENTRIES, 10):
+        monkeypatch.setattr(quality, "ENTRIES", most)
+        models = quality.Models(folder)
+        for h in (0, 1):
+            p = plain_kneser_ney([t for t in texts if half[t] == h])
+            grams = [b"\0\0\0\0a", b" abc ", b"abd a", b"\xc3\xa9t\xc3\xa9", b"zzzzz", b"cab z", b"xyabc", b"bad c"]
+            codes = np.array([int.from_bytes(g, "big") for g in grams], np.uint64)
+            assert np.allclose(np.exp(models.log_probabilities("en", h, codes)), [p(g) for g in grams], rtol=1e-5)
+            every = np.uint64(int.from_bytes(b" ab\0\0", "big") >> 8 << 8) + np.arange(256, dtype=np.uint64)
+            assert abs(np.exp(models.scores("en", h, every)).sum() - 1) < 1e-4
+            assert np.allclose(models.scores("en", h, np.concatenate([codes, every[::-1], codes])), np.concatenate([models.log_probabilities("en", h, x) for x in (codes, every[::-1], codes)]))
+        assert bool(models.held) == (most > 10)
+    assert np.allclose(quality.Models(folder).log_probabilities("xx", 0, codes), -np.log(256))
+
+
+def test_long_texts_are_coded_in_stretches(monkeypatch):
+    data = "een zéér lange tekst ".encode() * 40
+    whole = quality.gram_codes(list(quality.led(data)))[0]
+    monkeypatch.setattr(quality, "PORTION", 100)
+    parts = list(quality.led(data))
+    assert len(parts) == -(-len(data) // 100) and (quality.gram_codes(parts)[0] == whole).all() and len(whole) == len(data)
 
 
 def test_judged(spark, odd_docs, no_docs):
@@ -160,8 +179,7 @@ def test_scripts_beyond_latin_are_told_apart(spark):
     bad = np.array([r["doc_id"] >= len(good) for r in rows["row"]])
     assert rows.kept[~bad].all() and not rows.kept[bad].any()
     assert rows.log_perplexity[bad].min() > rows.log_perplexity[~bad].max() + 0.5
-    plain, apart = (quality.gram_codes(quality.composed([t]))[0] for t in ("été", "e\u0301te\u0301"))
-    assert (plain == apart).all()
+    assert quality.composed("été") == quality.composed("e\u0301te\u0301")
 
 
 def test_production_reaches_reject_junk_and_keep_good(spark):
@@ -173,7 +191,8 @@ def test_production_reaches_reject_junk_and_keep_good(spark):
     assert not rows.kept[bad].any() and rows.kept[~bad].mean() >= 0.99
     docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
     seen = quality.judge(docs, keep=["doc_id"]).where("not base_failed").select("row.doc_id", "kept").join(labels, "doc_id").toPandas()
-    assert seen.kept[seen.quality == 1].mean() >= 0.985 and seen.kept[seen.quality == 0].mean() <= 0.3
+    seen = seen[seen.doc_id % 2 == 1]  # the reaches were chosen on the others
+    assert seen.kept[seen.quality == 1].mean() >= 0.995 and seen.kept[seen.quality == 0].mean() <= 0.02
 
 
 # --- similarity join
