@@ -17,7 +17,7 @@ from ballspark.plans import oracle, workloads
 from ballspark.sources import queries as query_sets
 from ballspark.sources.points import Points, load
 from ballspark.sources.views import VIEWS, points
-from ballspark.streaming.search import deduplicated, event_stream, nearby_events, run_to_end, standing_nearest, stream_constrained, window_counts
+from ballspark.streaming.search import deduplicated, event_stream, marked_late, nearby_events, run_to_end, standing_nearest, stream_constrained, window_counts
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -276,12 +276,12 @@ def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "events").withColumn("micros", F.expr(_MICROS).cast("long"))
 
 
-@query("interval_join", "SELECT p.event_id, e.event_id AS error_id FROM events p JOIN events e ON p.user_id = e.user_id AND abs(epoch_us(p.ts) - epoch_us(e.ts)) <= 60000000 WHERE p.event_type = 'purchase' AND e.event_type = 'error'")
+@query("interval_join", "SELECT p.event_id, e.event_id AS error_id FROM events p JOIN events e ON p.user_id = e.user_id AND abs(epoch_us(p.ts) - epoch_us(e.ts)) <= 3600000000 WHERE p.event_type = 'purchase' AND e.event_type = 'error'")
 def interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = _events(spark, sf_dir)
     left = e.where("event_type = 'purchase'").select("event_id", "user_id", F.col("micros").alias("p_micros"))
     right = e.where("event_type = 'error'").select(F.col("event_id").alias("error_id"), "user_id", F.col("micros").alias("e_micros"))
-    return joins.interval_join(left, right, ["user_id"], "p_micros", "e_micros", 60_000_000).select("event_id", "error_id")
+    return joins.interval_join(left, right, ["user_id"], "p_micros", "e_micros", 3_600_000_000).select("event_id", "error_id")
 
 
 @query(
@@ -627,16 +627,15 @@ def pca_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(pca_filter_knn(p.df, _uniform(spark, 4), 4, fit_pca(p.df, 4), 2, 10))
 
 
-@query("generated_sets", "SELECT kind, CAST(4096 AS BIGINT) AS n, CAST(4096 AS BIGINT) AS places FROM (VALUES ('latin'), ('niederreiter'), ('sobol')) t(kind)")
+@query("generated_sets", "SELECT kind, CAST(n AS BIGINT) AS n, CAST(n AS BIGINT) AS places FROM (VALUES ('latin', 4100), ('niederreiter', 6561), ('sobol', 4096)) t(kind, n)")
 def generated_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The stratified sets have one point in each of n strata of both axes."""
+    """The stratified sets have one point in each of n strata of both axes: for any n, for powers of three, and of two."""
     from ballspark.sources.generators import generate
 
     out = None
-    for kind in ("latin", "niederreiter", "sobol"):
-        n = 4096 if kind != "niederreiter" else 4096
-        cell = [F.floor(F.col("x")[j] * n) for j in range(2)]
-        row = generate(spark, kind, n).agg(F.count("*").alias("n"), F.least(F.count_distinct(cell[0]), F.count_distinct(cell[1]) + F.lit(0)).alias("places")).select(F.lit(kind).alias("kind"), "n", "places")
+    for kind, n in (("latin", 4100), ("niederreiter", 6561), ("sobol", 4096)):
+        cell = [F.floor(F.col("x")[j] * n + 1e-6) for j in range(2)]
+        row = generate(spark, kind, n).agg(F.count("*").alias("n"), F.least(F.count_distinct(cell[0]), F.count_distinct(cell[1])).alias("places")).select(F.lit(kind).alias("kind"), "n", "places")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -698,9 +697,9 @@ def stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("stream_nearby", ORACLES["interval_join"])
 def stream_nearby(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Errors and purchases as two streams, joined within a minute of the same user."""
+    """Errors and purchases as two streams, joined within an hour of the same user."""
     e, p = _stream(spark, sf_dir).where("event_type = 'error'"), _stream(spark, sf_dir).where("event_type = 'purchase'")
-    return run_to_end(nearby_events(e, p))
+    return run_to_end(nearby_events(e, p, "1 hour"))
 
 
 @query("stream_standing_knn", oracle.k_nearest("events_uv2", oracle.uniform(2, 5), 10))
@@ -708,10 +707,27 @@ def stream_standing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The ten best of standing queries after all events have arrived."""
     place = points(spark, sf_dir, "events_uv2").scale.apply(F.array(F.col("user_id").cast("double"), F.col("value")))
     arriving = _stream(spark, sf_dir, None).select(F.col("event_id").alias("pid"), place.alias("x"))
-    last = run_to_end(standing_nearest(arriving, _uniform(spark, 2, 5), 10, 2), mode="update")
+    last = run_to_end(standing_nearest(arriving, _uniform(spark, 2, 5), 10, 2), mode="update", key=["qid"])
     return last.select("qid", "rank", "pid", F.round(F.sqrt("d2"), 6).alias("dist"))
 
 
+_ARRIVALS = 3
+
+
+@query(
+    "stream_late",
+    f"WITH a AS (SELECT event_id, ts, event_id % {_ARRIVALS} AS b FROM events), w AS (SELECT b, max(ts) AS top FROM a GROUP BY b) "
+    "SELECT event_id, coalesce(ts < (SELECT max(top) FROM w WHERE w.b < a.b) - INTERVAL 12 HOUR, false) AS late FROM a",
+)
+def stream_late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events out of order, in three batches, marked where the watermark had passed them."""
+    path, events = shared_dir(spark), load(spark, sf_dir, "events").select("event_id", "ts")
+    for b in range(_ARRIVALS):  # files are taken by their age
+        events.where(F.col("event_id") % _ARRIVALS == b).coalesce(1).write.parquet(f"{path}/{b}")
+    arriving = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/*")
+    return marked_late(arriving, "ts", "12 hours")
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

@@ -25,10 +25,33 @@ def _normal(seed: int, k: int) -> Column:
     return F.sqrt(-2 * F.log(_unit(seed, k, 0))) * F.cos(2 * math.pi * _unit(seed, k, 1))
 
 
+#: Rounds of a permutation; base of the digital sequence over another field than Sobol's.
+ROUNDS, BASE = 24, 3
+
+
 def _permuted(n: int, seed: int) -> Column:
-    """A bijection of 0..n-1: an affine step modulo n, coprime factor, twice with a carry between."""
-    a = next(v for v in range(int(n * 0.618) | 1, 2 * n + 3) if math.gcd(v, n) == 1)
-    return (F.col("id") * F.lit(a) + F.lit(seed * 7919)) % F.lit(n)
+    """A pseudo-random bijection of 0..n-1, for any n and without a sort: a swap-or-not shuffle.
+
+    Each round pairs every number with its mirror image about a random place, and a hash of the pair says whether the two change places.
+    """
+
+    def swapped(x: Column, k: Column) -> Column:
+        mirror = F.pmod(F.pmod(F.xxhash64(k, F.lit(seed)), F.lit(n)) - x, F.lit(n))
+        return F.when(F.xxhash64(F.greatest(x, mirror), k, F.lit(seed)).bitwiseAND(F.lit(1)) == 1, mirror).otherwise(x)
+
+    return F.aggregate(F.sequence(F.lit(1), F.lit(ROUNDS)), F.col("id"), swapped)
+
+
+def _digital(n: int, shift: int) -> Column:
+    """The digital sequence in base 3 of the polynomial x - ``shift``: the digits of the id times a matrix of binomial coefficients."""
+    digits = next(r for r in range(1, 64) if BASE**r >= n)
+    of_id = F.transform(F.array(*[F.lit(BASE**r) for r in range(digits)]), lambda p: F.floor(F.col("id") / p) % BASE)
+    out = F.lit(0.0)
+    for j in range(digits):
+        row = F.array(*[F.lit(math.comb(r, j) * shift ** max(0, r - j) % BASE) for r in range(digits)])
+        total = F.aggregate(F.zip_with(of_id, row, lambda d, m: d * m), F.lit(0).cast("long"), lambda a, v: a + v)
+        out = out + total % BASE / float(BASE ** (j + 1))
+    return out
 
 
 def _radical_inverse_2(i: Column, directions: list[int]) -> Column:
@@ -63,8 +86,8 @@ def generate(spark: SparkSession, kind: str, n: int, seed: int = 42) -> DataFram
     elif kind == "sobol":
         gray = F.col("id").bitwiseXOR(F.shiftright("id", 1))
         x = [_radical_inverse_2(gray, _directions(d)) for d in (0, 1)]
-    elif kind == "niederreiter":  # the same digits in natural order
-        x = [_radical_inverse_2(F.col("id"), _directions(d)) for d in (0, 1)]
+    elif kind == "niederreiter":  # in base 2 its first two dimensions would be Sobol's points in another order
+        x = [_digital(n, shift) for shift in (0, 1)]
     elif kind == "uniform":
         x = [_unit(seed, 7), _unit(seed, 8)]
     else:

@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ballspark.operators.index import SpatialIndex, shared_dir
@@ -20,8 +21,12 @@ def event_stream(spark: SparkSession, path: str, schema, time_col: str = "ts", w
     return rows.withWatermark(time_col, watermark) if watermark else rows
 
 
-def run_to_end(stream: DataFrame, sink: Callable[[DataFrame, int], None] | None = None, mode: str = "append") -> DataFrame | None:
-    """Runs a stream over all that is there now. Without a sink its rows come back as a table in the shared folder."""
+def run_to_end(stream: DataFrame, sink: Callable[[DataFrame, int], None] | None = None, mode: str = "append", key: list[str] | None = None) -> DataFrame | None:
+    """Runs a stream over all that is there now. Without a sink its rows come back as a table in the shared folder.
+
+    In update mode a batch has the changed groups only: all rows of a ``key`` are those of the last
+    batch that has the key. A batch that is delivered again replaces what it wrote.
+    """
     spark = stream.sparkSession
     writer = stream.writeStream.option("checkpointLocation", shared_dir(spark)).trigger(availableNow=True)
     if sink is not None:
@@ -31,9 +36,39 @@ def run_to_end(stream: DataFrame, sink: Callable[[DataFrame, int], None] | None
     if mode == "append":
         writer.outputMode("append").format("parquet").option("path", path).start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(path)
-    # complete results replace each other: the last batch is the result
-    writer.outputMode(mode).foreachBatch(lambda rows, _: rows.write.mode("overwrite").parquet(path)).start().awaitTermination()
-    return spark.read.schema(stream.schema).parquet(path)
+    if mode == "complete":  # complete results replace each other: the last batch is the result
+        writer.outputMode(mode).foreachBatch(lambda rows, _: rows.write.mode("overwrite").parquet(path)).start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(path)
+    if not key:
+        raise ValueError("in update mode key says which rows replace which")
+    writer.outputMode(mode).foreachBatch(lambda rows, i: rows.write.mode("overwrite").parquet(f"{path}/batch={i}")).start().awaitTermination()
+    spark.createDataFrame([], stream.schema).write.mode("overwrite").parquet(f"{path}/batch=-1")  # a stream without batches has an empty result
+    rows = spark.read.schema(T.StructType([*stream.schema.fields, T.StructField("batch", T.LongType())])).option("basePath", path).parquet(path)
+    last = rows.groupBy(*key).agg(F.max("batch").alias("batch"))
+    return rows.join(last, [*key, "batch"]).select(stream.columns)
+
+
+def marked_late(stream: DataFrame, time_col: str = "ts", delay: str = "1 hour") -> DataFrame:
+    """All rows of a stream, run to its end, with ``late``: whether they came after the watermark had passed them.
+
+    The watermark of a batch is the latest time of the batches before it less ``delay``; Spark's own
+    operators drop such rows and count them only. It is found again from what was written, so a restart goes on from there.
+    Rows without a time are not late.
+    """
+    spark, path = stream.sparkSession, shared_dir(stream.sparkSession)
+    schema = T.StructType([*stream.schema.fields, T.StructField("late", T.BooleanType()), T.StructField("batch", T.LongType())])
+    spark.createDataFrame([], T.StructType(schema.fields[:-1])).write.parquet(f"{path}/batch=-1")
+
+    def written() -> DataFrame:
+        return spark.read.schema(schema).option("basePath", path).parquet(path)
+
+    def mark(rows: DataFrame, i: int) -> None:
+        seen = written().where(F.col("batch") < i).agg((F.max(time_col) - F.expr(f"interval {delay}")).alias("watermark"))
+        late = F.coalesce(F.col(time_col) < F.col("watermark"), F.lit(False))
+        rows.join(F.broadcast(seen)).withColumn("late", late).drop("watermark").write.mode("overwrite").parquet(f"{path}/batch={i}")
+
+    run_to_end(stream, mark)
+    return written().drop("batch")
 
 
 def window_counts(events: DataFrame, kind: str, time_col: str = "ts", value_col: str = "value", key: list[str] | None = None) -> DataFrame:
@@ -51,6 +86,7 @@ def deduplicated(events: DataFrame, key: str = "event_id", time_col: str = "ts",
 def stream_constrained(queries: DataFrame, index: SpatialIndex, k: int, r: float) -> DataFrame:
     """Every row of a stream (qid, q) answered against a static index; append only, whatever the batches are."""
     path = shared_dir(index.spark)
+    index.spark.createDataFrame([], "qid long, rank int, pid long, dist double").write.parquet(f"{path}/batch=-1")
     run_to_end(queries, lambda batch, i: constrained_knn(index, batch, k, r).write.mode("overwrite").parquet(f"{path}/batch={i}"))
     schema = "qid long, rank int, pid long, dist double"
     return index.spark.read.schema(schema + ", batch long").option("basePath", path).parquet(path).drop("batch")
