@@ -582,7 +582,7 @@ def append_then_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("compact_then_knn", _nearest_sql("orders2", 10))
 def compact_then_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
     index, _ = indexed(spark, sf_dir, "orders2", parts=8, top="sample")
-    return _rounded(search.knn_search(index.compact(sorted(index.summaries()["part_id"])[:3]), _uniform(spark, 2), 10))
+    return _rounded(search.knn_search(index.compact([r.part_id for r in index.summaries().select("part_id").orderBy("part_id").limit(3).collect()]), _uniform(spark, 2), 10))
 
 
 @query("save_load_range", _range_sql("orders2", 0.05))

@@ -12,7 +12,7 @@ import json
 import tempfile
 import uuid
 from collections.abc import Iterator
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
@@ -25,9 +25,8 @@ from ballspark.schema import LEAF_POINTS, NODES, PARTS
 from ballspark.sources.points import Points, Scale
 
 from .kernel import Tree, build
-
-#: Parts of one routing table; beyond that the table is split by a first routing level.
-ROUTED_PARTS = 400_000
+from .routing import Routing
+from .routing import matrix as _matrix
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -56,6 +55,7 @@ class SpatialIndex:
     n_parts: int = 0
     #: Rows of a rotation that the points went through, and that queries go through.
     rotation: tuple[tuple[float, ...], ...] | None = None
+    made: Routing | None = field(default=None, repr=False, compare=False)
 
     def scaled(self, queries: DataFrame) -> DataFrame:
         """Queries in the units of the source, brought to the index's scale."""
@@ -69,11 +69,15 @@ class SpatialIndex:
     def spark(self) -> SparkSession:
         return self.parts.sparkSession
 
-    def summaries(self) -> pd.DataFrame:
-        """What routing needs of every part, without the trees; bounded by ROUTED_PARTS."""
-        if self.n_parts > ROUTED_PARTS:
-            raise ValueError(f"{self.n_parts} parts; build with fewer and larger parts")
-        return self.parts.drop("tree").toPandas()
+    def summaries(self) -> DataFrame:
+        """What routing needs of every part, without the trees."""
+        return self.parts.drop("tree")
+
+    def routing(self) -> Routing:
+        """The routers of the parts, made at the first search."""
+        if self.made is None:
+            self.made = Routing(self.parts, self.n_parts, self.config.kind, self.config)
+        return self.made
 
     def nodes(self) -> DataFrame:
         return self.parts.select("part_id", "tree").mapInPandas(_node_rows, NODES)
@@ -106,18 +110,21 @@ class SpatialIndex:
     def append(self, points: DataFrame) -> SpatialIndex:
         """With further points, each added to the part whose centre is nearest; only those parts' trees are made again.
 
-        Points are expected in the index's scale. An empty index is built from the points.
+        A part that comes to have more than four times ``local_rows`` points is cut by pid. Points are
+        expected in the index's scale. An empty index is built from the points.
         """
         if not self.n_parts:
             return build_tree(Points(points, self.dim, self.scale), self.config)
         points = self.turned(points.withColumnRenamed("x", "q")).withColumnRenamed("q", "x")
-        added = home_parts(points, "x", self.summaries(), self.dim)
+        added = self.routing().home(points, "x", nearest_center=True)
         touched = added.select("part_id").distinct()
         old = self.parts.join(touched, "part_id", "left_semi").select("part_id", "tree").mapInPandas(_point_rows, LEAF_POINTS)
-        again = _local_trees(old.select("part_id", "pid", "x").unionByName(added.select("part_id", "pid", "x")), self.config)
+        together = saved(old.select("part_id", "pid", "x").unionByName(added.select("part_id", "pid", "x")))
+        top = self.parts.agg(F.max("part_id")).first()[0] + 1
+        again = _local_trees(_cut_crowded(together, self.config, top), self.config)
         parts = saved(self.parts.join(touched, "part_id", "left_anti").unionByName(again))
         got = parts.agg(F.sum("n").alias("n"), F.count("*").alias("p")).first()
-        return replace(self, parts=parts, n=got.n, n_parts=got.p)
+        return replace(self, parts=parts, n=got.n, n_parts=got.p, made=None)
 
     def compact(self, part_ids: list[int]) -> SpatialIndex:
         """The trees of those parts, made again as one tree a part of at most ``local_rows`` points."""
@@ -126,7 +133,7 @@ class SpatialIndex:
         fresh = build_tree(Points(points, self.dim, self.scale), self.config)
         top = self.parts.agg(F.max("part_id")).first()[0] + 1
         parts = saved(self.parts.where(~some).unionByName(fresh.parts.withColumn("part_id", (F.col("part_id") + top).cast("int"))))
-        return replace(self, parts=parts, n_parts=parts.count())
+        return replace(self, parts=parts, n_parts=parts.count(), made=None)
 
 
 def _node_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -153,10 +160,6 @@ def _point_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
                 yield pd.DataFrame({"part_id": np.full(len(ids[s]), part, np.int32), "leaf_id": ids[s], "pid": t.pid[s], "x": list(t.x[s])})
 
 
-def _matrix(x: pd.Series) -> np.ndarray:
-    return np.array(x.tolist(), float).reshape(len(x), -1) if len(x) else np.empty((0, 1))
-
-
 def _local_trees(assigned: DataFrame, cfg: BuildConfig) -> DataFrame:
     def one(rows: pd.DataFrame) -> pd.DataFrame:
         order = np.argsort(rows["pid"].to_numpy(), kind="stable")  # a tree must not depend on the order of arrival
@@ -166,22 +169,20 @@ def _local_trees(assigned: DataFrame, cfg: BuildConfig) -> DataFrame:
     return assigned.groupBy("part_id").applyInPandas(one, PARTS)
 
 
-def home_parts(rows: DataFrame, vector: str, summaries: pd.DataFrame, dim: int) -> DataFrame:
-    """``rows`` with ``part_id``, the part whose centre is nearest; the lowest among equals."""
-    ids, centers = summaries["part_id"].to_numpy(), _matrix(summaries["center"])
-
-    @F.pandas_udf("int")
-    def home(x: pd.Series) -> pd.Series:
-        q = _matrix(x)
-        out = np.empty(len(q), np.int64)
-        for a in range(0, len(q), 1024):
-            d = np.zeros((len(q[a : a + 1024]), len(ids)))
-            for j in range(dim):
-                d += (q[a : a + 1024, j, None] - centers[None, :, j]) ** 2
-            out[a : a + 1024] = ids[d.argmin(axis=1)]
-        return pd.Series(out)
-
-    return rows.withColumn("part_id", home(vector))
+def _cut_crowded(assigned: DataFrame, cfg: BuildConfig, top: int) -> DataFrame:
+    """Points (part_id, pid, x), those of parts with more than four times ``local_rows`` dealt by pid to as many parts as they need, numbered from ``top`` on."""
+    crowded = assigned.groupBy("part_id").count().where(F.col("count") > 4 * cfg.local_rows)
+    over = crowded.withColumn("cuts", F.ceil(F.col("count") / cfg.local_rows)).select(F.col("part_id").alias("of"), "cuts")
+    firsts = [(r.of, r.cuts) for r in over.collect()]  # a few parts, of local_rows and more points each
+    if not firsts:
+        return assigned
+    begin, rows = top, []
+    for part, cuts in firsts:
+        rows.append((part, cuts, begin))
+        begin += cuts
+    table = assigned.sparkSession.createDataFrame(rows, "part_id int, cuts long, first long")
+    dealt = F.coalesce(F.col("first") + F.pmod(F.xxhash64("pid"), F.col("cuts")), F.col("part_id")).cast("int")
+    return assigned.join(F.broadcast(table), "part_id", "left").select(dealt.alias("part_id"), "pid", "x")
 
 
 def _top_tree_router(sample: pd.DataFrame, parts: int, cfg: BuildConfig):
@@ -244,12 +245,7 @@ def build_tree(points: Points, cfg: BuildConfig | None = None, n: int | None = N
         assigned = df.withColumn("part_id", route("x"))
     if parts > 1:
         assigned = saved(assigned.select("part_id", "pid", "x"))
-        crowded = assigned.groupBy("part_id").count().where(F.col("count") > 4 * cfg.local_rows)
-        over = {r.part_id: -(-r["count"] // cfg.local_rows) for r in crowded.collect()}
-        if over:
-            top = assigned.agg(F.max("part_id")).first()[0] + 1
-            cuts = F.element_at(F.create_map(*[F.lit(v) for kv in over.items() for v in kv]), F.col("part_id"))
-            piece = F.pmod(F.xxhash64("pid"), F.coalesce(cuts, F.lit(1))).cast("int")
-            assigned = assigned.withColumn("part_id", (F.col("part_id") + top * piece).cast("int"))
+        top = assigned.agg(F.max("part_id")).first()[0] + 1
+        assigned = _cut_crowded(assigned, cfg, top)
     trees = saved(_local_trees(assigned.select("part_id", "pid", "x"), cfg))
     return SpatialIndex(trees, points.dim, cfg, points.scale, n, trees.count(), rotation)

@@ -477,3 +477,107 @@ def nearest_kernel(
             if not child_test or r == math.inf or g <= r:
                 stack.append((c, max(bound, g) if carry_bound else g))
     return sorted((-d, -pid) for d, pid in best)
+
+
+# --- searches of many queries at once -----------------------------------------------------------------
+
+#: Points that are compared at once, and queries that go through a tree together.
+COMPARED, TOGETHER = 2_000_000, 4096
+
+
+def gaps(tree: Tree, q: np.ndarray, node: np.ndarray) -> np.ndarray:
+    """Least distance of each node's region from the query beside it."""
+    if tree.kind != "kdt":
+        return np.maximum(0.0, np.sqrt(squared(tree.center[node], q)) - tree.radius[node])
+    out = np.zeros(len(q))
+    for j in range(q.shape[1]):
+        out += np.maximum(0.0, np.maximum(tree.box_lo[node, j] - q[:, j], q[:, j] - tree.box_hi[node, j])) ** 2
+    return np.sqrt(out) * (1 - SLACK)
+
+
+def open_leaves(tree: Tree, q: np.ndarray, reach: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(query, leaf) pairs of the leaves within each query's reach: all queries go down together, a level a step."""
+    who, node = np.arange(len(q)), np.zeros(len(q), np.int64)
+    found = [(who[:0], node[:0])]
+    while len(who) and len(tree.lo):
+        near = gaps(tree, q[who], node) <= reach[who]
+        who, node = who[near], node[near]
+        leaf = tree.lo[node] < 0
+        found.append((who[leaf], node[leaf]))
+        who = np.repeat(who[~leaf], 2)
+        node = np.stack([tree.lo[node[~leaf]], tree.hi[node[~leaf]]], axis=1).ravel()
+    return np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
+
+
+def nearer_path(tree: Tree, q: np.ndarray, least: np.ndarray):
+    """The nodes on each query's way to the nearer child, as long as that has ``least`` points: arrays, the last being where it ends."""
+    node = np.zeros(len(q), np.int64)
+    while True:
+        yield node
+        on = np.nonzero(tree.lo[node] >= 0)[0]
+        lo, hi = tree.lo[node[on]], tree.hi[node[on]]
+        a, b = gaps(tree, q[on], lo), gaps(tree, q[on], hi)
+        right = (b < a) | (a == b) & (squared(tree.center[hi], q[on]) < squared(tree.center[lo], q[on]))
+        child = np.where(right, hi, lo)
+        enough = tree.end[child] - tree.begin[child] >= least[on]
+        if not enough.any():
+            return
+        node = node.copy()
+        node[on[enough]] = child[enough]
+
+
+def compared(tree: Tree, q: np.ndarray, who: np.ndarray, node: np.ndarray):
+    """(query, place of the point, squared distance) of all points of the (query, node) pairs, some pairs at a time."""
+    sizes = tree.end[node] - tree.begin[node]
+    total = np.cumsum(sizes)
+    begin = 0
+    while begin < len(who):
+        before = total[begin - 1] if begin else 0
+        end = max(begin + 1, int(np.searchsorted(total, before + COMPARED, side="right")))
+        n = sizes[begin:end]
+        at = np.repeat(tree.begin[node[begin:end]] - (total[begin:end] - n - before), n) + np.arange(n.sum())
+        of = np.repeat(who[begin:end], n)
+        yield of, at, squared(tree.x[at], q[of])
+        begin = end
+
+
+def range_together(tree: Tree, q: np.ndarray, r: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query, pid, squared distance) of all points within each query's r, the border included."""
+    out = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))]
+    for a in range(0, len(q), TOGETHER):
+        some, reach = q[a : a + TOGETHER], r[a : a + TOGETHER]
+        for of, at, d2 in compared(tree, some, *open_leaves(tree, some, reach)):
+            inside = d2 <= reach[of] * reach[of]
+            out.append((a + of[inside], tree.pid[at[inside]], d2[inside]))
+    return tuple(np.concatenate([o[i] for o in out]) for i in range(3))
+
+
+def nearest_together(tree: Tree, q: np.ndarray, k: np.ndarray, r: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query, pid, squared distance) of the k nearest within r of each query, ties by pid: what ``nearest_kernel`` finds.
+
+    The k-th distance in the smallest node on the nearer path that has k points bounds, with r, what is then visited.
+    """
+    out = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))]
+    for a in range(0, len(q) if len(tree.lo) else 0, TOGETHER):
+        some, least, reach = q[a : a + TOGETHER], k[a : a + TOGETHER], r[a : a + TOGETHER].astype(float)
+        *_, node = nearer_path(tree, some, least)
+        bound = np.full(len(some), np.inf)
+        for of, _, d2 in compared(tree, some, np.arange(len(some)), node):  # a pair's points come together
+            order = np.lexsort((d2, of))
+            first = np.searchsorted(of, np.arange(len(some)))
+            n = np.bincount(of, minlength=len(some))
+            full = (n >= least) & (n > 0)
+            bound[full] = d2[order][(first + least - 1)[full]]
+        reach = np.minimum(reach, np.sqrt(bound) * (1 + SLACK))
+        limit = np.minimum(bound, r[a : a + TOGETHER].astype(float) ** 2)
+        kept = [(o[:0], o[:0], d[:0]) for o, d in [(np.empty(0, np.int64), np.empty(0))]]
+        for of, at, d2 in compared(tree, some, *open_leaves(tree, some, reach)):
+            near = d2 <= limit[of]
+            kept.append((of[near], tree.pid[at[near]], d2[near]))
+        of, pid, d2 = (np.concatenate([x[i] for x in kept]) for i in range(3))
+        order = np.lexsort((pid, d2, of))
+        of, pid, d2 = of[order], pid[order], d2[order]
+        first = np.searchsorted(of, np.arange(len(some)))
+        top = np.arange(len(of)) - first[of] < least[of]
+        out.append((a + of[top], pid[top], d2[top]))
+    return tuple(np.concatenate([o[i] for o in out]) for i in range(3))

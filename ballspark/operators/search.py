@@ -1,15 +1,15 @@
 """Searches over an index: routed, relational (frontier), flat, and brute force.
 
-A routed search sends each query to the parts it can meet, computed on the parts' balls or boxes alone,
-and runs the kernels there. The queries of a part travel to its tree: in a broadcast where they are
-counted to be few, else both sides are shuffled by part. Nearest-neighbour searches take two rounds,
-first the home part, whose answers bound the second.
+A routed search sends each query to the parts it can meet, found on the parts' balls or boxes alone,
+and searches there all queries of a part together. The queries of a part travel to its tree in groups of a bounded
+size, however many there are: in a broadcast where they are counted to be few, else by a join on the part,
+which Spark can split. Nearest-neighbour searches take two rounds, first a home part, whose answers bound the second.
 """
 
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -18,114 +18,71 @@ from pyspark.sql import functions as F
 
 from ballspark.functions.geometry import ball_intersects, box_min_dist, sq_dist
 
-from .index import SpatialIndex, _matrix, saved
-from .kernel import SLACK, Trace, Tree, count_kernel, nearest_kernel, range_kernel
+from .index import SpatialIndex, saved
+from .kernel import SLACK, Trace, Tree, count_kernel, nearest_kernel, nearest_together, range_kernel, range_together
+from .routing import matrix
 
-#: Routed queries that are broadcast to the trees at most.
-BROADCAST_QUERIES = 200_000
+#: Routed queries that are broadcast to the trees at most; queries of a group that meets a tree, on average.
+BROADCAST_QUERIES, CHUNK = 200_000, 8192
 FOUND = "qid long, pid long, d2 double"
 COUNTERS = ("nodes_entered", "nodes_expanded", "leaves_scanned", "points_compared")
 TRACE = ", ".join(f"{c} long" for c in COUNTERS)
 
+#: What a search does at a tree: (tree, vectors, the queries' qid, k and r) to columns of answers.
+Work = Callable[[Tree, np.ndarray, pd.DataFrame], pd.DataFrame]
 
-def _gaps(q: np.ndarray, parts: pd.DataFrame, kind: str) -> np.ndarray:
-    """Least distance of each query from each part."""
-    out = np.zeros((len(q), len(parts)))
-    if kind == "kdt":
-        low, high = _matrix(parts["box_lo"]), _matrix(parts["box_hi"])
-        for j in range(q.shape[1]):
-            out += np.maximum(0, np.maximum(low[None, :, j] - q[:, j, None], q[:, j, None] - high[None, :, j])) ** 2
-        return np.sqrt(out) * (1 - SLACK)
-    center = _matrix(parts["center"])
-    for j in range(q.shape[1]):
-        out += (q[:, j, None] - center[None, :, j]) ** 2
-    return np.maximum(0.0, np.sqrt(out) - parts["radius"].to_numpy()[None, :])
-
-
-def metadata_bound(q: np.ndarray, k: np.ndarray, parts: pd.DataFrame) -> np.ndarray:
-    """An upper bound of each query's k-th distance from counts and balls alone: parts by their farthest reach until they hold k."""
-    center, reach = _matrix(parts["center"]), np.zeros((len(q), len(parts)))
-    for j in range(q.shape[1]):
-        reach += (q[:, j, None] - center[None, :, j]) ** 2
-    reach = np.sqrt(reach) + parts["radius"].to_numpy()[None, :]
-    order = np.argsort(reach, axis=1)
-    held = np.cumsum(parts["n"].to_numpy()[order], axis=1)
-    at = (held < k[:, None]).sum(axis=1)
-    return np.where(at < len(parts), np.take_along_axis(reach, order, 1)[np.arange(len(q)), np.minimum(at, len(parts) - 1)], np.inf) * (1 + SLACK)
-
-
-def _route(index: SpatialIndex, queries: DataFrame, radius: str, skip_home: bool = False) -> DataFrame:
-    """(part_id, qid, q, k, r, bound) for each part within ``radius`` (a column; null is no limit) of each query."""
-    parts, kind = index.summaries(), index.config.kind
-    ids = parts["part_id"].to_numpy()
-
-    @F.pandas_udf("array<int>")
-    def meets(q: pd.Series, limit: pd.Series) -> pd.Series:
-        reach = limit.fillna(math.inf).to_numpy() * (1 + SLACK)
-        out = []
-        points = _matrix(q)
-        for a in range(0, len(points), 1024):
-            near = _gaps(points[a : a + 1024], parts, kind) <= reach[a : a + 1024, None]
-            out += [ids[row] for row in near]
-        return pd.Series(out)
-
-    routed = queries.withColumn("part_id", F.explode(meets("q", radius)))
-    return routed.where(F.col("part_id") != F.col("home")) if skip_home else routed
-
-
-def _at_parts(index: SpatialIndex, routed: DataFrame, work, schema: str) -> DataFrame:
-    """``work(tree, query row) -> tuples`` for each routed query at its part's tree."""
-    columns = [c for c in routed.columns if c != "part_id"]
-
-    def run(tree: bytes, rows) -> Iterator[tuple]:
-        t = Tree.from_bytes(tree)
-        for row in rows:
-            yield from work(t, row)
 
+def one_by_one(each: Callable[[Tree, dict], Iterator[tuple]], schema: str) -> Work:
+    """Work that searches query after query, where counters or the variants of a procedure are asked for."""
     names = [c.strip().split(" ")[0] for c in schema.split(",")]
-    per_part = routed.groupBy("part_id").agg(F.collect_list(F.struct(*columns)).alias("todo"))
-    few = index.n_parts == 1 or routed.count() <= BROADCAST_QUERIES
 
-    def mapped(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            for tree, todo in zip(batch["tree"], batch["todo"]):
-                yield pd.DataFrame(list(run(tree, todo)), columns=names)
+    def work(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> pd.DataFrame:
+        asked = zip(rows["qid"], rows["k"], rows["r"], q.tolist())
+        return pd.DataFrame([row for qid, k, r, v in asked for row in each(tree, {"qid": qid, "q": v, "k": k, "r": r})], columns=names)
+
+    return work
 
-    if few:
-        joined = index.parts.select("part_id", "tree").join(F.broadcast(per_part) if index.n_parts > 1 else per_part, "part_id")
-        return joined.select("tree", "todo").mapInPandas(mapped, schema)
 
-    def grouped(key, trees: pd.DataFrame, todo: pd.DataFrame) -> pd.DataFrame:
-        if not len(trees) or not len(todo):
-            return pd.DataFrame(columns=names)
-        return pd.DataFrame(list(run(trees["tree"].iloc[0], todo[columns].to_dict("records"))), columns=names)
+def _limits(rows: pd.DataFrame) -> np.ndarray:
+    return rows["r"].astype(float).fillna(math.inf).to_numpy()
 
-    trees = index.parts.select("part_id", "tree").groupBy("part_id")
-    return trees.cogroup(routed.groupBy("part_id")).applyInPandas(grouped, schema)
 
+def _at_parts(index: SpatialIndex, routed: DataFrame, work: Work, schema: str) -> DataFrame:
+    """``work`` for the routed queries (part_id, qid, q, k, r) at their parts' trees."""
+    routed = saved(routed.select("part_id", "qid", "q", "k", "r"))
+    counts = routed.groupBy("part_id").agg(F.ceil(F.count("*") / CHUNK).alias("chunks"))
+    few = routed.count() <= BROADCAST_QUERIES
+    counts = F.broadcast(counts) if few else counts
+    chunk = F.pmod(F.xxhash64("qid"), F.col("chunks"))
+    groups = routed.join(counts, "part_id").groupBy("part_id", chunk.alias("chunk")).agg(F.collect_list(F.struct("qid", "q", "k", "r")).alias("todo"))
+    joined = index.parts.select("part_id", "tree").join(F.broadcast(groups) if few else groups, "part_id")
 
-def _spread(index: SpatialIndex, queries: DataFrame, blocks: int = 32) -> DataFrame:
-    """Against a single part, queries in blocks, so that more than one task works on them."""
-    return queries.withColumn("block", F.pmod(F.xxhash64("qid"), F.lit(blocks)).cast("int"))
+    def mapped(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for tree, todo in zip(batch["tree"], batch["todo"]):
+                rows = pd.DataFrame(list(todo), columns=["qid", "q", "k", "r"])
+                yield work(Tree.from_bytes(tree), matrix(rows["q"]), rows)
 
+    return joined.select("tree", "todo").mapInPandas(mapped, schema)
 
-def _single(index: SpatialIndex, queries: DataFrame, work, schema: str) -> DataFrame:
+
+def _single(index: SpatialIndex, queries: DataFrame, work: Work, schema: str) -> DataFrame:
     """Queries against an index of one part: its tree, at most ``local_rows`` points, is broadcast to the queries."""
     tree = index.spark.sparkContext.broadcast(index.parts.select("tree").first().tree)
-    names = [c.strip().split(" ")[0] for c in schema.split(",")]
 
     def mapped(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         t = Tree.from_bytes(tree.value)
         for batch in batches:
-            yield pd.DataFrame([row for q in batch.to_dict("records") for row in work(t, q)], columns=names)
+            if len(batch):
+                yield work(t, matrix(batch["q"]), batch)
 
-    return queries.mapInPandas(mapped, schema)
+    return queries.select("qid", "q", "k", "r").mapInPandas(mapped, schema)
 
 
-def _run(index: SpatialIndex, queries: DataFrame, radius: str, work, schema: str) -> DataFrame:
+def _run(index: SpatialIndex, queries: DataFrame, radius: str, work: Work, schema: str) -> DataFrame:
     if index.n_parts == 1:
         return _single(index, queries, work, schema)
-    return _at_parts(index, _route(index, queries, radius), work, schema)
+    return _at_parts(index, index.routing().meets(queries, "q", radius), work, schema)
 
 
 def _prepared(queries: DataFrame, k: int | None, r: float | None) -> DataFrame:
@@ -155,15 +112,16 @@ def range_search(index: SpatialIndex, queries: DataFrame, r: float | None = None
     elif engine == "flat":
         found = flat_range(index, queries)
     elif trace:
-        return _run(index, queries, "r", _range_trace, f"qid long, answers long, {TRACE}").groupBy("qid").agg(F.sum("answers").alias("answers"), *[F.sum(c).alias(c) for c in COUNTERS])
+        schema = f"qid long, answers long, {TRACE}"
+        return _run(index, queries, "r", one_by_one(_range_trace, schema), schema).groupBy("qid").agg(F.sum("answers").alias("answers"), *[F.sum(c).alias(c) for c in COUNTERS])
     else:
         found = _run(index, queries, "r", _range_work, FOUND)
     return found.select("qid", "pid", F.sqrt("d2").alias("dist"))
 
 
-def _range_work(tree: Tree, row) -> Iterator[tuple]:
-    for d2, pid in range_kernel(tree, list(row["q"]), _limit(row), Trace()):
-        yield row["qid"], pid, d2
+def _range_work(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> pd.DataFrame:
+    of, pid, d2 = range_together(tree, q, _limits(rows))
+    return pd.DataFrame({"qid": rows["qid"].to_numpy()[of], "pid": pid, "d2": d2})
 
 
 def _range_trace(tree: Tree, row) -> Iterator[tuple]:
@@ -178,7 +136,7 @@ def range_count(index: SpatialIndex, queries: DataFrame, r: float | None = None)
         yield row["qid"], count_kernel(tree, list(row["q"]), _limit(row), Trace())
 
     queries = index.turned(_prepared(queries, None, r))
-    counted = _run(index, queries, "r", work, "qid long, c long") if index.n_parts else index.spark.createDataFrame([], "qid long, c long")
+    counted = _run(index, queries, "r", one_by_one(work, "qid long, c long"), "qid long, c long") if index.n_parts else index.spark.createDataFrame([], "qid long, c long")
     return queries.join(counted.groupBy("qid").agg(F.sum("c").alias("n")), "qid", "left").select("qid", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
 
 
@@ -189,21 +147,31 @@ def range_exists(index: SpatialIndex, queries: DataFrame, r: float | None = None
         yield row["qid"], count_kernel(tree, list(row["q"]), _limit(row), Trace(), first_only=True) > 0
 
     queries = index.turned(_prepared(queries, None, r))
-    seen = _run(index, queries, "r", work, "qid long, f boolean") if index.n_parts else index.spark.createDataFrame([], "qid long, f boolean")
+    seen = _run(index, queries, "r", one_by_one(work, "qid long, f boolean"), "qid long, f boolean") if index.n_parts else index.spark.createDataFrame([], "qid long, f boolean")
     return queries.join(seen.groupBy("qid").agg(F.bool_or("f").alias("f")), "qid", "left").select("qid", F.coalesce("f", F.lit(False)).alias("found"))
 
 
-def _nearest_work(options: dict, counters: bool = False):
-    def work(tree: Tree, row) -> Iterator[tuple]:
+def _nearest_work(options: dict, counters: bool = False) -> tuple[Work, str]:
+    """Work and its schema. Answers don't depend on ``options``, which are the procedure's: with some, or for counters, it runs for each query."""
+    if not options and not counters:
+
+        def together(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> pd.DataFrame:
+            of, pid, d2 = nearest_together(tree, q, rows["k"].to_numpy(np.int64), _limits(rows))
+            return pd.DataFrame({"qid": rows["qid"].to_numpy()[of], "pid": pid, "d2": d2})
+
+        return together, FOUND
+
+    def each(tree: Tree, row: dict) -> Iterator[tuple]:
         t = Trace()
-        found = nearest_kernel(tree, list(row["q"]), row["k"], _limit(row), t, **options)
+        found = nearest_kernel(tree, row["q"], int(row["k"]), _limit(row), t, **options)
         if counters:
             yield row["qid"], len(found), *_counters(t)
         else:
             for d2, pid in found:
                 yield row["qid"], pid, d2
 
-    return work
+    schema = f"qid long, answers long, {TRACE}" if counters else FOUND
+    return one_by_one(each, schema), schema
 
 
 def ranked(found: DataFrame, queries: DataFrame | None = None) -> DataFrame:
@@ -226,32 +194,27 @@ def nearest(index: SpatialIndex, queries: DataFrame, k: int | None = None, r: fl
     if trace:
         if index.n_parts > 1:
             raise ValueError("counters are those of a single tree")
-        return _single(index, queries, _nearest_work(options, True), f"qid long, answers long, {TRACE}")
+        return _single(index, queries, *_nearest_work(options, True))
     if index.n_parts == 1:
-        found = _single(index, queries, _nearest_work(options), FOUND)
+        found = _single(index, queries, *_nearest_work(options))
         return ranked(found.join(queries.select("qid", "k"), "qid"))
     return _two_rounds(index, queries, bound, options)
 
 
 def _two_rounds(index: SpatialIndex, queries: DataFrame, bound: str, options: dict) -> DataFrame:
-    parts = index.summaries()
-    ids, kind = parts["part_id"].to_numpy(), index.config.kind
-
-    @F.pandas_udf("struct<home:int,most:double>")
-    def home(q: pd.Series, k: pd.Series) -> pd.DataFrame:
-        p = _matrix(q)
-        gaps = _gaps(p, parts, kind)
-        most = metadata_bound(p, k.to_numpy(), parts) if bound == "metadata" else np.full(len(p), np.inf)
-        return pd.DataFrame({"home": ids[gaps.argmin(axis=1)], "most": most})
-
-    at_home = queries.withColumn("h", home("q", "k")).select("qid", "q", "k", F.least(F.coalesce("r", F.lit(math.inf)), "h.most").alias("r"), F.col("h.home").alias("home"))
-    at_home = saved(at_home)
-    first = saved(_at_parts(index, at_home.withColumn("part_id", F.col("home")).select("part_id", "qid", "q", "k", "r"), _nearest_work(options), FOUND))
+    routing = index.routing()
+    most = F.col("most") if bound == "metadata" else F.lit(math.inf)
+    asked = routing.bounded(queries) if bound == "metadata" else queries
+    at_home = routing.home(asked.select("qid", "q", "k", F.least(F.coalesce("r", F.lit(math.inf)), most).alias("r")), "q")
+    at_home = saved(at_home.withColumn("home", F.col("part_id")))
+    work, schema = _nearest_work(options)
+    first = saved(_at_parts(index, at_home, work, schema))
     worst = first.groupBy("qid").agg(F.count("*").alias("c"), F.max("d2").alias("d2"))
-    left = at_home.join(worst, "qid", "left")
+    left = at_home.drop("part_id").join(worst, "qid", "left")
     full = F.col("c") >= F.col("k")
     left = left.withColumn("r", F.when(full, F.least("r", F.sqrt("d2") * (1 + SLACK))).otherwise(F.col("r"))).select("qid", "q", "k", "r", "home")
-    second = _at_parts(index, _route(index, left, "r", skip_home=True).select("part_id", "qid", "q", "k", "r"), _nearest_work(options), FOUND)
+    others = routing.meets(left, "q", "r").where(F.col("part_id") != F.col("home"))
+    second = _at_parts(index, others, work, schema)
     return ranked(first.unionByName(second).join(queries.select("qid", "k"), "qid"))
 
 
@@ -260,9 +223,9 @@ def knn_search(index: SpatialIndex, queries: DataFrame, k: int | None = None, **
     return nearest(index, queries.drop("r"), k, **options)
 
 
-def constrained_knn(index: SpatialIndex, queries: DataFrame, k: int | None = None, r: float | None = None, order: str = "right_first", **options) -> DataFrame:
+def constrained_knn(index: SpatialIndex, queries: DataFrame, k: int | None = None, r: float | None = None, **options) -> DataFrame:
     """The k nearest among the points within r, pruned by both."""
-    return nearest(index, queries, k, r, order=order, **options)
+    return nearest(index, queries, k, r, **options)
 
 
 def knn_then_range(index: SpatialIndex, queries: DataFrame, k: int, r: float) -> DataFrame:

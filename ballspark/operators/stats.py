@@ -6,7 +6,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .index import SpatialIndex
-from .pca import balanced_bound
 
 
 def avg_depth(index: SpatialIndex) -> DataFrame:
@@ -48,10 +47,6 @@ def tree_quality(index: SpatialIndex) -> DataFrame:
     )
 
 
-def bound_of(n: int) -> float:
-    return balanced_bound(n)
-
-
 def average_cost(trace: DataFrame) -> DataFrame:
     """(queries, avg_entered, avg_expanded, avg_leaves, avg_points, avg_answers) of a search's counters."""
     return trace.agg(

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 
+from pyspark.sql import functions as F
+
 from ballspark.operators.index import SpatialIndex
 from ballspark.operators.search import BROADCAST_QUERIES
 
@@ -16,8 +18,8 @@ def choose_engine(index: SpatialIndex, queries: int, k: int | None = None, r: fl
     if index.n * queries <= 1_000_000 or (index.dim >= HIGH_DIM and index.n * queries <= FEW_PAIRS):
         return "brute"
     if index.n_parts and queries <= BROADCAST_QUERIES and r is not None:
-        root = index.summaries()
-        share = math.pow(min(1.0, 2 * r / max(1e-300, 2 * float(root["radius"].max()))), index.dim)
+        widest = index.summaries().agg(F.max("radius")).first()[0]
+        share = math.pow(min(1.0, r / max(1e-300, widest)), index.dim)
         if share > 0.5 and index.n * queries <= FEW_PAIRS:
             return "brute"
     return "routed"

@@ -1,12 +1,12 @@
 """Points, files, indexes in parts, streams: what the queries don't show."""
 
-import math
-
+import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
 from ballspark.config import BuildConfig
-from ballspark.operators import search
+from ballspark.operators import routing, search
 from ballspark.operators.index import SpatialIndex, build_tree, saved
 from ballspark.operators.joins import grid_range_join, interval_join
 from ballspark.operators.stats import compare_exact, depth_histogram, invariants
@@ -14,7 +14,7 @@ from ballspark.plans.choose import choose_engine, parts_for, suggest_alpha
 from ballspark.sources.generators import KINDS, generate, with_outliers
 from ballspark.sources.points import Points, read_points, to_points, write_results
 from ballspark.sources.queries import uniform_queries
-from ballspark.streaming.search import run_to_end, standing_nearest, stream_append
+from ballspark.streaming.search import marked_late, run_to_end, standing_nearest, stream_append
 
 
 def test_bad_rows_are_left_out_and_counted(spark):
@@ -108,7 +108,78 @@ def test_streams_of_points(spark, tmp_path):
     index = stream_append(stream, start)
     truth = search.brute(pts, asks, 2, 4)
     assert index.n == 300 and compare_exact(search.knn_search(index, asks, 4), truth).first()[:2] == (0, 0)
+
+
+def test_standing_queries_over_several_batches(spark, tmp_path):
+    """Three batches, the last of which holds nothing that any query takes; then a stream without rows."""
+    pts = generate(spark, "uniform", 300)
+    asks = uniform_queries(spark, [(0.0, 1.0)] * 2, 5)
+    truth = search.brute(pts, asks, 2, 4).collect()
+    best = {r.pid for r in truth}
+    one, two = sorted(best)[::2], sorted(best)[1::2]
+    for name, some in (("a", F.col("pid").isin(one)), ("b", F.col("pid").isin(two)), ("c", ~F.col("pid").isin(sorted(best)))):
+        pts.where(some).coalesce(1).write.parquet(f"{tmp_path}/in/{name}")
     stream = spark.readStream.schema("pid long, x array<double>").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in/*")
-    last = run_to_end(standing_nearest(stream, asks, 4, 2), mode="update")
-    got = {(r.qid, r["rank"]): r.pid for r in last.collect()}
-    assert got == {(r.qid, r["rank"]): r.pid for r in truth.collect()} and not math.isnan(len(got))
+    last = run_to_end(standing_nearest(stream, asks, 4, 2), mode="update", key=["qid"])
+    assert {(r.qid, r["rank"], r.pid) for r in last.collect()} == {(r.qid, r["rank"], r.pid) for r in truth} and last.count() == len(truth)
+    few = spark.readStream.schema("pid long, x array<double>").parquet(f"{tmp_path}/in/c")
+    none = run_to_end(standing_nearest(few.where("pid < 0"), asks, 4, 2), mode="update", key=["qid"])
+    assert none.count() == 0
+    with pytest.raises(ValueError):
+        run_to_end(standing_nearest(few, asks, 4, 2), mode="update")
+
+
+def test_late_rows_are_marked(spark, tmp_path):
+    times = [["2024-01-01 10:00:00", None, "2024-01-01 12:00:00"], ["2024-01-01 10:59:59", "2024-01-01 11:00:00", "2024-01-01 09:00:00"], ["2024-01-01 15:00:00", "2024-01-01 11:30:00"]]
+    for i, some in enumerate(times):
+        spark.createDataFrame([(10 * i + j, t) for j, t in enumerate(some)], "id long, ts string").withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.parquet(f"{tmp_path}/in/{i}")
+    stream = spark.readStream.schema("id long, ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in/*")
+    got = {r.id: r.late for r in marked_late(stream, "ts", "1 hour").collect()}
+    assert got == {0: False, 1: False, 2: False, 10: True, 11: False, 12: True, 20: False, 21: False}
+
+
+@pytest.mark.parametrize("kind", ["pab", "kdt"])
+def test_branches_of_scale_answer_alike(spark, monkeypatch, kind):
+    """Routers over blocks of parts, queries that are too many to be broadcast, and groups of few queries."""
+    p = Points(saved(generate(spark, "lithuanian", 3000)), 2)
+    qs = saved(uniform_queries(spark, [(-8.0, 12.0)] * 2, 150))
+    index = build_tree(p, BuildConfig(parts=40, top="sample", sample_rows=50, local_rows=200, leaf_capacity=8, kind=kind))
+    truth, every = search.brute(p.df, qs, 2, 7), search.brute(p.df, qs, 2, None, 1.0)
+    want = [search.range_count(index, qs, 1.0).orderBy("qid").collect(), index.append(generate(spark, "uniform", 40).withColumn("pid", F.col("pid") + 10_000)).n]
+    monkeypatch.setattr(routing, "ROUTED_PARTS", 12)
+    monkeypatch.setattr(search, "BROADCAST_QUERIES", 10)
+    monkeypatch.setattr(search, "CHUNK", 16)
+    index.made = None
+    assert index.routing().blocks.count() > 1
+    assert compare_exact(search.knn_search(index, qs, 7), truth).first()[:2] == (0, 0)
+    assert compare_exact(search.nearest(index, qs, 7, bound="metadata"), truth).first()[:2] == (0, 0)
+    assert compare_exact(search.range_search(index, qs, 1.0), every).first()[:2] == (0, 0)
+    more = index.append(generate(spark, "uniform", 40).withColumn("pid", F.col("pid") + 10_000))
+    assert [search.range_count(index, qs, 1.0).orderBy("qid").collect(), more.n] == want
+
+
+def test_a_part_that_outgrows_its_size_is_cut(spark):
+    index = build_tree(Points(generate(spark, "uniform", 200), 2), BuildConfig(parts=2, top="sample", local_rows=100, leaf_capacity=8))
+    more = index.append(generate(spark, "uniform", 1500).withColumns({"pid": F.col("pid") + 1000, "x": F.transform("x", lambda v: v / 100)}))
+    assert more.n == 1700 and more.n_parts > 3 and more.parts.agg(F.max("n")).first()[0] <= 400
+    asks = uniform_queries(spark, [(0.0, 0.02)] * 2, 10)
+    assert compare_exact(search.knn_search(more, asks, 5), search.brute(more.leaf_points().select("pid", "x"), asks, 2, 5)).first()[:2] == (0, 0)
+
+
+def test_routers_are_right():
+    rng = np.random.default_rng(4)
+    regions = pd.DataFrame({"part_id": np.arange(200)[::-1], "n": rng.integers(1, 9, 200), "center": list(rng.random((200, 2))), "radius": rng.random(200) * 0.1})
+    center = np.array(regions["center"].tolist())
+    regions["box_lo"], regions["box_hi"] = list(center - regions["radius"].to_numpy()[:, None] / 2), list(center + regions["radius"].to_numpy()[:, None] / 2)
+    q, reach, k = rng.random((50, 2)), rng.random(50) * 0.2, rng.integers(1, 40, 50)
+    for kind in ("pab", "kdt"):
+        r = routing.Router.over(regions, kind)
+        far = np.sqrt(((q[:, None] - center[None]) ** 2).sum(axis=2))
+        gap = np.maximum(0, far - regions["radius"].to_numpy()) if kind == "pab" else np.sqrt((np.maximum(0, np.abs(q[:, None] - center[None]) - regions["radius"].to_numpy()[None, :, None] / 2) ** 2).sum(axis=2))
+        who, ids = r.meets(q, reach)
+        assert sorted(zip(who, ids)) == sorted((i, regions["part_id"][j]) for i, j in zip(*np.nonzero(gap <= reach[:, None])))
+        assert (r.nearest_center(q) == regions["part_id"].to_numpy()[far.argmin(axis=1)]).all()
+        assert set(r.home(q)) <= set(regions["part_id"])
+        order = np.argsort(far + regions["radius"].to_numpy(), axis=1)
+        least = [np.take(far[i] + regions["radius"].to_numpy(), order[i])[np.searchsorted(np.cumsum(regions["n"].to_numpy()[order[i]]), k[i])] for i in range(50)]
+        assert (r.bound(q, k) >= np.array(least) - 1e-9).all() and np.isfinite(r.bound(q, k)).all()
