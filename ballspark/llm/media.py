@@ -25,8 +25,8 @@ RATE, WINDOW, HOP = 8000, 512, 256
 #: Half the neighbourhood of a peak, in frames and bins; how many later peaks it is paired with, and how far.
 NEAR_FRAMES, NEAR_BINS, FAN, REACH = 4, 8, 4, 63
 HANN = (0.5 - 0.5 * np.cos(2 * np.pi * np.arange(WINDOW) / WINDOW)).astype(np.float32)
-#: Frames that are transformed at once; bounds the memory for sounds of any length.
-FRAMES = 4096
+#: Frames that are transformed and searched for peaks at once, for sounds of any length.
+FRAMES = 2048
 
 
 def padded(data: bytes, unit: int = 64) -> bytes:
@@ -50,12 +50,18 @@ def from_wav(image: bytes) -> bytes:
         return r.readframes(r.getnframes())
 
 
-def spectrum(samples: bytes) -> np.ndarray:
-    """Magnitudes, a row for each frame; sounds are padded with silence to a window and whole hops, so that every sample is in a frame."""
-    x = np.frombuffer(samples, np.uint8).astype(np.float32) - 128
-    x = np.pad(x, (0, WINDOW - len(x) if len(x) < WINDOW else -(len(x) - WINDOW) % HOP))
+def frame_count(length: int) -> int:
+    """Frames of a sound of so many samples, padded with silence to a window and whole hops, so that every sample is in one."""
+    return 1 + max(0, -(-(length - WINDOW) // HOP))
+
+
+def spectrum(samples: bytes, first: int = 0, last: int | None = None) -> np.ndarray:
+    """Magnitudes of the frames from ``first`` to before ``last``, a row for each."""
+    last = frame_count(len(samples)) if last is None else last
+    x = np.frombuffer(samples, np.uint8)[first * HOP : (last - 1) * HOP + WINDOW].astype(np.float32) - 128
+    x = np.pad(x, (0, (last - first - 1) * HOP + WINDOW - len(x)))
     frames = np.lib.stride_tricks.sliding_window_view(x, WINDOW)[::HOP]
-    return np.concatenate([np.abs(np.fft.rfft(frames[i : i + FRAMES] * HANN, axis=1)).astype(np.float32) for i in range(0, len(frames), FRAMES)])
+    return np.abs(np.fft.rfft(frames * HANN, axis=1)).astype(np.float32)
 
 
 def _largest_near(a: np.ndarray, half: int, axis: int) -> np.ndarray:
@@ -68,15 +74,31 @@ def _largest_near(a: np.ndarray, half: int, axis: int) -> np.ndarray:
     return out
 
 
-def peaks(magnitude: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Frames and bins of the cells that are largest of their neighbourhood and above the mean, by time."""
-    top = _largest_near(_largest_near(magnitude, NEAR_BINS, 1), NEAR_FRAMES, 0)
-    return np.nonzero((magnitude == top) & (magnitude > magnitude.mean()))
+def peaks(samples: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Frames and bins of the cells that are largest of their neighbourhood and above the sound's mean, by time.
+
+    FRAMES frames at a time, each time with the neighbours of the first and the last.
+    """
+    n, found, held = frame_count(len(samples)), [], None
+    if n > FRAMES:
+        total = sum(float(spectrum(samples, a, min(n, a + FRAMES)).sum(dtype=np.float64)) for a in range(0, n, FRAMES))
+    else:
+        held = spectrum(samples)
+        total = float(held.sum(dtype=np.float64))
+    mean = total / (n * (WINDOW // 2 + 1))
+    for a in range(0, n, FRAMES):
+        low, high = max(0, a - NEAR_FRAMES), min(n, a + FRAMES + NEAR_FRAMES)
+        magnitude = held if held is not None else spectrum(samples, low, high)
+        top = _largest_near(_largest_near(magnitude, NEAR_BINS, 1), NEAR_FRAMES, 0)
+        t, f = np.nonzero((magnitude == top) & (magnitude > mean))
+        own = (t + low >= a) & (t + low < a + FRAMES)
+        found.append((t[own] + low, f[own]))
+    return tuple(np.concatenate([x[i] for x in found]) for i in range(2))
 
 
 def fingerprint(samples: bytes) -> tuple[np.ndarray, np.ndarray]:
     """(frames, codes): each peak with each of its next FAN peaks within REACH frames, ordered by time."""
-    t, f = peaks(spectrum(samples))
+    t, f = peaks(samples)
     at, codes = [], []
     for k in range(1, FAN + 1):
         if len(t) > k:
@@ -107,7 +129,8 @@ def store_sounds(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id"
 def sound_features(sounds: DataFrame) -> DataFrame:
     """(id, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, frames, codes) of stored sounds.
 
-    All but the first two come from the stored images. Silence has no peaks and gives empty arrays.
+    All but the first two come from the stored images. Silence has no peaks and gives empty arrays;
+    sounds of any length are transformed in portions; repeated rows are rows of their own.
     """
     ints = pa.list_(pa.int32())
     schema = pa.schema([("id", pa.int64()), ("n_bytes", pa.int64()), ("payload_bytes", pa.int64()), ("payload_sha256", pa.string()), ("tail_crc32", pa.int64()), ("media_bytes", pa.int64()), ("media_sha256", pa.string()), ("frames", ints), ("codes", ints)])

@@ -95,7 +95,7 @@ def test_sounds_are_lossless(spark, odd_docs, no_docs):
 def test_fingerprints_find_tones():
     t = np.arange(8192)
     tone = (128 + 60 * np.sin(2 * np.pi * t * 64 / media.WINDOW)).astype(np.uint8).tobytes()
-    _, bins = media.peaks(media.spectrum(tone))
+    _, bins = media.peaks(tone)
     assert set(bins.tolist()) <= {0, 64} and 64 in bins  # 0: cutting to whole samples shifts the mean
     noise = np.random.default_rng(0).integers(0, 256, 16384).astype(np.uint8).tobytes()
     whole, part = media.fingerprint(noise), media.fingerprint(noise[media.HOP * 8 :])
@@ -104,6 +104,14 @@ def test_fingerprints_find_tones():
     assert len(media.fingerprint(b"\x80" * 640)[1]) == 0
 
 
+def test_long_sounds_are_searched_in_portions(monkeypatch):
+    sound = np.random.default_rng(5).integers(0, 256, 40_000).astype(np.uint8).tobytes()
+    whole, spectrum = media.fingerprint(sound), media.spectrum(sound)
+    assert len(spectrum) == media.frame_count(len(sound)) and np.array_equal(media.spectrum(sound, 10, 30), spectrum[10:30])
+    monkeypatch.setattr(media, "FRAMES", 17)
+    assert all(np.array_equal(a, b) for a, b in zip(media.fingerprint(sound), whole))
+
+
 def test_every_sample_is_in_a_frame():
     """Sounds of 704 samples that differ in the last 192 only, and lengths around whole hops."""
     rng = np.random.default_rng(4)
