@@ -40,13 +40,15 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-#: Rows of a few numbers each up to which a side of a join is broadcast.
-BROADCAST_ROWS = 4_000_000
+#: Bytes, as measured, up to which a side of a join is broadcast, and what a row takes beside its values.
+BROADCAST_BYTES, ROW_BYTES = 96 << 20, 32
 
 
 def few(keys: DataFrame) -> DataFrame:
-    """For a join: broadcast where the rows, a few numbers each, are counted to be few enough; else shuffled."""
-    return F.broadcast(keys) if keys.count() <= BROADCAST_ROWS else keys
+    """For a join: broadcast where its rows are measured to take few enough bytes; else shuffled. ``keys`` should be a written table."""
+    long = [F.coalesce(F.sum(F.octet_length(f"`{c}`")), F.lit(0)).alias(f"s{i}") for i, (c, kind) in enumerate(keys.dtypes) if kind in ("string", "binary")]
+    count, *sizes = keys.agg(F.count("*"), *long).first()
+    return F.broadcast(keys) if count * (ROW_BYTES + 8 * len(keys.columns)) + sum(sizes) <= BROADCAST_BYTES else keys
 
 
 def release(spark: SparkSession) -> None:

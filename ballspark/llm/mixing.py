@@ -16,6 +16,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import written
+from .token_counts import with_token_counts
 
 #: Exponents that one pass over the sources tries, and passes: 32 ** 5 steps between 0 and 1.
 TRIED, PASSES = 32, 5
@@ -88,27 +89,35 @@ def weights(totals: DataFrame, exponent: float, budget: float | None = None) ->
 
 def mix(
     docs: DataFrame, target_entropy: float | None = None, max_repetition: float | None = None, budget: float | None = None, seed: int = 17,
-    id_col: str = "doc_id", source_col: str = "source", text_col: str = "text",
+    id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", budget_share: float | None = None, tokenizer: str | None = None,
 ) -> DataFrame:
     """``docs`` with ``mix_tokens``, ``mix_weight``, ``mix_epoch``, ``mix_block`` and ``mix_order``: a row for each time a document is taken.
 
-    Reading by (mix_epoch, mix_block, mix_order) gives the permutation. ``budget`` is in tokens as
-    ``token_estimate`` counts them; without one nothing is dropped: the least repeated source is
-    taken once whole. Null sources are one source, null and empty texts count one token, repeated
-    rows are rows of their own; an empty table stays empty. Columns of those names are replaced.
+    Reading by (mix_epoch, mix_block, mix_order) gives the permutation. Tokens are those of the tokenizer
+    file ``tokenizer``, with one more for a document's end, or without one words. ``budget`` is in
+    tokens, ``budget_share`` in those of all documents; without either nothing is dropped: the least repeated source is
+    taken once whole. Null sources are one source, null and empty texts count one token, very long ones are
+    whole, rows whose hashes tie stand in the order of their texts' hashes and tokens, repeated
+    rows are rows of their own and rows without an id are dealt by their texts; an empty table stays empty. Columns of those names are replaced.
 
     The weights have a row for each source. They are broadcast if these are at most 100,000
     (counted), else joined by source in a join that Spark can split.
     """
     docs = docs.drop("mix_tokens", "mix_weight", "mix_epoch", "mix_block", "mix_order")
-    columns = docs.columns
-    totals = written(source_totals(docs, source_col, token_estimate(text_col)), "sources")
+    columns, tokens = docs.columns, token_estimate(text_col)
+    if tokenizer is not None:
+        docs = written(with_token_counts(docs, tokenizer, "mix_tokens", text_col), "counted")
+        tokens = F.col("mix_tokens") + 1
+    totals = written(source_totals(docs, source_col, tokens), "sources")
+    if budget is None and budget_share is not None:
+        budget = budget_share * (totals.agg(F.sum("tokens")).first()[0] or 0)
     exponent = find_exponent(totals, target_entropy, max_repetition, budget)
     shares = weights(totals, exponent, budget).select(F.col("source").alias("of"), F.col("weight").alias("mix_weight"), "repeats", F.ceil(F.col("docs") / BLOCK_DOCS).alias("blocks"))
     if totals.count() <= 100_000:
         shares = F.broadcast(shares)
     # the documents' own columns travel in a struct, so that none can clash with those made here
-    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("row"), F.col(id_col).alias("id"), F.col(source_col).alias("source"), token_estimate(text_col).alias("mix_tokens"), F.xxhash64(text_col).alias("tie"))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("row"), F.col(id_col).alias("id"), F.col(source_col).alias("source"), tokens.alias("mix_tokens"), F.xxhash64(text_col).alias("tie"))
+    rows = rows.withColumn("id", F.coalesce(F.col("id").cast("string"), F.concat(F.lit("text "), F.col("tie"))))
     rows = rows.join(shares, F.col("source").eqNullSafe(F.col("of")))
     rows = rows.withColumns({"mix_block": F.pmod(F.xxhash64("id", F.lit(seed)), "blocks"), "whole": F.floor("repeats")})
     rows = rows.withColumn("hash", F.xxhash64("id", "whole", F.lit(seed + 1)))

@@ -17,7 +17,7 @@ from .quality import judge
 from .secret_scan import scan_secrets, span_string
 from .token_counts import count_tokens
 from .url_filters import judge_urls
-from .warc import archive_folder, read_captures, write_archives, write_index
+from .warc import archive_folder, look_up, write_archives, write_index
 
 #: The rules of the url query, as (verdict, host, path).
 URL_RULES = [
@@ -48,7 +48,7 @@ def op2_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     sounds = sound_features(store_sounds(spark.read.parquet(f"{sf_dir}/documents.parquet")))
     feature = F.concat_ws(":", F.size("codes"), F.sha2(F.array_join(F.arrays_zip("frames", "codes").cast("array<string>"), ","), 256))
-    return sounds.select(F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", feature.alias("feature"))
+    return sounds.select(F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", feature.alias("feature"), "frames", "codes")
 
 
 #: The tokenizer of the packing, token file and counting queries.
@@ -81,14 +81,14 @@ def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    taken = mix(spark.read.parquet(f"{sf_dir}/documents.parquet"), max_repetition=2.0)
+    taken = mix(spark.read.parquet(f"{sf_dir}/documents.parquet"), max_repetition=2.0, budget_share=1.5, tokenizer=TOKENIZER)
     return taken.select("doc_id", "source", "mix_tokens", "mix_weight", "mix_epoch", "mix_block", "mix_order")
 
 
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = archive_folder(spark)
     lines = write_archives(spark.read.parquet(f"{sf_dir}/pages.parquet"), folder)
-    read = read_captures(write_index(lines, folder), folder)
+    read = look_up(lines.select("key"), write_index(lines, folder), folder)
     return read.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 

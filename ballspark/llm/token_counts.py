@@ -13,9 +13,11 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .bpe import TOGETHER, encoder
-from .common import as_bytes, batch_of, portions, small_batches, text_or_empty
+from .common import as_bytes, portions, small_batches, text_or_empty
 
 
 def whole_tokens(path: str) -> dict[str, int]:
@@ -27,15 +29,22 @@ def whole_tokens(path: str) -> dict[str, int]:
     return {s: f.ids[0] for s, f in zip(strings, found) if s and len(f.ids) == 1 and f.ids[0] not in added}
 
 
+def with_token_counts(docs: DataFrame, path: str, name: str, text_col: str = "text") -> DataFrame:
+    """``docs`` with their token counts as a further column; one of that name is replaced."""
+    docs = docs.drop(name)
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(f"`{text_col}`").alias("text"))
+    return count_tokens(rows, path, "row", "text").select("id.*", F.col("n_tokens").alias(name))
+
+
 def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, n_bytes, n_tokens, n_whole) of each row: UTF-8 bytes, tokens, and tokens by the shortcut.
+    """(id, n_bytes, n_tokens, n_whole) of each row: UTF-8 bytes, tokens, and tokens by the shortcut. The id may be of any type.
 
     A null text is an empty one: no bytes, no tokens. Very long texts are counted in stretches; repeated
     rows are rows of their own, and columns beside the two that are read play no part. What is broadcast is bounded by the vocabulary.
     """
     small_batches(docs.sparkSession)
     proved = docs.sparkSession.sparkContext.broadcast(whole_tokens(path))
-    schema = pa.schema([("id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64()), ("n_whole", pa.int64())])
+    rows = docs.select(docs[id_col].alias("id"), text_or_empty(text_col))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         e, strings = encoder(path), [s.encode() for s in proved.value]
@@ -59,6 +68,8 @@ def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
                 e.table.age()
                 n_tokens += n.tolist()
                 n_whole += whole.tolist()
-            yield batch_of(schema, {"id": batch.column(0), "n_bytes": list(map(len, data)), "n_tokens": n_tokens, "n_whole": n_whole})
+            counts = [pa.array(x, pa.int64()) for x in (list(map(len, data)), n_tokens, n_whole)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), *counts], names=["id", "n_bytes", "n_tokens", "n_whole"])
 
-    return docs.select(docs[id_col].cast("long").alias("id"), text_or_empty(text_col)).mapInArrow(count, "id long, n_bytes long, n_tokens long, n_whole long")
+    fields = [T.StructField(n, T.LongType()) for n in ("n_bytes", "n_tokens", "n_whole")]
+    return rows.mapInArrow(count, T.StructType([T.StructField("id", rows.schema["id"].dataType), *fields]))

@@ -4,7 +4,9 @@ Archives are real WARC/1.1 files, a gzip member for each record, written by task
 ``pyarrow.fs`` into a shared folder. The index has a line for each record, (key, archive, place, ...),
 its key the url with the host's labels reversed. Lines are sorted and cut into compressed blocks; the
 second level, the block directory, has each block's first key. A look-up binary-searches the
-directory, reads one block, binary-searches it and reads the records' byte ranges.
+directory, reads one block, binary-searches it and reads the records' byte ranges. Any number of keys
+are looked up together: keys of one block meet, and read it once. Archives are written in the order of keys, so
+a block's records are neighbours.
 """
 
 from __future__ import annotations
@@ -16,17 +18,21 @@ import zlib
 from collections.abc import Iterator
 from uuid import NAMESPACE_URL, uuid5
 
+import pandas as pd
 import pyarrow as pa
 from pyarrow import fs
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import as_bytes, batch_of, small_batches, text_or_empty, work_dir, written
+from .common import as_bytes, batch_of, few, small_batches, text_or_empty, work_dir, written
 from .url_filters import url_host
 
 #: Lines of an index block; payloads of fewer bytes are never revisits.
 BLOCK_LINES, REVISIT_BYTES = 1000, 1000
+#: Blocks of a directory that every task searches; a longer one is searched by way of sections of SECTION blocks.
+SEARCHED, SECTION = 50_000, 1000
 #: Fixed value: the date of records, as these tables have none.
 DATE = "2024-01-01T00:00:00Z"
 #: Fixed value: the published name of the profile of revisits with equal payloads.
@@ -77,12 +83,13 @@ def responses(pages: DataFrame) -> DataFrame:
     """``pages`` with ``digest`` and ``refers_to``, the page whose response a row revisits (null: it is one).
 
     Of rows with equal payloads of at least REVISIT_BYTES bytes that with the largest page_id responds. Payloads that
-    occur once take no part in the join; it can be split where one payload has very many rows. Rows
+    occur once take no part in the join; the others' digests are broadcast where they take few bytes, else it can be split where one payload has very many rows. Rows
     without page_id never respond for others; of repeated rows of the largest page_id all respond.
     """
     payload = F.encode(text_or_empty("html"), "UTF-8")
     rows = pages.select("page_id", "url", text_or_empty("html").alias("html")).withColumns({"digest": F.sha1(payload), "bytes": F.octet_length(payload).cast("long")})
     shared = rows.where(F.col("bytes") >= REVISIT_BYTES).groupBy("digest").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").select("digest", "first")
+    shared = few(written(shared, "shared"))
     refers = F.when((F.col("bytes") >= REVISIT_BYTES) & (F.col("first") != F.coalesce("page_id", F.col("first") - 1)), F.col("first"))
     return rows.join(shared, "digest", "left").withColumn("refers_to", refers).drop("first")
 
@@ -90,7 +97,7 @@ def responses(pages: DataFrame) -> DataFrame:
 def write_archives(pages: DataFrame, folder: str) -> DataFrame:
     """Writes a record for each of ``pages`` (page_id, url, html) below ``folder``; returns the index lines.
 
-    Lines are LINE, a written table. An archive's name has its task's attempt, and archives that no
+    Records stand in the order of their keys. Lines are LINE, a written table. An archive's name has its task's attempt, and archives that no
     line names don't count, so tasks can be lost and repeated. Null html is an empty payload, a null url
     leaves the record without a target; an empty table writes nothing.
     """
@@ -117,6 +124,8 @@ def write_archives(pages: DataFrame, folder: str) -> DataFrame:
             out.close()
 
     rows = responses(pages).select(capture_key(F.col("url")).alias("key"), F.col("page_id").cast("long"), "url", "html", "digest", F.col("refers_to").cast("long"))
+    tie = F.xxhash64("page_id", "digest")  # so that a key with very many pages is not bound to one task
+    rows = rows.withColumn("tie", tie).repartitionByRange("key", "tie").sortWithinPartitions("key", "tie").drop("tie")
     return written(rows.mapInArrow(write, LINE), "captures")
 
 
@@ -172,46 +181,104 @@ def block_lines(store: fs.FileSystem, file: str, at: int, length: int) -> list[l
 
 
 class CaptureIndex:
-    """Look-ups by key. The directory is one row for BLOCK_LINES captures, and is held sorted."""
+    """Look-ups by key, one at a time. A directory of up to SEARCHED blocks is held sorted; of a longer one only what a key needs is read."""
 
     def __init__(self, directory: DataFrame, folder: str):
         self.store, _ = fs.FileSystem.from_uri(folder)
-        self.blocks = sorted(directory.collect(), key=lambda b: (b.first_key, b.last_key))
+        self.directory = directory if directory.count() > SEARCHED else None
+        self.blocks = [] if self.directory is not None else sorted(directory.collect(), key=lambda b: (b.first_key, b.last_key))
         self.first = [b.first_key for b in self.blocks]
 
-    def lines(self, key: str) -> Iterator[list]:
-        """The index lines of a key, from the blocks that can have it."""
+    def _blocks(self, key: str) -> Iterator:
+        if self.directory is not None:
+            yield from self.directory.where((F.col("first_key") <= key) & (F.col("last_key") >= key)).toLocalIterator()
+            return
         at = bisect.bisect_right(self.first, key) - 1
         while at >= 0 and self.blocks[at].last_key >= key:
-            b = self.blocks[at]
-            lines = block_lines(self.store, b.file, b.at, b.length)
-            begin = bisect.bisect_left(lines, key, key=lambda x: x[0])
-            while begin < len(lines) and lines[begin][0] == key:
-                yield lines[begin]
-                begin += 1
+            yield self.blocks[at]
             at -= 1
 
+    def lines(self, key: str) -> Iterator[list]:
+        """The index lines of a key, from the blocks that can have it."""
+        for b in self._blocks(key):
+            yield from lines_of(block_lines(self.store, b.file, b.at, b.length), key)
+
     def records(self, key: str) -> Iterator[tuple[dict[str, str], bytes]]:
         for _, _, archive, at, length in self.lines(key):
             yield parse(zlib.decompress(_range(self.store, archive, at, length), 31))
 
 
-def read_captures(directory: DataFrame, folder: str) -> DataFrame:
-    """(page_id, url, payload_bytes, payload_digest, record_type, refers_to) of every capture of the index.
+def lines_of(lines: list[list], key: str) -> Iterator[list]:
+    """The lines of a key in a block, by binary search."""
+    begin = bisect.bisect_left(lines, key, key=lambda x: x[0])
+    while begin < len(lines) and lines[begin][0] == key:
+        yield lines[begin]
+        begin += 1
+
+
+def _searched(keys: DataFrame, directory: DataFrame) -> DataFrame:
+    """``keys`` with the rows of a directory of at most SEARCHED rows whose first and last keys have each between them, by binary search."""
+    rows = sorted(directory.collect(), key=lambda b: (b.first_key, b.last_key))
+    held = directory.sparkSession.sparkContext.broadcast(([b.first_key for b in rows], [b.last_key for b in rows]))
+
+    @F.pandas_udf("array<int>")
+    def places(key: pd.Series) -> pd.Series:
+        first, last = held.value
 
-    Each block is read by its range, and the records it points at by theirs, in the order of the
-    archives. A response's length and digest are those of the payload read; a revisit, which has no
-    payload, gives what its fields say.
+        def of(k: str) -> list[int]:
+            at = end = bisect.bisect_right(first, k)
+            while at > 0 and last[at - 1] >= k:
+                at -= 1
+            return list(range(at, end))
+
+        return key.map(of)
+
+    numbered = directory.sparkSession.createDataFrame([(i, *r) for i, r in enumerate(rows)], T.StructType([T.StructField("place", T.IntegerType()), *directory.schema.fields]))
+    return keys.withColumn("place", F.explode(places("key"))).join(F.broadcast(numbered), "place").drop("place")
+
+
+def blocks_of(keys: DataFrame, directory: DataFrame) -> DataFrame:
+    """(key, file, at, length): the blocks that can have each of ``keys`` (key)."""
+    if directory.count() <= SEARCHED:
+        return _searched(keys, directory).select("key", "file", "at", "length")
+
+    def sections(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(0, batch.num_rows, SECTION):
+                some = batch.slice(i, SECTION)
+                first, last = some.column("first_key").to_pylist(), some.column("last_key").to_pylist()
+                yield pa.RecordBatch.from_pylist([{"first_key": first[0], "last_key": max(last), "section": first[0] + "\0" + last[-1] + str(some.column("at")[0]), "blocks": some.to_pylist()}], schema)
+
+    block = [("first_key", pa.string()), ("last_key", pa.string()), ("file", pa.string()), ("at", pa.int64()), ("length", pa.int64())]
+    schema = pa.schema([("first_key", pa.string()), ("last_key", pa.string()), ("section", pa.string()), ("blocks", pa.list_(pa.struct(block)))])
+    ordered = directory.select(*[n for n, _ in block]).repartitionByRange("first_key", "last_key").sortWithinPartitions("first_key", "last_key")
+    kind = "first_key string, last_key string, section string, blocks array<struct<first_key:string,last_key:string,file:string,at:long,length:long>>"
+    table = written(ordered.mapInArrow(sections, kind), "sections")
+    near = _searched(keys, table.drop("blocks")).select("key", "section").join(table.select("section", "blocks"), "section")
+    here = F.filter("blocks", lambda b: (b["first_key"] <= F.col("key")) & (b["last_key"] >= F.col("key")))
+    return near.select("key", F.explode(here).alias("b")).select("key", "b.file", "b.at", "b.length")
+
+
+def look_up(keys: DataFrame, directory: DataFrame, folder: str) -> DataFrame:
+    """(key, page_id, url, payload_bytes, payload_digest, record_type, refers_to) of every capture of the keys (key), each key once.
+
+    The keys of a block come to one task in order; it reads the block once by its range, finds each
+    key's lines by binary search and reads the records that they point at by theirs. A response's
+    length and digest are those of the payload read; a revisit, which has no payload, gives what its
+    fields say. Null keys and keys without captures have no rows.
     """
-    schema = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64())])
+    kinds = [("key", pa.string()), ("page_id", pa.int64()), ("url", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64())]
+    schema = pa.schema(kinds)
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         store, _ = fs.FileSystem.from_uri(folder)
+        block, lines, name, archive = None, [], None, None
         for batch in batches:
-            for file, at, length in zip(*(batch.column(n).to_pylist() for n in ("file", "at", "length"))):
-                rows: list[tuple] = []
-                name, archive = None, None
-                for _, _, where, begin, n in sorted(block_lines(store, file, at, length), key=lambda x: (x[2], x[3])):
+            rows: list[tuple] = []
+            for key, *this in zip(*(batch.column(n).to_pylist() for n in ("key", "file", "at", "length"))):
+                if this != block:
+                    block, lines = this, block_lines(store, *this)
+                for _, _, where, begin, n in lines_of(lines, key):
                     if where != name:
                         if archive:
                             archive.close()
@@ -221,6 +288,7 @@ def read_captures(directory: DataFrame, folder: str) -> DataFrame:
                     revisit = fields["WARC-Type"] == "revisit"
                     rows.append(
                         (
+                            key,
                             json.loads(fields["X-Page"]),
                             fields.get("WARC-Target-URI"),
                             int(fields["X-Payload-Bytes"]) if revisit else len(payload),
@@ -229,12 +297,16 @@ def read_captures(directory: DataFrame, folder: str) -> DataFrame:
                             int(fields["X-Refers-To-Page"]) if revisit else None,
                         )
                     )
-                if archive:
-                    archive.close()
-                yield batch_of(schema, {f.name: [r[i] for r in rows] for i, f in enumerate(schema)})
-
-    spread = directory.repartition(max(1, min(100_000, directory.count())))
-    return spread.mapInArrow(read, "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long")
+                    if len(rows) >= BLOCK_LINES:
+                        yield batch_of(schema, {f.name: [r[i] for r in rows] for i, f in enumerate(schema)})
+                        rows = []
+            yield batch_of(schema, {f.name: [r[i] for r in rows] for i, f in enumerate(schema)})
+        if archive:
+            archive.close()
+
+    asked = blocks_of(keys.where("key is not null").distinct(), directory)
+    spread = asked.repartition("file", "at").sortWithinPartitions("file", "at", "key")
+    return spread.mapInArrow(read, "key string, page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
 def archive_folder(spark: SparkSession) -> str:

@@ -6,14 +6,19 @@ import re
 from collections import Counter, defaultdict
 
 import numpy as np
+import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
 from ballspark.llm import jaccard, mixing, quality, warc
 from ballspark.llm.url_filters import judge_urls
 
 from .conftest import BASE, DOCS, doc
 
+PATH = public_tokenizers.path("byte_bpe_50k.json")
+LIBRARY = Tokenizer.from_file(PATH)
+
 # --- URLs
 
 RULES = [("block", "com", "/en/"), ("allow", "example.com", "/en/7"), ("block", "net", "/de/"), ("block", "example.net", "/de/8"), ("block", "org", ""), ("allow", "A.org", None), ("block", "x.org", "/p"), ("allow", "x.org", "/p"), ("block", None, "/x"), ("block", "", "/")]
@@ -332,6 +337,11 @@ def test_mixture_keeps_to_its_weights(spark):
     assert taken.groupby("doc_id").size().max() <= 4
     less = mixing.mix(docs, max_repetition=3.0, budget=1500.0).toPandas()
     assert abs(less.mix_tokens.sum() - 1500) < 60
+    shared = mixing.mix(docs, max_repetition=2.0, budget_share=1.5, tokenizer=PATH).toPandas()
+    length = {r.doc_id: len(LIBRARY.encode(r.text, add_special_tokens=False).ids) + 1 for r in docs.collect()}
+    whole = sum(length.values())
+    assert (shared.mix_tokens == shared.doc_id.map(length)).all() and abs(shared.mix_tokens.sum() / whole - 1.5) < 0.03
+    assert shared.groupby("doc_id").size().max() <= 2
     again = mixing.mix(docs.repartition(7), max_repetition=3.0).toPandas()
     key = ["doc_id", "mix_epoch", "mix_block", "mix_order"]
     assert taken[key].sort_values(key).values.tolist() == again[key].sort_values(key).values.tolist()
@@ -353,8 +363,9 @@ def test_archives(spark):
     rows = [(1, "http://www.b.org/x?q#f", long), (5, "http://a.com/", long), (3, None, long), (4, "http://a.com/", "short"), (6, "http://a.com/", "short"), (7, "no scheme", None), (8, "http://é.de/\r\n", "é" * 500), (9, "http://a.com/", ""), (5, "http://a.com/", long), (None, "http://n.org/", long)]
     pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumns({"digest": F.lit("own"), "key": F.lit("own"), "at": F.lit(3)})
     folder = warc.archive_folder(spark)
-    directory = warc.write_index(warc.write_archives(pages, folder), folder)
-    got = Counter((r.page_id, r.payload_bytes, r.payload_digest, r.record_type, r.refers_to) for r in warc.read_captures(directory, folder).collect())
+    lines = warc.write_archives(pages, folder)
+    directory = warc.write_index(lines, folder)
+    got = Counter((r.page_id, r.payload_bytes, r.payload_digest, r.record_type, r.refers_to) for r in warc.look_up(lines.select("key"), directory, folder).collect())
     want = Counter()
     for i, _, html in rows:
         data = (html or "").encode()
@@ -367,7 +378,8 @@ def test_archives(spark):
     assert fields["WARC-Type"] == "revisit" and fields["X-Refers-To-Page"] == "5" and payload == b""
     assert [p for _, p in index.records("de,é)/\r\n")] == [("é" * 500).encode()] and not list(index.records("zz"))
     folder = warc.archive_folder(spark)
-    assert warc.read_captures(warc.write_index(warc.write_archives(pages.where("false"), folder), folder), folder).count() == 0
+    none = warc.write_archives(pages.where("false"), folder)
+    assert warc.look_up(lines.select("key"), warc.write_index(none, folder), folder).count() == 0
 
 
 def test_index_of_many_blocks(spark, monkeypatch):
@@ -375,9 +387,14 @@ def test_index_of_many_blocks(spark, monkeypatch):
     folder = warc.archive_folder(spark)
     directory = warc.write_index(warc.write_archives(spark.createDataFrame(rows, "page_id long, url string, html string"), folder), folder)
     assert directory.agg(F.sum("n")).first()[0] == 3000 and directory.count() >= 3
-    index = warc.CaptureIndex(directory, folder)
-    for i in (0, 1234, 2999):
-        assert [f["X-Page"] for f, _ in index.records(f"org,h{i % 40})/{i // 40}")] == [str(i)]
+    asked = spark.createDataFrame([(f"org,h{i % 40})/{i // 40}",) for i in range(0, 3400, 7)] + [(None,), ("aaa",), ("zzz",)], "key string")
+    for most in (warc.SEARCHED, 2):  # the second time by way of sections
+        monkeypatch.setattr(warc, "SEARCHED", most)
+        index = warc.CaptureIndex(directory, folder)
+        for i in (0, 1234, 2999):
+            assert [f["X-Page"] for f, _ in index.records(f"org,h{i % 40})/{i // 40}")] == [str(i)]
+        found = warc.look_up(asked.unionAll(asked), directory, folder).collect()
+        assert sorted(r.page_id for r in found) == list(range(0, 3000, 7)) and all(r.key == f"org,h{r.page_id % 40})/{r.page_id // 40}" for r in found)
 
 
 # --- pipeline
