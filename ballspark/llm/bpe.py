@@ -10,7 +10,6 @@ hashes of their bytes; the library's model merges those that aren't known, many
 
 from __future__ import annotations
 
-import functools
 import json
 import os
 import re
@@ -21,10 +20,10 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .common import batch_of, portions, text_or_empty
+from .common import batch_of, held, portions, text_or_empty
 
 #: Pre-tokens kept in a process; the share of them that stays when there are as many; characters that are split at once.
-CACHE, KEPT, TOGETHER = 1_500_000, 0.25, 1_000_000
+CACHE, KEPT, TOGETHER = 1_200_000, 0.25, 600_000
 
 SPLIT = re.compile(r"'(?:[stmd]|re|ve|ll)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]+|_+)+|\s+(?!\S)|\s+")
 #: Classes of bytes; END stands between texts.
@@ -107,7 +106,7 @@ class Table:
     def clear(self) -> None:
         self.n = 0
         self.hash, self.check = np.zeros(1024, np.uint64), np.zeros(1024, np.uint64)
-        self.begin, self.size, self.uses = np.zeros(1024, np.int64), np.zeros(1024, np.int64), np.zeros(1024, np.int64)
+        self.begin, self.size, self.uses = (np.zeros(1024, np.int32) for _ in range(3))
         self.pool, self.pooled = np.zeros(4096, self.dtype), 0
         self._slots(1 << 12)
 
@@ -163,7 +162,7 @@ class Table:
     def ids(self, entries: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The entries' ids in a row, and where each one's end."""
         sizes = self.size[entries]
-        ends = np.cumsum(sizes)
+        ends = np.cumsum(sizes, dtype=np.int64)
         return self.pool[np.repeat(self.begin[entries] - ends + sizes, sizes) + np.arange(ends[-1] if len(ends) else 0)], ends
 
     def age(self) -> None:
@@ -173,7 +172,8 @@ class Table:
         stay = np.sort(np.argpartition(-self.uses[: self.n], int(KEPT * self.most))[: int(KEPT * self.most)])
         (ids, _), kept = self.ids(stay), [a[stay] for a in (self.hash, self.check, self.size, self.uses)]
         self.clear()
-        self.uses[self.add(kept[0], kept[1], ids, kept[2])] = kept[3] // 2
+        again = self.add(kept[0], kept[1], ids, kept[2])  # makes the arrays anew
+        self.uses[again] = kept[3] // 2
 
 
 class Encoder:
@@ -228,7 +228,7 @@ class Encoder:
             one = order[first]
             entry = self.table.add(h[one], check[one], *self.merge(data, begin[one], end[one]))
             out[order] = entry[np.cumsum(first) - 1]
-        self.table.uses[: self.table.n] += np.bincount(out, minlength=self.table.n)
+        np.add.at(self.table.uses, out, 1)
         return out
 
     def know(self, strings: list[bytes], ids: np.ndarray) -> None:
@@ -330,9 +330,8 @@ def stretches_of(text: str, most: int) -> Iterator[str]:
 AT_BLANK = re.compile(r" (?=\S)")
 
 
-@functools.lru_cache(2)
 def encoder(path: str) -> Encoder:
-    return Encoder(path)
+    return held(("encoder", path), lambda: Encoder(path))
 
 
 def token_ids(docs: DataFrame, path: str, end_id: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

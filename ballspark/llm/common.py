@@ -5,7 +5,7 @@ from __future__ import annotations
 import gc
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -61,6 +61,17 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+_held: dict = {}
+
+
+def held(key: tuple, make: Callable):
+    """What ``make`` gives, kept in this process for later tasks until another is asked for: workers outlive operators, whose tables would add up."""
+    if key not in _held:
+        _held.clear()
+        _held[key] = make()
+    return _held[key]
+
+
 def small_batches(spark: SparkSession, rows: int = 1000) -> None:
     """Fewer rows in an Arrow batch than by default: texts are long, and a worker holds a batch and what it makes of it."""
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > rows:
@@ -91,3 +102,16 @@ def portions(texts: list, most: int, count: int = 1 << 30) -> Iterator[list]:
             run, n = [], 0
     if run:
         yield run
+
+
+def gathered(batches: Iterator[pa.RecordBatch], column: str, most: int) -> Iterator[pa.RecordBatch]:
+    """The rows of the batches in fewer ones, each of which ends once ``column`` has ``most`` bytes."""
+    run, n = [], 0
+    for batch in batches:
+        run.append(batch)
+        n += batch.column(column).nbytes
+        if n >= most:
+            yield pa.concat_batches(run)
+            run, n = [], 0
+    if run:
+        yield pa.concat_batches(run)

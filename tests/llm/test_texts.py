@@ -134,10 +134,16 @@ def test_encoder_equals_the_library():
 
 
 def test_encoder_forgets_and_cuts_long_texts(monkeypatch):
+    monkeypatch.setattr(bpe, "CACHE", 6000)  # of which more stay than a new table has room for
+    e = bpe.Encoder(PATH)
+    rng = random.Random(3)
+    for _ in range(6):
+        text = " ".join("".join(rng.choice("abcdefgh") for _ in range(6)) for _ in range(2500))
+        assert e.encode([text])[0] == np.array(LIBRARY.encode(text, add_special_tokens=False).ids, e.dtype).tobytes()
+    assert e.table.n <= 8500
     monkeypatch.setattr(bpe, "CACHE", 300)
     monkeypatch.setattr(bpe, "TOGETHER", 500)
     e = bpe.Encoder(PATH)
-    rng = random.Random(3)
     texts = [" ".join("".join(rng.choice("abcé'1 \n") for _ in range(rng.randrange(1, 9))) for _ in range(n)) for n in (3, 2000, 0, 900, 1, 40)] + ["a" * 3000, "  \n " * 700]
     for text, got in zip(texts, e.encode(texts)):
         assert got == np.array(LIBRARY.encode(text, add_special_tokens=False).ids, e.dtype).tobytes()
