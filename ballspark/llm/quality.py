@@ -28,13 +28,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, batch_of, few, portions, small_batches, text_or_empty, work_dir, written
+from .common import as_bytes, batch_of, few, gathered, held, portions, small_batches, text_or_empty, work_dir, written
 
 ORDER = 5
 #: Bytes that are coded at once, n-grams that a task counts before it sends them, entries of a model's block.
-PORTION, COUNTED, BLOCK = 1_000_000, 4_000_000, 1 << 16
-#: Entries of models and scored n-grams that a process holds, and n-grams that are looked up in a model at once.
-ENTRIES, SCORED, ASKED = 6_000_000, 6_000_000, 250_000
+PORTION, COUNTED, BLOCK = 1_000_000, 3_000_000, 1 << 16
+#: Entries of models and scored n-grams that a process holds, n-grams that are looked up in a model at once, and bytes of text that are scored together.
+ENTRIES, SCORED, ASKED, TOGETHER = 6_000_000, 3_000_000, 60_000, 6_000_000
 #: Words for each symbol that a text must have to teach a model.
 WORDS_PER_SYMBOL = 10
 #: How far bands reach below the first and above the third quartile, in interquartile ranges, and how much further for short texts.
@@ -301,8 +301,8 @@ def score(docs: DataFrame, keep: list[str], lang_col: str = "lang", text_col: st
     fields = [("lang", pa.string()), ("k1", pa.int64()), ("k2", pa.int64()), *((m, pa.int64()) for m in MEASURES), ("log_perplexity", pa.float64())]
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        models = Models(folder)
-        for batch in batches:
+        models = held(("models", folder), lambda: Models(folder))
+        for batch in gathered(batches, "text", TOGETHER):
             langs, texts = batch.column("lang").to_pylist(), batch.column("text").to_pylist()
             loss, length = np.zeros(len(texts)), np.ones(len(texts))
             groups: dict[tuple[str, int], tuple[list[bytes], list[int]]] = {}

@@ -31,7 +31,7 @@ def answers(spark, name, sf_dir=SF):
 
 
 def by_doc(rows, docs):
-    assert Counter(r.doc_id for r in rows) == Counter(docs)
+    assert sorted(r.doc_id for r in rows) == sorted(docs)
     return {r.doc_id: r for r in rows}
 
 
