@@ -17,6 +17,10 @@ from ballspark.functions.geometry import dot, sq_dist
 
 from .kernel import canonical
 
+#: Nodes whose rows are broadcast to the points together; bins of a median's histogram, and values of a node that are gathered once there are no more.
+AT_ONCE, BINS, GATHERED = 100_000, 1024, 4096
+#: Levels that a 64-bit code has room for.
+DEEPEST = 60
 #: Above this dimension moments are summed as arrays in Python instead of by written-out columns.
 WRITTEN_OUT = 16
 
@@ -198,11 +202,45 @@ def kd_cuts(points: DataFrame, dim: int, cfg: BuildConfig, depth: int = 0) -> Da
     if cfg.kd_cut == "midpoint":
         cuts = boxes.withColumn("cut", (F.element_at("low", at) + F.element_at("high", at)) / 2)
     else:
-        medians = points.join(F.broadcast(boxes.select("code", "dim")), "code").groupBy("code").agg(F.percentile(F.element_at("x", at), F.lit(0.5)).alias("cut"))
-        cuts = boxes.join(medians, "code")
+        values = points.join(F.broadcast(boxes.select("code", "dim")), "code").select("code", F.element_at("x", at).alias("v"))
+        ranges = boxes.select("code", "n", F.element_at("low", at).alias("low"), F.element_at("high", at).alias("high"))
+        cuts = boxes.join(medians(values, ranges), "code")
     return cuts.select("code", "n", "dim", "cut", (F.col("cut") <= F.element_at("low", at)).alias("above"))
 
 
+def medians(values: DataFrame, ranges: DataFrame) -> DataFrame:
+    """(code, cut): the exact median of each node's values (code, v), whose count and range are given (code, n, low, high).
+
+    Each pass counts a node's values in BINS bins of its range, and goes on in the bin that has the middle
+    one. Counts combine before the shuffle, so that no task holds a node's values, until they are few.
+    """
+    from .index import saved
+
+    state = ranges.select("code", "n", "low", "high", F.lit(0).cast("long").alias("before"), F.col("n").alias("c"), F.lit(None).cast("double").alias("after"))
+    while True:
+        state = saved(state)
+        if state.where((F.col("c") > GATHERED) & (F.col("low") < F.col("high"))).isEmpty():
+            break
+        place = F.when(F.col("low") < F.col("high"), F.least(F.lit(BINS - 1), F.floor((F.col("v") - F.col("low")) / (F.col("high") - F.col("low")) * BINS))).otherwise(0)
+        here = values.join(F.broadcast(state.select("code", "low", "high")), "code").where(F.col("v").between(F.col("low"), F.col("high")))
+        bins = here.select("code", place.alias("bin"), "v").groupBy("code", "bin").agg(F.count("*").alias("k"), F.min("v").alias("lo"), F.max("v").alias("hi"))
+        along = Window.partitionBy("code").orderBy("bin")
+        bins = bins.withColumns({"upto": F.sum("k").over(along.rowsBetween(Window.unboundedPreceding, 0)), "next": F.lead("lo").over(along)})
+        found = bins.join(F.broadcast(state), "code").withColumn("upto", F.col("before") + F.col("upto"))
+        middle = F.floor((F.col("n") - 1) / 2)
+        found = found.where((F.col("upto") - F.col("k") <= middle) & (middle < F.col("upto")))
+        state = found.select("code", "n", F.col("lo").alias("low"), F.col("hi").alias("high"), (F.col("upto") - F.col("k")).alias("before"), F.col("k").alias("c"), F.coalesce("next", "after").alias("after"))
+    few = values.join(F.broadcast(state.where("low < high").select("code", "low", "high")), "code").where(F.col("v").between(F.col("low"), F.col("high")))
+    lists = few.groupBy("code").agg(F.sort_array(F.collect_list("v")).alias("vs"))
+
+    def ranked(rank: Column) -> Column:
+        inside = F.when(F.col("low") < F.col("high"), F.get("vs", (rank - F.col("before")).cast("int"))).otherwise(F.col("low"))
+        return F.when(rank < F.col("before") + F.col("c"), inside).otherwise(F.col("after"))
+
+    rows = state.join(lists, "code", "left")
+    return rows.select("code", ((ranked(F.floor((F.col("n") - 1) / 2)) + ranked(F.floor(F.col("n") / 2))) / 2).alias("cut"))
+
+
 def levels(points: DataFrame, dim: int, cfg: BuildConfig, depth: int) -> DataFrame:
     """(code, pid, x) after ``depth`` levels of splits of all points; each level is written."""
     from .index import saved
@@ -214,20 +252,31 @@ def levels(points: DataFrame, dim: int, cfg: BuildConfig, depth: int) -> DataFra
 
 
 def assign_levels(points: DataFrame, dim: int, cfg: BuildConfig, max_rows: int) -> DataFrame:
-    """(part_id, pid, x): splits of all points until no node has more than ``max_rows``, or none can be split."""
+    """(part_id, pid, x): splits of all points until no node has more than ``max_rows``, or none can be split.
+
+    Of a level with very many nodes AT_ONCE are split at a time, so that what is broadcast is bounded. Nodes that are
+    still too large after DEEPEST levels stay, and the caller cuts them by pid. Part ids number the nodes.
+    """
     from .index import saved
 
     rows, was = saved(points.select(F.lit(1).cast("long").alias("code"), "pid", "x")), -1
-    for depth in range(30):  # part ids are codes, and fit an int
-        large = rows.groupBy("code").count().where(F.col("count") > max_rows)
-        codes = [r.code for r in large.collect()]  # nodes, not points
-        nodes = rows.select("code").distinct().count()
-        if not codes or nodes == was:
+    for depth in range(DEEPEST):
+        sizes = saved(rows.groupBy("code").count())
+        large = sizes.where(F.col("count") > max_rows)
+        nodes, open_nodes = sizes.count(), large.count()
+        if not open_nodes or nodes == was:
             break
-        was = nodes
-        todo = F.col("code").isin(codes)
-        rows = saved(rows.where(~todo).unionByName(split_level(rows.where(todo), dim, cfg, depth)))
-    return rows.select(F.col("code").cast("int").alias("part_id"), "pid", "x")
+        was, turns = nodes, -(-open_nodes // AT_ONCE)
+        turn = large.select("code", F.pmod(F.xxhash64("code"), F.lit(turns)).alias("turn"))
+        marked = rows.join(F.broadcast(turn) if turns == 1 else turn, "code", "left")
+        marked = saved(marked) if turns > 1 else marked
+        out = marked.where("turn is null").drop("turn")
+        for i in range(turns):
+            out = out.unionByName(split_level(marked.where(F.col("turn") == i).drop("turn"), dim, cfg, depth))
+        rows = saved(out)
+    numbers = saved(rows.select("code").distinct()).withColumn("part_id", (F.row_number().over(Window.orderBy("code")) - 1).cast("int"))  # a row for each node
+    few = numbers.count() <= AT_ONCE
+    return rows.join(F.broadcast(numbers) if few else numbers, "code").select("part_id", "pid", "x")
 
 
 def root_ball(points: DataFrame, dim: int) -> DataFrame:

@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from ballspark.config import BuildConfig
-from ballspark.operators import routing, search
+from ballspark.operators import levels, routing, search
 from ballspark.operators.index import SpatialIndex, build_tree, saved
 from ballspark.operators.joins import grid_range_join, interval_join
 from ballspark.operators.stats import compare_exact, depth_histogram, invariants
@@ -183,3 +183,24 @@ def test_routers_are_right():
         order = np.argsort(far + regions["radius"].to_numpy(), axis=1)
         least = [np.take(far[i] + regions["radius"].to_numpy(), order[i])[np.searchsorted(np.cumsum(regions["n"].to_numpy()[order[i]]), k[i])] for i in range(50)]
         assert (r.bound(q, k) >= np.array(least) - 1e-9).all() and np.isfinite(r.bound(q, k)).all()
+
+
+def test_medians_are_exact(spark, monkeypatch):
+    """By histograms: spread, tied, single and two values, in passes of a few bins."""
+    rng = np.random.default_rng(6)
+    sets = [rng.random(501), rng.integers(0, 3, 400).astype(float), np.array([2.5]), np.array([1.0, 4.0]), np.full(300, 7.0), np.concatenate([np.zeros(50), np.ones(50)]), rng.lognormal(0, 9, 800)]
+    values = spark.createDataFrame([(i, float(v)) for i, s in enumerate(sets) for v in s], "code long, v double")
+    ranges = values.groupBy("code").agg(F.count("*").alias("n"), F.min("v").alias("low"), F.max("v").alias("high"))
+    for bins, gathered in ((1024, 4096), (8, 5)):
+        monkeypatch.setattr(levels, "BINS", bins)
+        monkeypatch.setattr(levels, "GATHERED", gathered)
+        got = {r.code: r.cut for r in levels.medians(values, ranges).collect()}
+        assert all(got[i] == (np.sort(s)[(len(s) - 1) // 2] + np.sort(s)[len(s) // 2]) / 2 for i, s in enumerate(sets))
+
+
+def test_levels_in_turns(spark, monkeypatch):
+    p = Points(saved(generate(spark, "lithuanian", 2000)), 2)
+    want = levels.assign_levels(p.df, 2, BuildConfig(), 300).groupBy("part_id").count()
+    monkeypatch.setattr(levels, "AT_ONCE", 2)
+    got = levels.assign_levels(p.df, 2, BuildConfig(), 300).groupBy("part_id").count()
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())) and got.agg(F.max("count")).first()[0] <= 300
