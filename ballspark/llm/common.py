@@ -72,6 +72,11 @@ def held(key: tuple, make: Callable):
     return _held[key]
 
 
+def let_go() -> None:
+    """Frees what ``held`` keeps: tasks of operators that keep nothing begin with it."""
+    _held.clear()
+
+
 def small_batches(spark: SparkSession, rows: int = 1000) -> None:
     """Fewer rows in an Arrow batch than by default: texts are long, and a worker holds a batch and what it makes of it."""
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > rows:

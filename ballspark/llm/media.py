@@ -19,7 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import as_bytes, batch_of, small_batches, text_or_empty
+from .common import as_bytes, batch_of, let_go, small_batches, text_or_empty
 
 RATE, WINDOW, HOP = 8000, 512, 256
 #: Half the neighbourhood of a peak, in frames and bins; how many later peaks it is paired with, and how far.
@@ -119,6 +119,7 @@ def store_sounds(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id"
     schema = pa.schema([("id", pa.int64()), ("n_bytes", pa.int64()), ("media", pa.binary())])
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         for batch in batches:
             data = as_bytes(batch.column(1))
             yield batch_of(schema, {"id": batch.column(0), "n_bytes": list(map(len, data)), "media": [to_wav(padded(x)) for x in data]})

@@ -28,7 +28,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, batch_of, few, gathered, held, portions, small_batches, text_or_empty, work_dir, written
+from .common import as_bytes, batch_of, few, gathered, held, let_go, portions, small_batches, text_or_empty, work_dir, written
 
 ORDER = 5
 #: Bytes that are coded at once, n-grams that a task counts before it sends them, entries of a model's block.
@@ -97,6 +97,7 @@ def count_grams(docs: DataFrame, lang_col: str = "lang", text_col: str = "text")
     schema = pa.schema([("lang", pa.string()), ("half", pa.int32()), ("code", pa.int64()), ("n", pa.float64())])
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         held: dict[tuple[str, int, int], list[np.ndarray]] = {}
         size = 0
 

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, batch_of, small_batches, text_or_empty, work_dir
+from .common import as_bytes, batch_of, let_go, small_batches, text_or_empty, work_dir
 
 SPAN = "array<struct<kind:string,begin:int,end:int>>"
 LEDGER = f"blob binary, rules string, spans {SPAN}"
@@ -69,6 +69,7 @@ def _once_a_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("blob", pa.binary()), ("rules", pa.string()), ("spans", pa.list_(pa.struct([("kind", pa.string()), ("begin", pa.int32()), ("end", pa.int32())])))])
+    let_go()
     seen: set[bytes] = set()
     for batch in batches:
         blobs, spans = [], []
