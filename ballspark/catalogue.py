@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -12,12 +13,12 @@ from ballspark.functions.geometry import bounding_box_predicate, project, regist
 from ballspark.functions.udtf import register_knn_of
 from ballspark.operators import joins, levels, search, stats
 from ballspark.operators.index import SpatialIndex, build_tree, shared_dir
-from ballspark.operators.pca import fit_pca, pca_filter_knn, pca_transform
+from ballspark.operators.pca import balanced_depth, fit_pca, pca_filter_knn, pca_transform
 from ballspark.plans import oracle, workloads
 from ballspark.sources import queries as query_sets
-from ballspark.sources.points import Points, load
+from ballspark.sources.points import Points, load, read_points, write_results
 from ballspark.sources.views import VIEWS, points
-from ballspark.streaming.search import deduplicated, event_stream, marked_late, nearby_events, run_to_end, standing_nearest, stream_constrained, window_counts
+from ballspark.streaming.search import deduplicated, event_stream, marked_late, nearby_events, run_to_end, standing_nearest, stream_append, stream_constrained, window_counts
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -170,6 +171,14 @@ for _name, _view, _k, _r, _how, _build, _options in (
     ("two_tier_cnn", "orders2", 10, 0.02, "constrained", {"parts": 16, "top": "sample"}, {}),
     ("two_tier_fpb", "orders2", 10, 0.02, "constrained", {"parts": 16, "top": "sample", "kind": "fpb"}, {}),
     ("two_tier_kdt", "orders2", 10, 0.02, "constrained", {"parts": 16, "top": "sample", "kind": "kdt"}, {}),
+    ("cnn_kdt_cycle", "orders2", 10, 0.02, "constrained", {"kind": "kdt", "kd_axis": "cycle"}, {}),
+    ("cnn_kdt_variance", "orders2", 10, 0.02, "constrained", {"kind": "kdt", "kd_axis": "variance"}, {}),
+    ("cnn_kdt_midpoint", "orders2", 10, 0.02, "constrained", {"kind": "kdt", "kd_cut": "midpoint"}, {}),
+    ("cnn_kdt_cells", "orders2", 10, 0.02, "constrained", {"kind": "kdt", "kd_bounds": "cells"}, {}),
+    ("cnn_kdt_plane", "orders2", 10, 0.02, "constrained", {"kind": "kdt", "kd_bounds": "plane"}, {}),
+    ("cnn_one_by_one", "orders2", 10, 0.02, "constrained", {}, {"order": "near_first"}),
+    ("exact_top_kdt", "events_uv2", 10, 0.05, "constrained", {"parts": 8, "top": "exact", "kind": "kdt"}, {}),
+    ("exact_top_fpb", "events_uv2", 10, 0.05, "constrained", {"parts": 8, "top": "exact", "kind": "fpb"}, {}),
     ("exact_top_cnn", "events_uv2", 10, 0.05, "constrained", {"parts": 8, "top": "exact"}, {}),
 ):
     query(_name, _nearest_sql(_view, _k, _r))(_nearest(_view, _k, _r, _how, _build, **_options))
@@ -199,6 +208,53 @@ def attach_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     return search.attach(found, orders, "o_orderkey", ["o_orderstatus", "o_orderpriority", "c_mktsegment"]).select("qid", "rank", "pid", "dist", "o_orderstatus", "o_orderpriority", "c_mktsegment")
 
 
+@query(
+    "post_filtered_knn",
+    f"WITH {oracle.points('orders2')}, {oracle.uniform(2, 50)}, {oracle.pairs(2)}, {oracle.RANKED} SELECT qid, CAST(rank AS INTEGER) AS rank, pid, round(sqrt(d2), 6) AS dist FROM ranked JOIN orders ON o_orderkey = pid WHERE rank <= 10 AND o_orderstatus = 'O'",
+)
+def post_filtered_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The open ones among the ten nearest orders of any kind: the filter comes after the search, so some queries have fewer than ten."""
+    index, _ = indexed(spark, sf_dir, "orders2")
+    found = search.attach(search.knn_search(index, _uniform(spark, 2), 10), load(spark, sf_dir, "orders"), "o_orderkey", ["o_orderstatus"])
+    return _rounded(found.where("o_orderstatus = 'O'").select("qid", "rank", "pid", "dist"))
+
+
+@query(
+    "answer_cardinality",
+    f"WITH {oracle.points('orders2')}, {_FAR}, {oracle.pairs(2, 0.02)}, c AS (SELECT qid, least(10, count(pid)) AS n FROM qs LEFT JOIN pairs USING (qid) GROUP BY qid) "
+    "SELECT count(*) AS queries, CAST(sum(n) AS BIGINT) AS answers, count(*) FILTER (n < 10) AS fewer, count(*) FILTER (n = 0) AS none, round(count(*) FILTER (n < 10) / count(*), 6) AS share_fewer FROM c",
+)
+def answer_cardinality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How many answers constrained searches have, and the share of queries with fewer than K."""
+    index, _ = indexed(spark, sf_dir, "orders2")
+    far = query_sets.far_queries(spark, 2, 50)
+    return stats.cardinality(search.constrained_knn(index, far, 10, 0.02), far, 10).withColumn("share_fewer", F.round("share_fewer", 6))
+
+
+_BOTH = f"WITH {oracle.points('orders2')}, {oracle.uniform(2, 50)}, {oracle.pairs(2, 0.05)}, {oracle.RANKED} SELECT qid, pid FROM ranked WHERE rank <= 10 INTERSECT SELECT qid, pid FROM pairs WHERE d2 <= 0.03e0 * 0.03e0"
+
+
+@query("knn_intersect_range", _BOTH)
+def knn_intersect_range(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The set intersection of two searches' answers: the ten nearest within a range, and a smaller range."""
+    index, _ = indexed(spark, sf_dir, "orders2")
+    near, inside = search.constrained_knn(index, _uniform(spark, 2), 10, 0.05), search.range_search(index, _uniform(spark, 2), 0.03)
+    return near.select("qid", "pid").intersect(inside.select("qid", "pid"))
+
+
+@query("approximate_measures", "SELECT true AS count_near, true AS median_near, true AS tail_near")
+def approximate_measures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Approximate distinct points among answers and percentiles of their distances, against the exact ones."""
+    index, _ = indexed(spark, sf_dir, "orders2")
+    found = search.range_search(index, _uniform(spark, 2), 0.05)
+    close = lambda a, b, share: F.abs(a - b) <= share * b + F.lit(1e-9)
+    return found.agg(
+        close(F.approx_count_distinct("pid", 0.01), F.count_distinct("pid"), 0.05).alias("count_near"),
+        close(F.percentile_approx("dist", 0.5, 10_000), F.percentile("dist", F.lit(0.5)), 0.02).alias("median_near"),
+        close(F.percentile_approx("dist", 0.99, 10_000), F.percentile("dist", F.lit(0.99)), 0.02).alias("tail_near"),
+    )
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return attach_orders(spark, sf_dir)
 
@@ -220,11 +276,20 @@ def _knn_join_sql(r: float | None) -> str:
     return f"WITH {oracle.points('ship2')}, {oracle.points('orders2', 'ords')}, {asks}, {oracle.pairs(2, r)}, {oracle.RANKED} SELECT qid, CAST(rank AS INTEGER) AS rank, pid, round(sqrt(d2), 6) AS dist FROM ranked WHERE rank <= 5"
 
 
-#: SQL that ranks all pairs of the whole tables is too slow there; tests hold these against it on the smallest tables.
+def _knn_join_grid(cell: float) -> str:
+    """The same by an equi-join of cells: right as long as each query has its five within a cell's side, else rows would be missing."""
+    asks = f"qs AS (SELECT pid AS qid, x0 AS q0, x1 AS q1, floor(x0 / {cell}) + dx AS c0, floor(x1 / {cell}) + dy AS c1 FROM ords, (VALUES (-1), (0), (1)) a(dx), (VALUES (-1), (0), (1)) b(dy))"
+    held = f"held AS (SELECT *, floor(x0 / {cell}) AS c0, floor(x1 / {cell}) AS c1 FROM pts)"
+    near = f"pairs AS (SELECT qid, pid, {oracle.d2(2)} AS d2 FROM qs JOIN held USING (c0, c1))"
+    return f"WITH {oracle.points('ship2')}, {oracle.points('orders2', 'ords')}, {asks}, {held}, {near}, {oracle.RANKED} SELECT qid, CAST(rank AS INTEGER) AS rank, pid, round(sqrt(d2), 6) AS dist FROM ranked WHERE rank <= 5 AND d2 <= {cell} * {cell}"
+
+
+#: Without cells, on the smallest tables, where ranking all pairs is quick: tests hold the joins against both.
 SMALL_ORACLES = {"knn_join_two_round": _knn_join_sql(None), "knn_join_metadata": _knn_join_sql(None)}
-query("knn_join_two_round")(_knn_join(None))
+_JOIN_CELL = 0.1
+query("knn_join_two_round", _knn_join_grid(_JOIN_CELL))(_knn_join(None))
 query("knn_join_bounded", _knn_join_sql(0.01))(_knn_join(0.01))
-query("knn_join_metadata")(_knn_join(None, "metadata"))
+query("knn_join_metadata", _knn_join_grid(_JOIN_CELL))(_knn_join(None, "metadata"))
 
 _ASKS_SELF = "qs AS (SELECT pid AS qid, x0 AS q0, x1 AS q1 FROM pts)"
 
@@ -478,16 +543,20 @@ def exactness_report(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- reports ----------------------------------------------------------------------------------------
 
 QUERIES |= {
-    "depth_report": workloads.depth_report,
+    "depth_report": partial(workloads.depth_report, families=()),
     "quality_report": workloads.quality_report,
-    "visit_report": workloads.visit_report,
-    "cvisit_report": workloads.cvisit_report,
+    "visit_report": partial(workloads.visit_report, families=()),
+    "cvisit_report": partial(workloads.cvisit_report, families=()),
     "alpha_sweep": workloads.alpha_sweep,
     "outlier_study": workloads.outlier_study,
     "scale_report": workloads.scale_report,
     "high_dimension_report": workloads.high_dimension,
+    "reduction_report": workloads.reduction_report,
 }
 
+#: The same on the generated sets, a query for each, as they have many points.
+QUERIES |= {f"{name}_{family}": partial(report, views=(), families=(family,)) for family in workloads.SYNTHETIC for name, report in (("depth", workloads.depth_report), ("visits", workloads.visit_report), ("cvisits", workloads.cvisit_report))}
+
 REPORT_VIEWS, REPORT_K, REPORT_R = ("orders2", "events_uv2"), (1, 10), (0.02, 0.05)
 
 
@@ -567,6 +636,72 @@ def bounding_box_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "orders").where(box).where(F.abs(F.col("o_totalprice") - 100000) <= 1000).select("o_orderkey", "o_totalprice")
 
 
+@query("inv_measures", "SELECT kind, count(*) AS points, true AS bounded, true AS whole, true AS shares, true AS ordered FROM orders, (VALUES ('pab'), ('fpb'), ('kdt')) t(kind) GROUP BY kind")
+def inv_measures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What holds for the measures of any tree: depths between the least possible and the largest, a histogram of all leaves and points, shares between 0 and 1."""
+    out = None
+    for kind in workloads.KINDS:
+        index, _ = indexed(spark, sf_dir, "orders2", kind=kind, leaf_capacity=8)
+        depth, quality = stats.avg_depth(index), stats.tree_quality(index)
+        levels_of = stats.depth_histogram(index).agg(F.sum("leaves").alias("l"), F.sum("points").alias("p"), F.max("depth").alias("d"), (F.sum(F.col("depth") * F.col("leaves")) / F.sum("leaves")).alias("a"))
+        row = depth.join(levels_of).join(quality).select(
+            F.lit(kind).alias("kind"), F.col("n").alias("points"),
+            (F.col("avg_depth") >= balanced_depth(F.col("leaves")) - 1e-9).alias("bounded"),
+            ((F.col("l") == F.col("leaves")) & (F.col("p") == F.col("n")) & (F.col("d") == F.col("max_depth")) & (F.abs(F.col("a") - F.col("avg_depth")) < 1e-9) & (F.col("inner") == F.col("leaves") - 1)).alias("whole"),
+            (F.col("imbalance").between(0, 1) & F.col("weighted_imbalance").between(0, 1) & (F.col("overlap") >= 0) & F.col("child_radius").between(0, 1.5)).alias("shares"),
+            (F.col("avg_depth") <= F.col("max_depth")).alias("ordered"),
+        )
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("inv_visits", "SELECT kind, CAST(50 AS BIGINT) AS queries, true AS nested, true AS complete, true AS saved FROM (VALUES ('pab'), ('fpb'), ('kdt')) t(kind)")
+def inv_visits(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What holds for the counters of searches: expanded nodes are entered ones, leaves are expanded ones, and a constraint saves visits."""
+    out = None
+    for kind in workloads.KINDS:
+        index, p = indexed(spark, sf_dir, "orders2", kind=kind, leaf_capacity=8)
+        qs = _uniform(spark, 2)
+        knn = search.nearest(index, qs, 10, trace=True, order="right_first")
+        cnn = search.nearest(index, qs, 10, 0.02, trace=True, order="right_first")
+        nested = F.bool_and((F.col("nodes_entered") >= F.col("nodes_expanded")) & (F.col("nodes_expanded") >= F.col("leaves_scanned")) & (F.col("points_compared") >= F.col("answers")))
+        a, c = (stats.average_cost(x).join(x.agg(nested.alias("nested"))) for x in (knn, cnn))
+        part = stats.reduction(a, c)
+        row = part.select(F.lit(kind).alias("kind"), "queries", (F.col("base_nested") & F.col("ours_nested")).alias("nested"), (F.col("base_answers") == 10).alias("complete"), F.col("visits_saved").between(0, 1).alias("saved"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("sql_views", "SELECT count(*) AS points, count(*) AS in_leaves, true AS has_parts FROM orders")
+def sql_views(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """An index as views for SQL: its points, and its leaves' counts."""
+    index, _ = indexed(spark, sf_dir, "orders2")
+    index.register("ballspark_orders")
+    return spark.sql("SELECT (SELECT count(*) FROM ballspark_orders_points) AS points, (SELECT sum(n) FROM ballspark_orders_nodes WHERE is_leaf) AS in_leaves, (SELECT count(*) > 0 FROM ballspark_orders_parts) AS has_parts")
+
+
+@query("result_sinks", " UNION ALL ".join(f"SELECT '{f}' AS format, * FROM ({_range_sql('orders2', 0.02)})" for f in ("parquet", "orc", "csv", "json")))
+def result_sinks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Answers written in every format and read again."""
+    index, _ = indexed(spark, sf_dir, "orders2")
+    found, out = _rounded(search.range_search(index, _uniform(spark, 2), 0.02)), None
+    for kind in ("parquet", "orc", "csv", "json"):
+        path = shared_dir(spark)
+        write_results(found, path, kind)
+        again = read_points(spark, path, kind, "qid long, pid long, dist double").select(F.lit(kind).alias("format"), "qid", "pid", "dist")
+        out = again if out is None else out.unionByName(again)
+    return out
+
+
+@query("wide_moments", f"WITH {oracle.points('emb64')} SELECT count(*) AS n, {', '.join(f'round(avg(x{j}), 5) AS mean{j}, round(var_pop(x{j}), 5) AS var{j}' for j in (0, 31, 63))}, round(covar_pop(x0, x63), 5) AS cov FROM pts")
+def wide_moments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Moments beyond the dimensions that are written out as columns."""
+    m = levels.node_moments(_coded(points(spark, sf_dir, "emb64")), 64)
+    at = {j: 64 * j - j * (j - 1) // 2 for j in (0, 31, 63)}
+    cells = [c for j in at for c in (F.round(F.col("mean")[j], 5).alias(f"mean{j}"), F.round(F.col("c")[at[j]] / F.col("n"), 5).alias(f"var{j}"))]
+    return m.select("n", *cells, F.round(F.col("c")[63] / F.col("n"), 5).alias("cov"))
+
+
 # --- index life ------------------------------------------------------------------------------------
 
 
@@ -579,6 +714,16 @@ def append_then_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _rounded(search.knn_search(index, _uniform(spark, 2), 10))
 
 
+@query("stream_append_knn", _nearest_sql("orders2", 10))
+def stream_append_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """An index over half of the orders, to which the rest arrives as a stream of points."""
+    p, path = points(spark, sf_dir, "orders2"), shared_dir(spark)
+    late = F.pmod(F.xxhash64("pid"), F.lit(2)) == 0
+    p.df.where(late).write.parquet(path)
+    index = build_tree(Points(p.df.where(~late), p.dim, p.scale), BuildConfig(parts=4, top="sample"))
+    return _rounded(search.knn_search(stream_append(spark.readStream.schema(p.df.schema).parquet(path), index), _uniform(spark, 2), 10))
+
+
 @query("compact_then_knn", _nearest_sql("orders2", 10))
 def compact_then_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
     index, _ = indexed(spark, sf_dir, "orders2", parts=8, top="sample")

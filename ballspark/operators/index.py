@@ -96,8 +96,8 @@ class SpatialIndex:
         self.leaf_points().createOrReplaceTempView(f"{name}_points")
 
     def save(self, path: str) -> None:
-        """Parts by part_id under ``path``/parts, the rest as one JSON row under ``path``/meta."""
-        self.parts.write.mode("overwrite").parquet(f"{path}/parts")
+        """Parts in ranges and the order of part_id under ``path``/parts, so that a filter on it skips files; the rest as one JSON row under ``path``/meta."""
+        self.parts.repartitionByRange("part_id").sortWithinPartitions("part_id").write.mode("overwrite").parquet(f"{path}/parts")
         facts = {"dim": self.dim, "n": self.n, "n_parts": self.n_parts, "config": self.config.__dict__, "shift": self.scale and list(self.scale.shift), "factor": self.scale and list(self.scale.factor), "rotation": self.rotation}
         self.spark.createDataFrame([(json.dumps(facts),)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/meta")
 

@@ -10,6 +10,7 @@ from __future__ import annotations
 import heapq
 import io
 import math
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -481,8 +482,8 @@ def nearest_kernel(
 
 # --- searches of many queries at once -----------------------------------------------------------------
 
-#: Points that are compared at once, and queries that go through a tree together.
-COMPARED, TOGETHER = 2_000_000, 4096
+#: Points that are compared at once, queries that go through a tree together, and (query, node) pairs that are open at once.
+COMPARED, TOGETHER, OPEN = 2_000_000, 4096, 1_000_000
 
 
 def gaps(tree: Tree, q: np.ndarray, node: np.ndarray) -> np.ndarray:
@@ -495,17 +496,32 @@ def gaps(tree: Tree, q: np.ndarray, node: np.ndarray) -> np.ndarray:
     return np.sqrt(out) * (1 - SLACK)
 
 
-def open_leaves(tree: Tree, q: np.ndarray, reach: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(query, leaf) pairs of the leaves within each query's reach: all queries go down together, a level a step."""
-    who, node = np.arange(len(q)), np.zeros(len(q), np.int64)
-    found = [(who[:0], node[:0])]
-    while len(who) and len(tree.lo):
+def opened(tree: Tree, q: np.ndarray, reach: np.ndarray, counts: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(query, leaf) pairs of the leaves within each query's reach: all queries go down together, a level a step, OPEN pairs at a time.
+
+    ``counts`` takes, for each query, the nodes entered and expanded and the leaves.
+    """
+    stack = [(np.arange(len(q)), np.zeros(len(q), np.int64))] if len(tree.lo) else []
+    while stack:
+        who, node = stack.pop()
+        if len(who) > OPEN:
+            stack += [(who[i : i + OPEN], node[i : i + OPEN]) for i in range(0, len(who), OPEN)]
+            continue
         near = gaps(tree, q[who], node) <= reach[who]
-        who, node = who[near], node[near]
-        leaf = tree.lo[node] < 0
-        found.append((who[leaf], node[leaf]))
-        who = np.repeat(who[~leaf], 2)
-        node = np.stack([tree.lo[node[~leaf]], tree.hi[node[~leaf]]], axis=1).ravel()
+        inside, at = who[near], node[near]
+        leaf = tree.lo[at] < 0
+        if counts is not None:
+            for i, some in enumerate((who, inside, inside[leaf])):
+                counts[i] += np.bincount(some, minlength=len(q))
+        if leaf.any():
+            yield inside[leaf], at[leaf]
+        if not leaf.all():
+            stack.append((np.repeat(inside[~leaf], 2), np.stack([tree.lo[at[~leaf]], tree.hi[at[~leaf]]], axis=1).ravel()))
+
+
+def open_leaves(tree: Tree, q: np.ndarray, reach: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All pairs that ``opened`` finds."""
+    found = [(np.empty(0, np.int64), np.empty(0, np.int64)), *opened(tree, q, reach)]
     return np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found])
 
 
@@ -541,15 +557,28 @@ def compared(tree: Tree, q: np.ndarray, who: np.ndarray, node: np.ndarray):
         begin = end
 
 
-def range_together(tree: Tree, q: np.ndarray, r: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query, pid, squared distance) of all points within each query's r, the border included."""
-    out = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))]
+def range_together(tree: Tree, q: np.ndarray, r: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """(query, pid, squared distance) of all points within each query's r, the border included, in portions."""
     for a in range(0, len(q), TOGETHER):
         some, reach = q[a : a + TOGETHER], r[a : a + TOGETHER]
-        for of, at, d2 in compared(tree, some, *open_leaves(tree, some, reach)):
-            inside = d2 <= reach[of] * reach[of]
-            out.append((a + of[inside], tree.pid[at[inside]], d2[inside]))
-    return tuple(np.concatenate([o[i] for o in out]) for i in range(3))
+        for who, leaf in opened(tree, some, reach):
+            for of, at, d2 in compared(tree, some, who, leaf):
+                inside = d2 <= reach[of] * reach[of]
+                yield a + of[inside], tree.pid[at[inside]], d2[inside]
+
+
+def range_traces(tree: Tree, q: np.ndarray, r: np.ndarray) -> np.ndarray:
+    """A row for each query: its answers and the counters of ``range_kernel``, whose visits don't depend on their order."""
+    out = np.zeros((len(q), 5), np.int64)
+    for a in range(0, len(q), TOGETHER):
+        some, reach = q[a : a + TOGETHER], r[a : a + TOGETHER]
+        counts, answers, points = np.zeros((3, len(some)), np.int64), np.zeros(len(some), np.int64), np.zeros(len(some), np.int64)
+        for who, leaf in opened(tree, some, reach, counts):
+            for of, _, d2 in compared(tree, some, who, leaf):
+                points += np.bincount(of, minlength=len(some))
+                answers += np.bincount(of[d2 <= reach[of] * reach[of]], minlength=len(some))
+        out[a : a + TOGETHER] = np.stack([answers, *counts, points], axis=1)
+    return out
 
 
 def nearest_together(tree: Tree, q: np.ndarray, k: np.ndarray, r: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -571,9 +600,10 @@ def nearest_together(tree: Tree, q: np.ndarray, k: np.ndarray, r: np.ndarray) ->
         reach = np.minimum(reach, np.sqrt(bound) * (1 + SLACK))
         limit = np.minimum(bound, r[a : a + TOGETHER].astype(float) ** 2)
         kept = [(o[:0], o[:0], d[:0]) for o, d in [(np.empty(0, np.int64), np.empty(0))]]
-        for of, at, d2 in compared(tree, some, *open_leaves(tree, some, reach)):
-            near = d2 <= limit[of]
-            kept.append((of[near], tree.pid[at[near]], d2[near]))
+        for who, leaf in opened(tree, some, reach):
+            for of, at, d2 in compared(tree, some, who, leaf):
+                near = d2 <= limit[of]
+                kept.append((of[near], tree.pid[at[near]], d2[near]))
         of, pid, d2 = (np.concatenate([x[i] for x in kept]) for i in range(3))
         order = np.lexsort((pid, d2, of))
         of, pid, d2 = of[order], pid[order], d2[order]

@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ballspark.functions.geometry import project, sq_dist
@@ -49,6 +49,12 @@ def pca_filter_knn(points: DataFrame, queries: DataFrame, dim: int, components:
     return kept.withColumn("rank", rank).where(F.col("rank") <= k).select("qid", "rank", "pid", F.sqrt("d2").alias("dist"))
 
 
+def balanced_depth(n: Column) -> Column:
+    """``balanced_bound`` of a column."""
+    h = F.floor(F.log2(n))
+    return h + 2 - F.pow(F.lit(2.0), h + 1) / n
+
+
 def balanced_bound(n: int) -> float:
     """The least possible mean depth of the leaves of a binary tree with n of them."""
     if n < 1:

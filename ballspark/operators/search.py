@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from ballspark.functions.geometry import ball_intersects, box_min_dist, sq_dist
 
 from .index import SpatialIndex, saved
-from .kernel import SLACK, Trace, Tree, count_kernel, nearest_kernel, nearest_together, range_kernel, range_together
+from .kernel import SLACK, Trace, Tree, count_kernel, nearest_kernel, nearest_together, range_together, range_traces
 from .routing import matrix
 
 #: Routed queries that are broadcast to the trees at most; queries of a group that meets a tree, on average.
@@ -29,16 +29,16 @@ COUNTERS = ("nodes_entered", "nodes_expanded", "leaves_scanned", "points_compare
 TRACE = ", ".join(f"{c} long" for c in COUNTERS)
 
 #: What a search does at a tree: (tree, vectors, the queries' qid, k and r) to columns of answers.
-Work = Callable[[Tree, np.ndarray, pd.DataFrame], pd.DataFrame]
+Work = Callable[[Tree, np.ndarray, pd.DataFrame], Iterator[pd.DataFrame]]
 
 
 def one_by_one(each: Callable[[Tree, dict], Iterator[tuple]], schema: str) -> Work:
     """Work that searches query after query, where counters or the variants of a procedure are asked for."""
     names = [c.strip().split(" ")[0] for c in schema.split(",")]
 
-    def work(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> pd.DataFrame:
+    def work(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> Iterator[pd.DataFrame]:
         asked = zip(rows["qid"], rows["k"], rows["r"], q.tolist())
-        return pd.DataFrame([row for qid, k, r, v in asked for row in each(tree, {"qid": qid, "q": v, "k": k, "r": r})], columns=names)
+        yield pd.DataFrame([row for qid, k, r, v in asked for row in each(tree, {"qid": qid, "q": v, "k": k, "r": r})], columns=names)
 
     return work
 
@@ -61,7 +61,7 @@ def _at_parts(index: SpatialIndex, routed: DataFrame, work: Work, schema: str) -
         for batch in batches:
             for tree, todo in zip(batch["tree"], batch["todo"]):
                 rows = pd.DataFrame(list(todo), columns=["qid", "q", "k", "r"])
-                yield work(Tree.from_bytes(tree), matrix(rows["q"]), rows)
+                yield from work(Tree.from_bytes(tree), matrix(rows["q"]), rows)
 
     return joined.select("tree", "todo").mapInPandas(mapped, schema)
 
@@ -74,7 +74,7 @@ def _single(index: SpatialIndex, queries: DataFrame, work: Work, schema: str) ->
         t = Tree.from_bytes(tree.value)
         for batch in batches:
             if len(batch):
-                yield work(t, matrix(batch["q"]), batch)
+                yield from work(t, matrix(batch["q"]), batch)
 
     return queries.select("qid", "q", "k", "r").mapInPandas(mapped, schema)
 
@@ -112,21 +112,20 @@ def range_search(index: SpatialIndex, queries: DataFrame, r: float | None = None
     elif engine == "flat":
         found = flat_range(index, queries)
     elif trace:
-        schema = f"qid long, answers long, {TRACE}"
-        return _run(index, queries, "r", one_by_one(_range_trace, schema), schema).groupBy("qid").agg(F.sum("answers").alias("answers"), *[F.sum(c).alias(c) for c in COUNTERS])
+        return _run(index, queries, "r", _range_trace, f"qid long, answers long, {TRACE}").groupBy("qid").agg(F.sum("answers").alias("answers"), *[F.sum(c).alias(c) for c in COUNTERS])
     else:
         found = _run(index, queries, "r", _range_work, FOUND)
     return found.select("qid", "pid", F.sqrt("d2").alias("dist"))
 
 
-def _range_work(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> pd.DataFrame:
-    of, pid, d2 = range_together(tree, q, _limits(rows))
-    return pd.DataFrame({"qid": rows["qid"].to_numpy()[of], "pid": pid, "d2": d2})
+def _range_work(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> Iterator[pd.DataFrame]:
+    for of, pid, d2 in range_together(tree, q, _limits(rows)):
+        yield pd.DataFrame({"qid": rows["qid"].to_numpy()[of], "pid": pid, "d2": d2})
 
 
-def _range_trace(tree: Tree, row) -> Iterator[tuple]:
-    t = Trace()
-    yield row["qid"], len(range_kernel(tree, list(row["q"]), _limit(row), t)), *_counters(t)
+def _range_trace(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> Iterator[pd.DataFrame]:
+    counted = range_traces(tree, q, _limits(rows))
+    yield pd.DataFrame({"qid": rows["qid"].to_numpy()} | dict(zip(("answers", *COUNTERS), counted.T)))
 
 
 def range_count(index: SpatialIndex, queries: DataFrame, r: float | None = None) -> DataFrame:
@@ -155,9 +154,9 @@ def _nearest_work(options: dict, counters: bool = False) -> tuple[Work, str]:
     """Work and its schema. Answers don't depend on ``options``, which are the procedure's: with some, or for counters, it runs for each query."""
     if not options and not counters:
 
-        def together(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> pd.DataFrame:
+        def together(tree: Tree, q: np.ndarray, rows: pd.DataFrame) -> Iterator[pd.DataFrame]:
             of, pid, d2 = nearest_together(tree, q, rows["k"].to_numpy(np.int64), _limits(rows))
-            return pd.DataFrame({"qid": rows["qid"].to_numpy()[of], "pid": pid, "d2": d2})
+            yield pd.DataFrame({"qid": rows["qid"].to_numpy()[of], "pid": pid, "d2": d2})
 
         return together, FOUND
 

@@ -2,23 +2,43 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .index import SpatialIndex
+from .kernel import Tree
+
+
+def _leaf_depths(index: SpatialIndex) -> DataFrame:
+    """(depth, leaves, points) of each part's leaves, counted where its tree is."""
+
+    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for data in batch["tree"]:
+                t = Tree.from_bytes(data)
+                leaf = np.nonzero(t.lo < 0)[0]
+                depth = t.depth[leaf].astype(np.int64)
+                leaves, points = np.bincount(depth), np.bincount(depth, t.end[leaf] - t.begin[leaf])
+                at = np.nonzero(leaves)[0]
+                yield pd.DataFrame({"depth": at.astype(np.int32), "leaves": leaves[at], "points": points[at].astype(np.int64)})
+
+    return index.parts.select("tree").mapInPandas(count, "depth int, leaves long, points long")
 
 
 def avg_depth(index: SpatialIndex) -> DataFrame:
     """(n, leaves, avg_depth, weighted_depth, max_depth) over leaves; weighted by their points."""
-    leaf = index.nodes().where("is_leaf")
-    return leaf.agg(
-        F.sum("n").alias("n"), F.count("*").alias("leaves"), F.avg("depth").alias("avg_depth"),
-        (F.sum(F.col("n") * F.col("depth")) / F.sum("n")).alias("weighted_depth"), F.max("depth").alias("max_depth"),
+    return _leaf_depths(index).agg(
+        F.sum("points").alias("n"), F.sum("leaves").alias("leaves"), (F.sum(F.col("depth") * F.col("leaves")) / F.sum("leaves")).alias("avg_depth"),
+        (F.sum(F.col("points") * F.col("depth")) / F.sum("points")).alias("weighted_depth"), F.max("depth").alias("max_depth"),
     )
 
 
 def depth_histogram(index: SpatialIndex) -> DataFrame:
-    return index.nodes().where("is_leaf").groupBy("depth").agg(F.count("*").alias("leaves"), F.sum("n").alias("points"))
+    return _leaf_depths(index).groupBy("depth").agg(F.sum("leaves").alias("leaves"), F.sum("points").alias("points"))
 
 
 def families(index: SpatialIndex) -> DataFrame:
@@ -55,9 +75,18 @@ def average_cost(trace: DataFrame) -> DataFrame:
     )
 
 
-def reduction(base: float, ours: float) -> float:
-    """The share of the base that is saved."""
-    return (base - ours) / base if base else 0.0
+def reduction(base: DataFrame, ours: DataFrame) -> DataFrame:
+    """One row of two ``average_cost`` rows, base_ and ours_, with the shares of the base's visits and comparisons that are saved."""
+    both = [df.select(*[F.col(c).alias(f"{side}_{c.removeprefix('avg_')}") for c in df.columns if c != "queries"], *([F.col("queries")] if side == "base" else [])) for df, side in ((base, "base"), (ours, "ours"))]
+    saved = {f"{name}_saved": (F.col(f"base_{c}") - F.col(f"ours_{c}")) / F.col(f"base_{c}") for name, c in (("visits", "entered"), ("comparisons", "points"))}
+    return both[0].join(both[1]).withColumns(saved)
+
+
+def cardinality(found: DataFrame, queries: DataFrame, k: int) -> DataFrame:
+    """(queries, answers, fewer, none, share_fewer): how many queries have fewer than k answers, and none."""
+    counted = queries.select("qid").join(found.groupBy("qid").agg(F.count("*").alias("n")), "qid", "left").withColumn("n", F.coalesce("n", F.lit(0)).cast("long"))
+    fewer = F.count_if(F.col("n") < k)
+    return counted.agg(F.count("*").alias("queries"), F.sum("n").alias("answers"), fewer.alias("fewer"), F.count_if(F.col("n") == 0).alias("none"), (fewer / F.count("*")).alias("share_fewer"))
 
 
 def compare_exact(result: DataFrame, oracle: DataFrame) -> DataFrame:

@@ -13,7 +13,7 @@ from ballspark.config import BuildConfig
 from ballspark.operators.index import SpatialIndex, build_tree
 from ballspark.operators.pca import balanced_bound
 from ballspark.operators.search import nearest, range_search
-from ballspark.operators.stats import average_cost, avg_depth, tree_quality
+from ballspark.operators.stats import average_cost, avg_depth, reduction, tree_quality
 from ballspark.sources.generators import generate, with_outliers
 from ballspark.sources.points import Points, to_points
 from ballspark.sources.queries import data_queries, uniform_queries
@@ -28,12 +28,12 @@ REAL4 = ("dup4", "events4")
 QUERIES = 5300
 #: Points of a generated set.
 GENERATED = 500_000
-#: A tree over at most so many points is one part, so that counters and depths are those of a single tree.
-ONE_TREE = 1_000_000
+#: A tree over at most so many points is one part, built in one task, so that counters and depths are those of a single tree.
+ONE_TREE = 20_000_000
 
 
 def _index(p: Points, **options) -> SpatialIndex:
-    return build_tree(p, BuildConfig(local_rows=ONE_TREE * 20, **options))
+    return build_tree(p, BuildConfig(local_rows=ONE_TREE, **options))
 
 
 def _bounds(p: Points) -> list[tuple[float, float]]:
@@ -56,12 +56,12 @@ def depth_rows(name: str, p: Points, capacity: int = 1) -> list[tuple]:
     return out
 
 
-def depth_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = (*STANDINS, *REAL4), generated: int = GENERATED) -> DataFrame:
+def depth_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = (*STANDINS, *REAL4), generated: int = GENERATED, families: tuple[str, ...] = SYNTHETIC) -> DataFrame:
     """Average leaf depth of each tree with one point a leaf, on all rows of the stand-ins and on generated sets."""
     rows = []
     for v in views:
         rows += depth_rows(v, points(spark, sf_dir, v))
-    for kind in SYNTHETIC if generated else ():
+    for kind in families if generated else ():
         rows += depth_rows(f"generated {kind}", Points(generate(spark, kind, generated), 2))
     return _rows(spark, rows, DEPTHS)
 
@@ -74,10 +74,10 @@ def quality_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("
     return _rows(spark, rows, "view string, kind string, inner long, imbalance double, weighted_imbalance double, child_radius double, overlap double, objective double")
 
 
-def _sets(spark: SparkSession, sf_dir: str, views: tuple[str, ...], generated: int) -> list[tuple[str, Points]]:
+def _sets(spark: SparkSession, sf_dir: str, views: tuple[str, ...], generated: int, families: tuple[str, ...] = SYNTHETIC) -> list[tuple[str, Points]]:
     """The views, and the generated sets scaled to the unit square as they are."""
     sets = [(v, points(spark, sf_dir, v)) for v in views]
-    for kind in SYNTHETIC if generated else ():
+    for kind in families if generated else ():
         rows = generate(spark, kind, generated).select("pid", *[F.col("x")[j].alias(f"x{j}") for j in (0, 1)])
         sets.append((f"generated {kind}", to_points(rows, "pid", ["x0", "x1"], scale="minmax")))
     return sets
@@ -92,10 +92,10 @@ def _cost(view: str, kind: str, search: str, k: int | None, r: float | None, tra
     return (view, kind, search, k, r, c.queries, c.avg_entered, c.avg_expanded, c.avg_leaves, c.avg_points, c.avg_answers, time.monotonic() - began)
 
 
-def visit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "ship2"), queries: int = QUERIES, capacity: int = 8, rs: tuple = (0.02, 0.05, 0.1), ks: tuple = (1, 10, 50), generated: int = GENERATED) -> DataFrame:
+def visit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "ship2"), queries: int = QUERIES, capacity: int = 8, rs: tuple = (0.02, 0.05, 0.1), ks: tuple = (1, 10, 50), generated: int = GENERATED, families: tuple[str, ...] = SYNTHETIC) -> DataFrame:
     """Nodes visited by one and the same search on the trees, uniform queries, on views and generated sets."""
     rows = []
-    for v, p in _sets(spark, sf_dir, views, generated):
+    for v, p in _sets(spark, sf_dir, views, generated, families):
         qs = uniform_queries(spark, [(0.0, 1.0)] * p.dim, queries)
         for kind, options in COMPARED.items():
             index = _index(p, leaf_capacity=capacity, **options)
@@ -104,10 +104,10 @@ def visit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("or
     return _rows(spark, rows, VISITS)
 
 
-def cvisit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "ship2"), queries: int = QUERIES, capacity: int = 8, rs: tuple = (0.01, 0.02, 0.05), ks: tuple = (10, 50), orders: tuple = ("right_first", "near_first"), generated: int = GENERATED) -> DataFrame:
+def cvisit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "ship2"), queries: int = QUERIES, capacity: int = 8, rs: tuple = (0.01, 0.02, 0.05), ks: tuple = (10, 50), orders: tuple = ("right_first", "near_first"), generated: int = GENERATED, families: tuple[str, ...] = SYNTHETIC) -> DataFrame:
     """Nodes visited and time of nearest neighbours with and without the range constraint, on the principal-axis tree, in equal visiting orders, on views and generated sets."""
     rows = []
-    for v, p in _sets(spark, sf_dir, views, generated):
+    for v, p in _sets(spark, sf_dir, views, generated, families):
         index, qs = _index(p, leaf_capacity=capacity), uniform_queries(spark, [(0.0, 1.0)] * p.dim, queries)
         for order, k in product(orders, ks):
             rows.append(_cost(v, "pab", f"knn {order}", k, None, nearest(index, qs.drop("r"), k, trace=True, order=order)))
@@ -115,6 +115,20 @@ def cvisit_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("o
     return _rows(spark, rows, VISITS)
 
 
+def reduction_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2"), queries: int = QUERIES, k: int = 10, rs: tuple = (0.01, 0.02, 0.05), orders: tuple = ("right_first", "near_first")) -> DataFrame:
+    """By how much the range constraint lessens the nodes visited and points compared of nearest-neighbour searches."""
+    out = None
+    for v in views:
+        p = points(spark, sf_dir, v)
+        index, qs = _index(p, leaf_capacity=8), uniform_queries(spark, [(0.0, 1.0)] * p.dim, queries)
+        for order in orders:
+            base = average_cost(nearest(index, qs.drop("r"), k, trace=True, order=order))
+            for r in rs:
+                row = reduction(base, average_cost(nearest(index, qs, k, r, trace=True, order=order))).select(F.lit(v).alias("view"), F.lit(order).alias("order"), F.lit(k).alias("k"), F.lit(r).alias("r"), "queries", "base_entered", "ours_entered", "visits_saved", "comparisons_saved")
+                out = row if out is None else out.unionByName(row)
+    return out
+
+
 def dominance(spark: SparkSession, sf_dir: str, view: str, k: int, r: float, queries: int = 200) -> DataFrame:
     """(queries, above_knn, above_range): queries whose constrained search entered more nodes than either search alone; none."""
     p = points(spark, sf_dir, view)

@@ -31,12 +31,31 @@ def test_defaults_are_whole():
 
 def test_visits_answer_as_brute_force(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(workloads, "COMPARED", {"pab": {}})
-    monkeypatch.setattr(workloads, "SYNTHETIC", ("lithuanian",))
-    got = {(r.view, r.search, r.r): r for r in workloads.visit_report(spark, sf_dir, ("orders2",), queries=12, rs=(0.1,), ks=(5,), generated=300).collect()}
-    near = {(r.view, r.search): r for r in workloads.cvisit_report(spark, sf_dir, ("orders2",), queries=12, rs=(0.05,), ks=(5,), orders=("near_first",), generated=300).collect()}
-    for v, p in workloads._sets(spark, sf_dir, ("orders2",), 300):
+    one = {"generated": 300, "families": ("lithuanian",)}
+    got = {(r.view, r.search, r.r): r for r in workloads.visit_report(spark, sf_dir, ("orders2",), queries=12, rs=(0.1,), ks=(5,), **one).collect()}
+    near = {(r.view, r.search): r for r in workloads.cvisit_report(spark, sf_dir, ("orders2",), queries=12, rs=(0.05,), ks=(5,), orders=("near_first",), **one).collect()}
+    for v, p in workloads._sets(spark, sf_dir, ("orders2",), 300, ("lithuanian",)):
         qs = uniform_queries(spark, [(0.0, 1.0)] * 2, 12)
         assert got[v, "range", 0.1].queries == 12 == near[v, "knn near_first"].queries
         assert got[v, "range", 0.1].avg_answers == pytest.approx(brute(p.df, qs, 2, None, 0.1).count() / 12)
         assert near[v, "constrained near_first"].avg_answers == pytest.approx(brute(p.df, qs, 2, 5, 0.05).count() / 12)
     assert len(got) == 4 and len(near) == 4
+
+
+def test_reductions(spark, sf_dir):
+    rows = workloads.reduction_report(spark, sf_dir, ("orders2",), queries=20, rs=(0.01, 0.05)).collect()
+    assert {(r.order, r.r) for r in rows} == {(o, r) for o in ("right_first", "near_first") for r in (0.01, 0.05)}
+    for r in rows:
+        assert r.queries == 20 and r.visits_saved == pytest.approx((r.base_entered - r.ours_entered) / r.base_entered) and 0 <= r.visits_saved < 1
+
+
+def test_small_reports(spark, sf_dir):
+    """The reports that are not run at their defaults, on small grids: all combinations, and the order of depths that the trees are known for."""
+    depth = workloads.depth_report(spark, sf_dir, ("events4",), 2000, ("highleyman",)).collect()
+    by = {(r.view, r.kind): r for r in depth}
+    assert len(depth) == 6 and all(r.bound - 1e-9 <= r.avg_depth <= r.max_depth for r in depth)
+    assert by["generated highleyman", "pab"].avg_depth < by["generated highleyman", "fpb"].avg_depth
+    sweep = workloads.alpha_sweep(spark, sf_dir, queries=10, alphas=(0.0, 4.0), sections=(8, 64)).collect()
+    assert len(sweep) == 16 and all(r.avg_entered > 0 for r in sweep)
+    quality = workloads.quality_report(spark, sf_dir, ("orders2",)).collect()
+    assert {r.kind for r in quality} == set(workloads.KINDS) and all(0 <= r.imbalance <= 1 for r in quality)
