@@ -870,7 +870,7 @@ def stream_late(spark: SparkSession, sf_dir: str) -> DataFrame:
     for b in range(_ARRIVALS):  # files are taken by their age
         events.where(F.col("event_id") % _ARRIVALS == b).coalesce(1).write.parquet(f"{path}/{b}")
     arriving = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/*")
-    return marked_late(arriving, "ts", "12 hours")
+    return marked_late(arriving, "ts", "12 hours").select("event_id", "late")
 
 
 def queries() -> dict[str, Query]:
