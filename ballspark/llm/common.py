@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import threading
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -28,9 +29,33 @@ def shared_root(spark: SparkSession) -> str:
     return root.rstrip("/")
 
 
+class _Folders(threading.local):
+    """Folders that a thread of this driver has named, in order."""
+
+    def __init__(self):
+        self.made: list[str] = []
+
+
+_folders = _Folders()
+
+
 def work_dir(spark: SparkSession, name: str) -> str:
     """A path below the shared folder that no other run uses."""
-    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
+    _folders.made.append(f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}")
+    return _folders.made[-1]
+
+
+def mark() -> int:
+    """For ``forget``: where the folders that are named from now on begin."""
+    return len(_folders.made)
+
+
+def forget(spark: SparkSession, since: int) -> None:
+    """Deletes the folders that this thread has named since a mark but for the last, which holds the result: what led to a written result is not read again."""
+    for name in _folders.made[since:-1]:
+        path = spark._jvm.org.apache.hadoop.fs.Path(name)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    del _folders.made[since:-1]
 
 
 def written(df: DataFrame, name: str) -> DataFrame:

@@ -28,7 +28,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, batch_of, few, gathered, held, let_go, portions, small_batches, text_or_empty, work_dir, written
+from .common import as_bytes, batch_of, few, forget, gathered, held, let_go, mark, portions, small_batches, text_or_empty, work_dir, written
 
 ORDER = 5
 #: Bytes that are coded at once, n-grams that a task counts before it sends them, entries of a model's block.
@@ -341,7 +341,9 @@ def judge(docs: DataFrame, keep: list[str] | None = None, lang_col: str = "lang"
     language the empty one, with a band of its own; empty texts fail the base rules, repeated rows
     are judged alike, and an empty table stays empty.
     """
+    since = mark()
     scored = written(score(docs, docs.columns if keep is None else keep, lang_col, text_col), "scored").withColumn("base_failed", base_failed())
+    forget(docs.sparkSession, since)
     texts = scored.where(~F.col("base_failed")).groupBy("lang", "k1", "k2").agg(F.min("log_perplexity").alias("log_perplexity"))
     quartiles = texts.groupBy("lang").agg(F.percentile_approx("log_perplexity", [0.25, 0.75], 10_000).alias("q"))
     spread = F.greatest(F.col("q")[1] - F.col("q")[0], F.lit(LEAST_SPREAD))
@@ -361,5 +363,7 @@ def keep_good(docs: DataFrame, lang_col: str = "lang", text_col: str = "text") -
     key = {"_k1": F.xxhash64(text_or_empty(text_col)), "_k2": F.xxhash64(F.lit(1), text_or_empty(text_col)), "_lang": F.coalesce(lang_col, F.lit(""))}
     columns = docs.columns
     keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("_row"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"), *[v.alias(k) for k, v in key.items()])
+    since = mark()
     rejected = written(judge(keyed, keep=["_k1", "_k2"]).where(~F.col("kept")).select("row.*", F.col("lang").alias("_lang")).distinct(), "rejected")
+    forget(docs.sparkSession, since)
     return keyed.join(few(rejected), ["_k1", "_k2", "_lang"], "left_anti").select("_row.*")
