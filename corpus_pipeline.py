@@ -11,7 +11,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ballspark.llm.common import written
+from ballspark.llm.common import few, forget, mark, written
 from ballspark.llm.jaccard import link_components
 from ballspark.llm.mixing import mix
 from ballspark.llm.packing import pack
@@ -30,8 +30,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of linked documents that with the smallest id. Rows without an id are kept, repeated rows both."""
-    gone = link_components(docs).where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    gone = written(link_components(docs).where("doc_id <> component_id").select("doc_id").distinct(), "gone")
+    return docs.join(few(gone), "doc_id", "left_anti").select(docs.columns)
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -43,8 +43,8 @@ def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as their source's weight asks, at least once: small sources are repeated up to MAX_REPETITION."""
-    return mix(docs, max_repetition=MAX_REPETITION).select(docs.columns)
+    """Documents as often as their source's weight in tokens asks, at least once: small sources are repeated up to MAX_REPETITION."""
+    return mix(docs, max_repetition=MAX_REPETITION, tokenizer=TOKENIZER).select(docs.columns)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -59,7 +59,9 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages over documents. Once a stage's rows are written, its own folders and the stage's before are deleted."""
+    docs, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), mark()
     for _, stage in STAGES:
         docs = written(stage(spark, docs, sf_dir), "stage")
+        forget(spark, before)
     return docs
