@@ -17,7 +17,7 @@ from ballspark.operators.stats import average_cost, avg_depth, reduction, tree_q
 from ballspark.sources.generators import generate, with_outliers
 from ballspark.sources.points import Points, to_points
 from ballspark.sources.queries import data_queries, uniform_queries
-from ballspark.sources.views import points
+from ballspark.sources.views import hash_cut, points
 
 KINDS = ("pab", "fpb", "kdt")
 #: Trees whose visits are compared; a KD-tree that tests the last cut alone prunes least.
@@ -66,6 +66,15 @@ def depth_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = (*ST
     return _rows(spark, rows, DEPTHS)
 
 
+def real_depths(spark: SparkSession, sf_dir: str, n: int, views: tuple[str, ...] = REAL4) -> DataFrame:
+    """Average leaf depths of the trees over n points of each view, those of the smallest hash: the size of a published set."""
+    rows = []
+    for v in views:
+        p = points(spark, sf_dir, v)
+        rows += depth_rows(v, Points(hash_cut(p.df, n), p.dim, p.scale))
+    return _rows(spark, rows, DEPTHS)
+
+
 def quality_report(spark: SparkSession, sf_dir: str, views: tuple[str, ...] = ("orders2", "events_uv2", "events4")) -> DataFrame:
     rows = []
     for v, kind in product(views, KINDS):
