@@ -337,7 +337,8 @@ def encoder(path: str) -> Encoder:
 def token_ids(docs: DataFrame, path: str, end_id: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, ids, n): each whole text's ids and ``end_id`` after them; a null text is an empty one.
 
-    ``ids`` are bytes, two or four an id as ``Encoder`` says.
+    ``ids`` are bytes, two or four an id as ``Encoder`` says. Texts of any length are encoded in stretches, repeated
+    rows are rows of their own, and columns beside the two that are read play no part, whatever their names.
     """
     schema = pa.schema([("id", pa.int64()), ("ids", pa.binary()), ("n", pa.int64())])
 

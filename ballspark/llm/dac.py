@@ -188,7 +188,8 @@ def write_tokens(docs: DataFrame, folder: str, path: str, end_id: int, id_col: s
     the tokens of all files before. Null ids come first, rows with one id in the order of a hash of
     their texts, so that no number of them is bound to one task. A file is named by its task's attempt
     and counts only once the manifest lists it, so lost and repeated attempts leave nothing in the way.
-    ``folder`` is a URI that ``pyarrow.fs`` opens, and shared. An empty table gives an empty manifest.
+    ``folder`` is a URI that ``pyarrow.fs`` opens, and shared. An empty table gives an empty manifest; null texts are
+    empty ones, texts of any length are whole in one segment, and columns beside the two that are read play no part, whatever their names.
     """
     small_batches(docs.sparkSession)
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -114,7 +114,10 @@ def fingerprint(samples: bytes) -> tuple[np.ndarray, np.ndarray]:
 
 
 def store_sounds(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """(id, n_bytes, media): each whole text's padded bytes as a WAV image. A null text is an empty one: 64 zeros."""
+    """(id, n_bytes, media): each whole text's padded bytes as a WAV image, of any length that the format has room for.
+
+    A null text is an empty one: 64 zeros. Repeated rows are rows of their own; columns beside the two that are read play no part, whatever their names.
+    """
     small_batches(docs.sparkSession)
     schema = pa.schema([("id", pa.int64()), ("n_bytes", pa.int64()), ("media", pa.binary())])
 

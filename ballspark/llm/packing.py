@@ -147,7 +147,8 @@ def pack(docs: DataFrame, path: str, end_id: int, id_col: str = "doc_id", text_c
 
     ``start`` counts the ids of the row's document before the piece, ``ids`` are little-endian 32-bit
     integers, ``offset`` is the piece's place in its sequence. A null text is an empty one and has its
-    end id only; rows with one id are packed one by one; an empty table has no pieces. Ids are written
+    end id only; rows with one id, or with none, are packed one by one; texts of any length are cut into windows; an empty table has no pieces. Columns
+    beside the two that are read play no part, whatever their names. Ids are written
     once, as a table in the shared folder, so the plan and the packing see the same.
     """
     small_batches(docs.sparkSession)

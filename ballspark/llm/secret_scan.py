@@ -124,7 +124,7 @@ def findings(docs: DataFrame, ledger: str, text_col: str = "text") -> DataFrame:
 def scan_secrets(docs: DataFrame, ledger: str | None = None, text_col: str = "text") -> DataFrame:
     """``docs`` with ``blob`` and ``spans``. Without a ledger's path a new ledger is made for this run.
 
-    Null and empty texts have no spans; an empty table gives an empty result.
+    Null and empty texts have no spans, texts of any length are scanned whole, repeated rows have the same spans each; an empty table gives an empty result.
     """
     ledger = ledger or work_dir(docs.sparkSession, "ledger")
     scan_new(docs, ledger, text_col)

@@ -12,9 +12,10 @@ import pyarrow.parquet as pq
 import pytest
 from tests.conftest import SF
 
-from ballspark.llm import media, quality
-from ballspark.llm.queries import QUERIES
+from ballspark.llm import jaccard, media, packing, quality, secret_scan, token_counts
+from ballspark.llm.queries import QUERIES, TOKENIZER
 
+from .conftest import DOCS
 from .test_corpus import plain_components, plain_measures
 from .test_texts import ids_of, plain_base
 
@@ -168,3 +169,27 @@ def test_pipeline_of_the_given_documents(spark, docs, sf_dir):
         assert p["doc_tokens"] == len(ids) and bytes(p["ids"]) == ids[p["start"] : p["start"] + p["length"]].tobytes()
         got[p["doc_id"]] += p["length"]
     assert got == Counter({i: n * (len(ids_of(texts[i])) + 1) for i, n in times.items()})
+
+
+def test_very_long_texts(spark):
+    """Two near copies of 1.5 million characters, one beginning with, one ending in a secret, through every operator on texts."""
+    rng = np.random.default_rng(9)
+    words = [f"w{k}" if k % 7 else f"Wörter{k}," for k in rng.integers(0, 60_000, 230_000).tolist()]
+    texts = {1: " ".join(words), 2: " ".join([*words[:-3], "token=abcdefghijkl"]), 3: None}
+    docs = spark.createDataFrame([(i, t, "en", "a", 0) for i, t in texts.items()], DOCS)
+    counts = {r.id: r for r in token_counts.count_tokens(docs, TOKENIZER).collect()}
+    found = {r.doc_id: [tuple(x) for x in r.spans] for r in secret_scan.scan_secrets(docs).collect()}
+    judged = {r.row.doc_id: r for r in quality.judge(docs, keep=["doc_id"]).collect()}
+    linked = {r.doc_id: r for r in jaccard.link_components(docs).collect()}
+    sounds = {r.id: r for r in media.sound_features(media.store_sounds(docs)).select("id", "payload_bytes", "payload_sha256").collect()}
+    pieces = Counter()
+    for r in packing.pack(docs, TOKENIZER, 1).select("doc_id", "length").collect():
+        pieces[r.doc_id] += r.length
+    for i, t in texts.items():
+        data = (t or "").encode()
+        payload = data + bytes(max(1, -(-len(data) // 64)) * 64 - len(data))
+        assert counts[i].n_tokens == len(ids_of(t)) == pieces[i] - 1 and counts[i].n_bytes == len(data)
+        assert found[i] == plain_base(t or "")
+        assert judged[i].n_words == len((t or "").split()) and judged[i].word_chars == len("".join((t or "").split()))
+        assert (sounds[i].payload_bytes, sounds[i].payload_sha256) == (len(payload), hashlib.sha256(payload).hexdigest())
+    assert linked[1].component_id == linked[2].component_id == 1 and linked[3].component_id == 3 and linked[1].n_shingles > 200_000
