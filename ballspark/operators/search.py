@@ -22,7 +22,7 @@ from .index import SpatialIndex, saved
 from .kernel import SLACK, Trace, Tree, count_kernel, nearest_kernel, nearest_together, range_together, range_traces
 from .routing import matrix
 
-#: Routed queries that are broadcast to the trees at most; queries of a group that meets a tree, on average.
+#: Routed queries of two dimensions that are broadcast to the trees at most, fewer of more; queries of a group that meets a tree, on average.
 BROADCAST_QUERIES, CHUNK = 200_000, 8192
 FOUND = "qid long, pid long, d2 double"
 COUNTERS = ("nodes_entered", "nodes_expanded", "leaves_scanned", "points_compared")
@@ -51,7 +51,7 @@ def _at_parts(index: SpatialIndex, routed: DataFrame, work: Work, schema: str) -
     """``work`` for the routed queries (part_id, qid, q, k, r) at their parts' trees."""
     routed = saved(routed.select("part_id", "qid", "q", "k", "r"))
     counts = routed.groupBy("part_id").agg(F.ceil(F.count("*") / CHUNK).alias("chunks"))
-    few = routed.count() <= BROADCAST_QUERIES
+    few = routed.count() * (index.dim + 3) <= 5 * BROADCAST_QUERIES
     counts = F.broadcast(counts) if few else counts
     chunk = F.pmod(F.xxhash64("qid"), F.col("chunks"))
     groups = routed.join(counts, "part_id").groupBy("part_id", chunk.alias("chunk")).agg(F.collect_list(F.struct("qid", "q", "k", "r")).alias("todo"))
@@ -254,7 +254,8 @@ def frontier_range(index: SpatialIndex, queries: DataFrame) -> DataFrame:
     points = saved(index.leaf_points())
     queries = queries.select("qid", "q", "r")
     test = _node_gap(index, F.col("q"))
-    frontier = nodes.where("node_id = 0").join(F.broadcast(queries), test).select("qid", "q", "r", "part_id", "node_id", "lo_id", "hi_id", "is_leaf")
+    roots = index.routing().meets(queries, "q", "r").join(nodes.where("node_id = 0"), "part_id")
+    frontier = roots.where(test).select("qid", "q", "r", "part_id", "node_id", "lo_id", "hi_id", "is_leaf")
     leaves = None
     while True:
         frontier = saved(frontier)
