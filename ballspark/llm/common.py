@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import threading
@@ -92,14 +93,17 @@ _held: dict = {}
 def held(key: tuple, make: Callable):
     """What ``make`` gives, kept in this process for later tasks until another is asked for: workers outlive operators, whose tables would add up."""
     if key not in _held:
-        _held.clear()
+        let_go()
         _held[key] = make()
     return _held[key]
 
 
 def let_go() -> None:
-    """Frees what ``held`` keeps: tasks of operators that keep nothing begin with it."""
+    """Frees what ``held`` keeps, and gives the system back what was freed: tasks of operators that keep nothing begin with it."""
     _held.clear()
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):  # of the C library on Linux
+        trim(0)
 
 
 def small_batches(spark: SparkSession, rows: int = 1000) -> None:

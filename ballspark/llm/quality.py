@@ -32,9 +32,9 @@ from .common import as_bytes, batch_of, few, forget, gathered, held, let_go, mar
 
 ORDER = 5
 #: Bytes that are coded at once, n-grams that a task counts before it sends them, entries of a model's block.
-PORTION, COUNTED, BLOCK = 1_000_000, 3_000_000, 1 << 16
+PORTION, COUNTED, BLOCK = 500_000, 2_000_000, 1 << 16
 #: Entries of models and scored n-grams that a process holds, n-grams that are looked up in a model at once, and bytes of text that are scored together.
-ENTRIES, SCORED, ASKED, TOGETHER = 6_000_000, 3_000_000, 60_000, 6_000_000
+ENTRIES, SCORED, ASKED, TOGETHER = 4_000_000, 2_000_000, 60_000, 3_000_000
 #: Words for each symbol that a text must have to teach a model.
 WORDS_PER_SYMBOL = 10
 #: How far bands reach below the first and above the third quartile, in interquartile ranges, and how much further for short texts.
