@@ -162,3 +162,31 @@ def test_many_queries_together_answer_as_each_alone(rows, kind, capacity, seed):
         alone = sorted(kernel.range_kernel(tree, q[i].tolist(), float(near[i]), trace))
         assert sorted(x for of, pid, d2 in found for x in zip(d2[of == i], pid[of == i])) == alone
         assert counted[i].tolist() == [len(alone), trace.nodes_entered, trace.nodes_expanded, trace.leaves_scanned, trace.points_compared]
+
+
+@pytest.mark.parametrize("kind", ["pab", "fpb", "kdt"])
+@pytest.mark.parametrize("order", ["near_first", "right_first"])
+def test_traces_together_are_those_of_each_query(kind, order):
+    rng = np.random.default_rng(3)
+    x, q = rng.random((1500, 2)), rng.random((40, 2))
+    x[:500] = np.round(x[:500], 1)  # leaves above capacity, and ties
+    t = kernel.build(x, np.arange(1500), BuildConfig(kind=kind, leaf_capacity=8))
+    for k, r in ((1, np.inf), (10, np.inf), (10, 0.05), (50, 0.2)):
+        want = []
+        for v in q.tolist():
+            trace = kernel.Trace()
+            found = kernel.nearest_kernel(t, v, k, r, trace, order=order)
+            want.append((len(found), trace.nodes_entered, trace.nodes_expanded, trace.leaves_scanned, trace.points_compared))
+        assert kernel.nearest_traces(t, q, np.full(40, k), np.full(40, r), order).tolist() == [list(w) for w in want]
+
+
+def test_large_trees_are_files(tmp_path, monkeypatch):
+    """Their bytes only say where they are; those of a small tree hold it."""
+    t = kernel.build(np.random.default_rng(5).random((300, 3)), np.arange(300), BuildConfig(leaf_capacity=8))
+    assert t.stored(f"file://{tmp_path}", "a") == t.to_bytes()
+    monkeypatch.setattr(kernel, "FILED", 0)
+    place = t.stored(f"file://{tmp_path}", "b")
+    assert len(place) < 1000
+    u, some = kernel.Tree.from_bytes(place), kernel.Tree.from_bytes(place, ("lo", "depth"))
+    assert all(np.array_equal(getattr(u, n), getattr(t, n), equal_nan=True) for n in kernel.Tree.ARRAYS)
+    assert np.array_equal(some.lo, t.lo) and not len(some.x)
