@@ -190,3 +190,18 @@ def test_large_trees_are_files(tmp_path, monkeypatch):
     u, some = kernel.Tree.from_bytes(place), kernel.Tree.from_bytes(place, ("lo", "depth"))
     assert all(np.array_equal(getattr(u, n), getattr(t, n), equal_nan=True) for n in kernel.Tree.ARRAYS)
     assert np.array_equal(some.lo, t.lo) and not len(some.x)
+
+
+def test_nodes_split_in_runs_make_the_same_tree(monkeypatch):
+    """Nodes of a level go in runs of at most SPLIT points, which bounds what is held beside the points."""
+    rng = np.random.default_rng(5)
+    x, pid = np.round(rng.random((3000, 2)), 2), np.arange(3000)
+    for options in ({}, {"kind": "fpb"}, {"kind": "kdt", "kd_bounds": "cells"}):
+        whole = build(x, pid, BuildConfig(leaf_capacity=4, **options))
+        with monkeypatch.context() as m:
+            m.setattr(kernel, "SPLIT", 100)
+            most, level = [], kernel._Level.__init__
+            m.setattr(kernel._Level, "__init__", lambda self, *a: (level(self, *a), most.append((len(self.n), len(self.x))))[0])
+            runs = build(x, pid, BuildConfig(leaf_capacity=4, **options))
+        assert all(np.array_equal(getattr(whole, n), getattr(runs, n), equal_nan=True) for n in whole.ARRAYS)
+        assert all(points <= 100 for nodes, points in most if nodes > 1)
