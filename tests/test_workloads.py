@@ -59,3 +59,9 @@ def test_small_reports(spark, sf_dir):
     assert len(sweep) == 16 and all(r.avg_entered > 0 for r in sweep)
     quality = workloads.quality_report(spark, sf_dir, ("orders2",)).collect()
     assert {r.kind for r in quality} == set(workloads.KINDS) and all(0 <= r.imbalance <= 1 for r in quality)
+
+
+def test_reductions_are_searched_one_after_another(spark, sf_dir):
+    """What is returned reads the searches' averages and searches nothing itself: its tasks would hold trees of different views at once."""
+    report = workloads.reduction_report(spark, sf_dir, ("orders2",), queries=20, rs=(0.01,), orders=("right_first",))
+    assert "MapIn" not in report._jdf.queryExecution().toString() and report.count() == 1
