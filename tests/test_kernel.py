@@ -205,3 +205,49 @@ def test_nodes_split_in_runs_make_the_same_tree(monkeypatch):
             runs = build(x, pid, BuildConfig(leaf_capacity=4, **options))
         assert all(np.array_equal(getattr(whole, n), getattr(runs, n), equal_nan=True) for n in whole.ARRAYS)
         assert all(points <= 100 for nodes, points in most if nodes > 1)
+
+
+def test_traces_count_whole_nodes_without_going_down(monkeypatch):
+    """A node wholly within reach is counted by what is below it, so few points are compared, with the counters of the procedure."""
+    rng = np.random.default_rng(5)
+    x = np.repeat(rng.random((1500, 2)), 2, axis=0)
+    q, r, seen, real = rng.random((30, 2)), np.repeat([0.0, 0.05, 0.3, 0.9, 3.0, math.inf], 5), [], kernel.compared
+
+    def watched(*args):
+        for of, at, d2 in real(*args):
+            seen.append(len(of))
+            yield of, at, d2
+
+    monkeypatch.setattr(kernel, "compared", watched)
+    for options in ({}, {"kind": "fpb"}, {"kind": "kdt"}, {"kind": "kdt", "kd_bounds": "cells"}, {"kind": "kdt", "kd_bounds": "plane"}):
+        t = kernel.build(x, np.arange(len(x)), BuildConfig(leaf_capacity=8, **options))
+        want = []
+        for v, limit in zip(q, r):
+            trace = kernel.Trace()
+            found = kernel.range_kernel(t, v.tolist(), limit, trace)
+            want.append([len(found), trace.nodes_entered, trace.nodes_expanded, trace.leaves_scanned, trace.points_compared])
+        seen.clear()
+        assert kernel.range_traces(t, q, r).tolist() == want
+        assert sum(seen) < sum(w[4] for w in want) / 10
+
+
+def test_traces_merge_only_leaves_that_are_closer(monkeypatch):
+    """Distances are merged for queries that a leaf comes nearer to, not at every leaf that is scanned, and mixed k and r have the procedure's counters."""
+    rng = np.random.default_rng(6)
+    x, q = np.repeat(rng.random((1500, 2)), 2, axis=0), rng.random((40, 2))
+    k, r, rows, real = rng.integers(1, 20, 40), np.tile([0.02, 0.2, math.inf, 0.0], 10), [], np.sort
+    t = kernel.build(x, np.arange(len(x)), BuildConfig(leaf_capacity=8))
+    want = []
+    for v, n, limit in zip(q, k, r):
+        trace = kernel.Trace()
+        found = kernel.nearest_kernel(t, v.tolist(), int(n), limit, trace, order="right_first")
+        want.append([len(found), trace.nodes_entered, trace.nodes_expanded, trace.leaves_scanned, trace.points_compared])
+    monkeypatch.setattr(np, "sort", lambda a, **o: rows.append(len(a)) or real(a, **o))
+    assert kernel.nearest_traces(t, q, k, r, "right_first").tolist() == want
+    assert 0 < sum(rows) < sum(w[3] for w in want) * 0.9
+
+
+def test_only_some_arrays_are_kept():
+    x = np.random.default_rng(7).random((500, 2))
+    whole, some = (kernel.build(x, np.arange(500), BuildConfig(kind="fpb"), only=only) for only in (None, ("lo", "depth")))
+    assert (whole.lo == some.lo).all() and (whole.depth == some.depth).all() and not some.center.size and not some.axis.size and whole.center.size

@@ -1,10 +1,12 @@
 """The registered experiments take whole tables; small arguments against brute force."""
 
 import inspect
+import os
 
 import pytest
 
 from ballspark.operators.search import brute
+from ballspark.operators.stats import avg_depth
 from ballspark.plans import workloads
 from ballspark.sources.queries import uniform_queries
 
@@ -65,3 +67,33 @@ def test_reductions_are_searched_one_after_another(spark, sf_dir):
     """What is returned reads the searches' averages and searches nothing itself: its tasks would hold trees of different views at once."""
     report = workloads.reduction_report(spark, sf_dir, ("orders2",), queries=20, rs=(0.01,), orders=("right_first",))
     assert "MapIn" not in report._jdf.queryExecution().toString() and report.count() == 1
+
+
+def test_visited_trees_are_dropped(spark, sf_dir, monkeypatch):
+    """Trees of a report are built from points that are written once, and each goes after its searches: together they take many times the points' disk."""
+    made, real, there = [], workloads.build_tree, lambda place: os.path.exists(place.removeprefix("file:"))
+
+    def built(p, *args):
+        index = real(p, *args)
+        made.append((p.filed, index.places, [there(place) for place in index.places][-1]))
+        return index
+
+    monkeypatch.setattr(workloads, "build_tree", built)
+    visits = workloads.visit_report(spark, sf_dir, ("orders2",), queries=5, rs=(0.1,), ks=(1,), generated=0).collect()
+    near = workloads.cvisit_report(spark, sf_dir, ("orders2",), queries=5, rs=(0.1,), ks=(5,), orders=("near_first",), generated=0).collect()
+    assert [r.kind for r in visits] == [k for k in workloads.COMPARED for _ in range(2)] and len(near) == 2
+    assert len(made) == len(workloads.COMPARED) + 1 and all(filed and was for filed, _, was in made)
+    assert not any(there(place) for _, places, _ in made for place in places)
+
+
+def test_depths_need_no_written_tree(spark, sf_dir, monkeypatch):
+    """Depths are counted in the task that builds a tree, and are those of the tree that is written otherwise."""
+    p = workloads.points(spark, sf_dir, "events4")
+    want = [avg_depth(workloads.one_tree(p, kind=kind, leaf_capacity=1)).first() for kind in workloads.KINDS]
+
+    def written(*args):
+        raise AssertionError("a tree is written")
+
+    monkeypatch.setattr(workloads, "build_tree", written)
+    got = workloads.depth_rows("events4", p)
+    assert [row[3:8] for row in got] == [tuple(r) for r in want] and [row[1] for row in got] == list(workloads.KINDS)
