@@ -5,6 +5,7 @@ import os
 
 import pytest
 
+from ballspark.operators.kernel import Tree
 from ballspark.operators.search import brute
 from ballspark.operators.stats import avg_depth
 from ballspark.plans import workloads
@@ -73,8 +74,10 @@ def test_visited_trees_are_dropped(spark, sf_dir, monkeypatch):
     """Trees of a report are built from points that are written once, and each goes after its searches: together they take many times the points' disk."""
     made, real, there = [], workloads.build_tree, lambda place: os.path.exists(place.removeprefix("file:"))
 
-    def built(p, *args):
-        index = real(p, *args)
+    def built(p, *args, **options):
+        index = real(p, *args, **options)
+        tree = Tree.from_bytes(index.parts.first().tree)
+        assert tree.center.size and not tree.axis.size and not tree.pivot_lo.size and not tree.parent.size  # what searches don't read is not written
         made.append((p.filed, index.places, [there(place) for place in index.places][-1]))
         return index
 
@@ -91,7 +94,7 @@ def test_depths_need_no_written_tree(spark, sf_dir, monkeypatch):
     p = workloads.points(spark, sf_dir, "events4")
     want = [avg_depth(workloads.one_tree(p, kind=kind, leaf_capacity=1)).first() for kind in workloads.KINDS]
 
-    def written(*args):
+    def written(*args, **options):
         raise AssertionError("a tree is written")
 
     monkeypatch.setattr(workloads, "build_tree", written)
