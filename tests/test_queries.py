@@ -36,6 +36,17 @@ def test_join_equals_all_pairs(spark, duck, sf_dir, name):
     assert _rows(got) == _rows(duck.sql(catalogue.SMALL_ORACLES[name]).df())
 
 
+def test_join_sql_is_whole_on_sparse_points(spark, sf_dir, tmp_path):
+    """Queries without five points within a cell's side have their five all the same, in the SQL as in the join."""
+    con = duckdb.connect()
+    for table, some in (("lineitem", "l_orderkey % 400 = 1"), ("orders", "o_orderkey % 20 = 1")):
+        con.sql(f"COPY (SELECT * FROM '{sf_dir}/{table}.parquet' WHERE {some}) TO '{tmp_path}/{table}.parquet'")
+        con.sql(f"CREATE VIEW {table} AS SELECT * FROM '{tmp_path}/{table}.parquet'")
+    whole = con.sql(catalogue.SMALL_ORACLES["knn_join_two_round"]).df()
+    assert whole["dist"].max() > catalogue._JOIN_CELL and len(whole) == 5 * whole["qid"].nunique()
+    assert _rows(con.sql(SQL["knn_join_two_round"]).df()) == _rows(whole) == _rows(catalogue.QUERIES["knn_join_two_round"](spark, str(tmp_path)).toPandas())
+
+
 @pytest.mark.parametrize("name", sorted(SQL))
 def test_query_equals_sql(spark, duck, sf_dir, name):
     got = catalogue.QUERIES[name](spark, sf_dir).toPandas()
