@@ -1,5 +1,7 @@
 """One tree of several parts is the tree that one task builds: the same depths, counters and measures."""
 
+import os
+
 import pytest
 
 from ballspark.config import BuildConfig
@@ -66,3 +68,16 @@ def test_reports_count_over_parts(spark, sf_dir, monkeypatch):
     study = [tuple(row) for row in workloads.outlier_study(spark, sf_dir).collect()]
     monkeypatch.undo()
     assert study == [pytest.approx(tuple(row)) for row in workloads.outlier_study(spark, sf_dir).collect()]
+
+
+def test_sweep_over_parts_drops_its_trees(spark, sf_dir, monkeypatch):
+    """The sweep's trees used to stay, and were made from the table each."""
+    small, made, real, wrote = {"queries": 10, "alphas": (0.0, 4.0), "sections": (8,)}, [], workloads.one_tree, []
+    want = workloads.alpha_sweep(spark, sf_dir, **small).collect()
+    monkeypatch.setattr(whole, "PART", 400)
+    monkeypatch.setattr(workloads, "one_tree", lambda *a, **k: (made.append(real(*a, **k)), made[-1])[1])
+    monkeypatch.setattr(whole, "blocked", lambda p, f=whole.blocked: (wrote.append(f(p)), wrote[-1])[1])
+    got = workloads.alpha_sweep(spark, sf_dir, **small).collect()
+    assert got == [pytest.approx(tuple(row)) for row in want] and len(got) == 8
+    assert len(made) == 4 and all(index.n_parts > 1 for index in made) and len(wrote) == 1
+    assert not any(os.path.exists(place.removeprefix("file:")) for index in made for place in index.places)
